@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .common import table
 from .mixing import mix
+from .secret_scan import digest_columns, scan
 from .sharding import shard_documents
 from .warc import archive_pages
 
@@ -12,6 +13,10 @@ def op4_arc_to_warc(spark, sf_dir):
     return archive_pages(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op6_secret_scan(spark, sf_dir):
+    return digest_columns(scan(table(spark, sf_dir, "documents")))
+
+
 def op9_cube_mix(spark, sf_dir):
     return mix(table(spark, sf_dir, "documents"))
 
@@ -20,7 +25,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op4_arc_to_warc, op9_cube_mix, op10_lpt_shards)}
+QUERIES = {f.__name__: f for f in (op4_arc_to_warc, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """
