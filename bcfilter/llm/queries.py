@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .common import table
+from .minhash import near_duplicates
 from .mixing import mix
 from .secret_scan import digest_columns, scan
 from .sharding import shard_documents
@@ -13,6 +14,10 @@ def op4_arc_to_warc(spark, sf_dir):
     return archive_pages(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op5_fast_sketch_near_dups(spark, sf_dir):
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op6_secret_scan(spark, sf_dir):
     return digest_columns(scan(table(spark, sf_dir, "documents")))
 
@@ -25,7 +30,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op4_arc_to_warc, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
+QUERIES = {f.__name__: f for f in (op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """
