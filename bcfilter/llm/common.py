@@ -60,3 +60,9 @@ def word_count(text) -> F.Column:
 def text_key(text) -> F.Column:
     """128-bit digest that is equal exactly for equal texts; null has a value of its own."""
     return F.coalesce(F.md5(text.cast("binary")), F.lit("null"))
+
+
+def lookup(spark: SparkSession, rows: list, schema, most: int = 200_000) -> DataFrame:
+    """A table of rows the driver holds, broadcast while it has at most ``most`` rows and joined by shuffle beyond."""
+    df = spark.createDataFrame(rows, schema)
+    return F.broadcast(df) if len(rows) <= most else df

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialize, word_count
+from .common import lookup, materialize, word_count
 
 WEIGHTS = (5, 2, 1)
 EPS = 1e-9
@@ -123,12 +123,12 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, share: float = 1.5, most: flo
         plan.append((s, k, int(found[s][0]), float(want[s]), base, max(0.0, rate - base)))
         counts[k] = found[s][1]
     schema = T.StructType.fromDDL("mix_source string, k int, source_size long, target double, base int, p double")
-    open_ = units.join(spark.createDataFrame(plan, schema), units["source"].eqNullSafe(F.col("mix_source"))).select(
+    open_ = units.join(lookup(spark, plan, schema), units["source"].eqNullSafe(F.col("mix_source"))).select(
         "doc_id", "size", "k", "source_size", "target", "base", "p", F.xxhash64(F.lit(seed), "doc_id").alias("lot")
     )
     done, level = [], 0
     while True:
-        blocks = spark.createDataFrame([(k, max(1, -(-n // block))) for k, n in counts.items()], "k int, blocks int")
+        blocks = lookup(spark, [(k, max(1, -(-n // block))) for k, n in counts.items()], "k int, blocks int")
         last = all(n <= block for n in counts.values())
         dealt = open_.join(blocks, "k").withColumn("block", F.pmod(F.xxhash64(F.lit(level), "lot"), F.col("blocks")).cast("int")).drop("blocks")
         out = dealt.groupBy("k", "block").applyInPandas(_flight(seed, level, last), dealt.schema).drop("block")
