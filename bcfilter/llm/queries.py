@@ -7,9 +7,14 @@ from .minhash import near_duplicates
 from .mixing import mix
 from .secret_scan import digest_columns, scan
 from .sharding import shard_documents
+from .substring_dedup import dedup_substrings
 from .warc import archive_pages
 
 
+def op1_line_dedup(spark, sf_dir):
+    return dedup_substrings(table(spark, sf_dir, "documents"))
+
+
 def op4_arc_to_warc(spark, sf_dir):
     return archive_pages(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
@@ -30,7 +35,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
+QUERIES = {f.__name__: f for f in (op1_line_dedup, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """
