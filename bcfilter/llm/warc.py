@@ -76,20 +76,26 @@ def arc_header(version: int, url: str, date14: str, block: bytes, name: str, off
     return " ".join(values[f] for f in ARC_FIELDS[version].split()).encode() + b"\n"
 
 
+def gzip_member(data: bytes) -> bytes:
+    z = zlib.compressobj(4, zlib.DEFLATED, 31)
+    return z.compress(data) + z.flush()
+
+
 class ArcFile:
-    """Writes one ARC file; its first record is the version block."""
+    """Writes one ARC file, each record a gzip member; the first record is the version block."""
 
     def __init__(self, folder: str, version: int, date14: str):
         self.version, self.date14, self.records = version, date14, 0
-        self.name = f"{uuid.uuid4().hex}.arc"
+        self.name = f"{uuid.uuid4().hex}.arc.gz"
         self.out, self.path = _create(folder, self.name)
         body = f"{version} 0 bcfilter\n{ARC_FIELDS[version]}\n\n".encode()
         self.at = 0
         self._put(f"filedesc://{self.name} 0.0.0.0 {date14} text/plain {len(body)}\n".encode() + body + b"\n")
 
     def _put(self, data: bytes) -> None:
-        self.out.write(data)
-        self.at += len(data)
+        member = gzip_member(data)
+        self.out.write(member)
+        self.at += len(member)
 
     def add(self, url: str, block: bytes) -> None:
         self._put(arc_header(self.version, url, self.date14, block, self.name, self.at) + block + b"\n")
@@ -122,42 +128,73 @@ def write_arc(pages: DataFrame, folder: str, date14: str = "20240101000000", rol
     return materialize(pages.mapInPandas(run, "path string, version int, records long, bytes long"), "arc_manifest")
 
 
-def arc_records(stream) -> Iterator[tuple[int, dict, bytes]]:
-    """(offset, header fields, block) of each record after the version block, by the fields that block declares."""
-    def line() -> bytes:
-        out = b""
-        while not out.endswith(b"\n"):
-            piece = stream.readline() if hasattr(stream, "readline") else b""
-            if not piece:
-                return out
-            out += piece
-        return out
-
-    head = line()
-    if not head.startswith(b"filedesc:"):
-        raise ValueError("not an ARC file")
-    body = stream.read(int(head.split()[-1]))
+def arc_fields(body: bytes) -> list[str]:
+    """Field names of the header lines, from the version block."""
     version, fields = body.split(b"\n")[:2]
     names = fields.decode().split()
     if version.split()[0] not in (b"1", b"2") or names[-1] != "Archive-length":
         raise ValueError(f"ARC version block not understood: {body[:80]!r}")
-    stream.read(1)
-    while True:
-        at = stream.tell()
-        head = line()
-        if not head:
-            return
-        if head == b"\n":
-            continue
-        parts = head[:-1].rsplit(b" ", len(names) - 1)
-        if len(parts) != len(names):
-            raise ValueError(f"ARC header with {len(parts)} of {len(names)} fields at {at}")
-        meta = {k: v.decode("utf-8", "replace") for k, v in zip(names, parts)}
-        size = int(meta["Archive-length"])
-        block = stream.read(size)
-        if len(block) != size:
-            raise ValueError(f"ARC record at {at} is cut short")
-        yield at, meta, block
+    return names
+
+
+def arc_meta(head: bytes, names: list[str]) -> dict:
+    """One header line by the declared fields; an URL with spaces keeps them."""
+    parts = head.rstrip(b"\n").rsplit(b" ", len(names) - 1)
+    if len(parts) != len(names):
+        raise ValueError(f"ARC header with {len(parts)} of {len(names)} fields: {head[:80]!r}")
+    return {k: v.decode("utf-8", "replace") for k, v in zip(names, parts)}
+
+
+def member_at(stream, at: int) -> tuple[bytes, int]:
+    """The gzip member that starts at ``at`` and where the next one does."""
+    stream.seek(at)
+    z, out, read = zlib.decompressobj(31), [], 0
+    while not z.eof:
+        piece = stream.read(1 << 16)
+        if not piece:
+            raise ValueError(f"gzip member at {at} is cut short")
+        read += len(piece)
+        out.append(z.decompress(piece))
+    return b"".join(out), at + read - len(z.unused_data)
+
+
+def plain_at(stream, at: int) -> tuple[bytes, bytes, bytes]:
+    stream.seek(at)
+    head = stream.readline()
+    return head, b"\n", stream.read(int(head.split()[-1]))
+
+
+def arc_records(path: str) -> Iterator[tuple[int, dict, bytes]]:
+    """(offset, header fields, block) of each record after the version block, of a plain or a gzipped ARC file."""
+    with _open(path) as f:
+        packed = f.peek(2)[:2] == b"\x1f\x8b"
+        end = f.seek(0, 2)
+        f.seek(0)
+        names, at = None, 0
+        while at < end:
+            if packed:
+                data, after = member_at(f, at)
+                head, _, rest = data.partition(b"\n")
+                size = int(head.split()[-1])
+                block, gap = rest[:size], rest[size:]
+            else:
+                f.seek(at)
+                head = f.readline()
+                if head == b"\n":
+                    at += 1
+                    continue
+                size = int(head.split()[-1])
+                block, gap = f.read(size), b""
+                after = f.tell()
+            if len(block) != size or gap.strip(b"\n"):
+                raise ValueError(f"ARC record at {at} does not have its declared length")
+            if names is None:
+                if not head.startswith(b"filedesc:"):
+                    raise ValueError("not an ARC file")
+                names = arc_fields(block)
+            else:
+                yield at, arc_meta(head, names), block
+            at = after
 
 
 def _open(path: str):
@@ -183,6 +220,11 @@ def iso_date(date14: str) -> str:
     return datetime.datetime.strptime(d, "%Y%m%d%H%M%S").strftime("%Y-%m-%dT%H:%M:%SZ")
 
 
+def by_file(rows: DataFrame, files: int) -> DataFrame:
+    """A file's rows together; the number is set, for the rows are too few for adaptive execution to see the work."""
+    return rows.repartition(max(1, min(files, 20_000)), "path")
+
+
 def index_arc(manifest: DataFrame) -> DataFrame:
     """One row per ARC record: where it is, what it says, the digest of its payload."""
 
@@ -190,13 +232,12 @@ def index_arc(manifest: DataFrame) -> DataFrame:
         for rows in batches:
             for path in rows["path"]:
                 out = []
-                with _open(path) as f:
-                    for at, meta, block in arc_records(f):
-                        fields, _, payload = http_parts(block)
-                        out.append((path, at, meta["URL"], meta["Archive-date"], fields.get("x-page-id"), len(payload), digest32(payload)))
+                for at, meta, block in arc_records(path):
+                    fields, _, payload = http_parts(block)
+                    out.append((path, at, meta["URL"], meta["Archive-date"], fields.get("x-page-id"), len(payload), digest32(payload)))
                 yield pd.DataFrame(out, columns=["path", "at", "url", "date14", "page", "payload_bytes", "payload_digest"])
 
-    files = manifest.select("path").repartition("path")
+    files = by_file(manifest.select("path"), manifest.count())
     out = files.mapInPandas(run, "path string, at long, url string, date14 string, page string, payload_bytes long, payload_digest string")
     return materialize(out.withColumn("page_id", F.col("page").cast("long")).drop("page"), "arc_index")
 
@@ -212,8 +253,7 @@ def resolve(index: DataFrame, least: int = 0) -> DataFrame:
 def warc_record(kind: str, fields: list[tuple[str, str]], block: bytes) -> bytes:
     head = [("WARC-Type", kind), *fields, ("WARC-Block-Digest", "sha1:" + digest32(block)), ("Content-Length", str(len(block)))]
     data = "WARC/1.1\r\n".encode() + "".join(f"{k}: {v}\r\n" for k, v in head).encode() + b"\r\n" + block + b"\r\n\r\n"
-    z = zlib.compressobj(4, zlib.DEFLATED, 31)
-    return z.compress(data) + z.flush()
+    return gzip_member(data)
 
 
 def arc_to_warc(manifest: DataFrame, folder: str, least: int = 0) -> DataFrame:
@@ -236,14 +276,13 @@ def arc_to_warc(manifest: DataFrame, folder: str, least: int = 0) -> DataFrame:
                         yield close()
                     path, n = r.path, 0
                     source = _open(path)
-                    name = f"{path.rsplit('/', 1)[-1][:-4]}-{uuid.uuid4().hex[:8]}.warc.gz"
+                    name = f"{path.rsplit('/', 1)[-1].split('.')[0]}-{uuid.uuid4().hex[:8]}.warc.gz"
                     out, full = _create(folder, name)
                     date = iso_date(r.date14)
                     info = f"software: bcfilter\r\nformat: WARC File Format 1.1\r\nconverted-from: {path.rsplit('/', 1)[-1]}\r\n".encode()
                     out.write(warc_record("warcinfo", [("WARC-Record-ID", record_id(path, -1)), ("WARC-Date", date), ("WARC-Filename", name), ("Content-Type", "application/warc-fields")], info))
-                source.seek(r.at)
-                head = source.readline()
-                block = source.read(int(head.split()[-1]))
+                head, _, rest = member_at(source, r.at)[0].partition(b"\n") if path.endswith(".gz") else plain_at(source, r.at)
+                block = rest[: int(head.split()[-1])]
                 _, http, payload = http_parts(block)
                 fields = [
                     ("WARC-Record-ID", record_id(path, r.at)), ("WARC-Date", iso_date(r.date14)), ("WARC-Target-URI", r.url),
@@ -264,7 +303,7 @@ def arc_to_warc(manifest: DataFrame, folder: str, least: int = 0) -> DataFrame:
         "path", "at", "url", "date14", "payload_digest", F.col("first.path").alias("first_path"), F.col("first.at").alias("first_at"),
         F.col("first.url").alias("first_url"), F.col("first.date14").alias("first_date14"), F.col("first.page_id").cast("string").alias("first_page"),
     )
-    rows = rows.repartition("path").sortWithinPartitions("path", "at")
+    rows = by_file(rows, manifest.count()).sortWithinPartitions("path", "at")
     return materialize(rows.mapInPandas(run, "path string, records long"), "warc_manifest")
 
 
@@ -310,7 +349,7 @@ def read_warc(manifest: DataFrame) -> DataFrame:
                         out = []
                 yield pd.DataFrame(out, columns=names)
 
-    files = manifest.select("path").repartition("path")
+    files = by_file(manifest.select("path"), manifest.count())
     rows = files.mapInPandas(run, "record_id string, record_type string, url string, date string, payload_digest string, page_id string, payload_bytes string, refers_to string, payload binary")
     return rows.withColumns({c: F.col(c).cast("long") for c in ("page_id", "payload_bytes", "refers_to")})
 
