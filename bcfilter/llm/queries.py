@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
 from .common import table
+from .language import identify_documents, identify_pages
 from .minhash import near_duplicates
 from .mixing import mix
 from .secret_scan import digest_columns, scan
 from .sharding import shard_documents
 from .substring_dedup import dedup_substrings
+from .toxicity import score_documents
 from .warc import archive_pages
 
 
@@ -15,6 +19,14 @@ def op1_line_dedup(spark, sf_dir):
     return dedup_substrings(table(spark, sf_dir, "documents"))
 
 
+def op3_toxic_segments(spark, sf_dir):
+    """Learns from labelled rows whose checksum has another remainder than 1; the others are held out."""
+    rest = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3))
+    scored = score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), rest != 1)
+    spans = F.array_join(F.transform(F.filter("segments", lambda s: s["tail"] <= 0.01), lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string"))), ",")
+    return scored.select("doc_id", (rest == 1).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"), spans.alias("spans"))
+
+
 def op4_arc_to_warc(spark, sf_dir):
     return archive_pages(table(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
@@ -27,6 +39,16 @@ def op6_secret_scan(spark, sf_dir):
     return digest_columns(scan(table(spark, sf_dir, "documents")))
 
 
+def op8_language(spark, sf_dir):
+    return identify_documents(table(spark, sf_dir, "documents"))
+
+
+def page_language(spark, sf_dir):
+    """The same fusion with markup, address and host evidence of web pages."""
+    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text", "lang")
+    return identify_pages(table(spark, sf_dir, "pages"), docs)
+
+
 def op9_cube_mix(spark, sf_dir):
     return mix(table(spark, sf_dir, "documents"))
 
@@ -35,7 +57,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_line_dedup, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op9_cube_mix, op10_lpt_shards)}
+QUERIES = {f.__name__: f for f in (op1_line_dedup, op3_toxic_segments, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op8_language, op9_cube_mix, op10_lpt_shards, page_language)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """

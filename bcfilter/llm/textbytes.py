@@ -15,6 +15,10 @@ _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 
 
+#: Everything in ASCII but letters and digits, for tokens without punctuation.
+PUNCTUATION = np.array([b < 128 and not chr(b).isalnum() for b in range(256)])
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Finaliser with full avalanche over uint64."""
     x = x ^ (x >> np.uint64(30))
@@ -30,13 +34,13 @@ _BYTE = mix64(np.arange(1, 257, dtype=np.uint64) * _BASE)[_LOWER]
 class Words:
     """Words of a batch: ``start``, ``end`` (byte offsets in ``data``), ``hash``, and ``first[i]:first[i+1]`` of text i."""
 
-    def __init__(self, texts: list):
+    def __init__(self, texts: list, gap: np.ndarray = _SPACE):
         raw = [b"" if t is None else t.encode("utf-8", "surrogatepass") for t in texts]
         self.data = np.frombuffer(b"\n".join(raw) + b"\n", dtype=np.uint8)
         self.offset = np.zeros(len(raw) + 1, dtype=np.int64)
         np.cumsum([len(x) + 1 for x in raw], out=self.offset[1:])
         letter = np.zeros(len(self.data) + 1, dtype=bool)
-        np.logical_not(_SPACE[self.data], out=letter[1:])
+        np.logical_not(gap[self.data], out=letter[1:])
         turn = np.flatnonzero(letter[1:] != letter[:-1])
         self.start, self.end = turn[0::2], turn[1::2]
         self.first = np.searchsorted(self.start, self.offset)
@@ -70,6 +74,15 @@ class Words:
         power = np.cumprod(np.full(len(piece), _BASE, dtype=np.uint64))
         return (piece * power).sum(dtype=np.uint64)
 
+    def prefix_hash(self, size: int) -> np.ndarray:
+        """Hash of each word's first ``size`` bytes (of all, if it has fewer)."""
+        n = np.minimum(self.end - self.start, size)
+        acc = n.astype(np.uint64)
+        for k in range(size):
+            at = np.minimum(self.start + k, len(self.data) - 1)
+            acc = np.where(k < n, acc * _BASE + _BYTE[self.data[at]], acc)
+        return mix64(acc)
+
     def chars_before(self) -> np.ndarray:
         """Code points before each byte offset of ``data``."""
         at = np.zeros(len(self.data) + 1, dtype=np.int64)
