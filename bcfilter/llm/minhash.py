@@ -117,7 +117,7 @@ def sets_of(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
 
     texts = docs.select(docs["doc_id"], F.xxhash64(docs["text"]).alias("tkey"), docs["text"])
     hit = (texts["tkey"] == wanted["tkey"]) & texts["doc_id"].eqNullSafe(wanted["doc_id"])
-    joined = texts.join(wanted, hit).select("text", "rid", "cluster", "blocks")
+    joined = texts.join(wanted.hint("merge"), hit).select("text", "rid", "cluster", "blocks")
     return joined.mapInPandas(run, "rid long, cluster long, blocks int, coords binary, members binary")
 
 
