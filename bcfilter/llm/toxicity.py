@@ -26,7 +26,7 @@ from .common import materialize
 from .textbytes import PUNCTUATION, Words, slices
 
 BITS, PREFIX_BITS = 20, 18
-TOKEN_PRIOR, PREFIX_PRIOR, DRIFT = 20.0, 20.0, 0.7
+TOKEN_PRIOR, PREFIX_PRIOR, DRIFT = 3.0, 5.0, 2.0
 LEAST_TOXIC = 3
 GRID = 0.05
 
@@ -36,15 +36,17 @@ def _buckets(words: Words) -> tuple[np.ndarray, np.ndarray]:
 
 
 def token_counts(train: DataFrame) -> DataFrame:
-    """kind (0 token, 1 prefix), bucket, n and toxic uses, over ``train(text, toxic)``."""
+    """kind (0 token, 1 prefix), bucket, n texts and toxic texts that hold it, over ``train(text, toxic)``."""
 
     def run(batches):
         for rows in batches:
             texts, toxic = rows["text"].tolist(), rows["toxic"].to_numpy()
             for a, b in slices(texts, 16 << 20):
                 w = Words(texts[a:b], PUNCTUATION)
-                mark = np.repeat(toxic[a:b], np.diff(w.first)).astype(np.float64)
+                doc = np.repeat(np.arange(b - a), np.diff(w.first))
                 for kind, code in enumerate(_buckets(w)):
+                    once = np.unique(doc << BITS | code)
+                    code, mark = once & ((1 << BITS) - 1), toxic[a:b][once >> BITS].astype(np.float64)
                     n = np.bincount(code)
                     bad = np.bincount(code, weights=mark, minlength=len(n))
                     at = np.flatnonzero(n)
@@ -54,27 +56,33 @@ def token_counts(train: DataFrame) -> DataFrame:
     return rows.groupBy("kind", "bucket").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
 
 
-def token_scores(train: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Scores by token bucket and by prefix bucket (for tokens not seen in toxic use)."""
-    counts = materialize(token_counts(train), "tox_counts")
-    n, bad = counts.where("kind = 0").agg(F.sum("n"), F.sum("bad")).first()
-    token = np.full(1 << BITS, np.nan)
-    prefix = np.full(1 << PREFIX_BITS, -DRIFT)
-    if not n or not bad or bad == n:
-        return token, prefix
-    share = bad / n
-    base = math.log(share / (1 - share))
+class Model:
+    """Counts by token bucket and toxic share by prefix bucket; scores are log-odds against ``share`` less the drift."""
+
+    def __init__(self, share: float):
+        self.share, self.prior, self.drift = share, TOKEN_PRIOR, DRIFT
+        self.n = np.zeros(1 << BITS, np.float32)
+        self.bad = np.zeros(1 << BITS, np.float32)
+        self.prefix = np.full(1 << PREFIX_BITS, share, np.float32)
+
+    def score(self, words: Words) -> np.ndarray:
+        if not 0 < self.share < 1:
+            return np.full(len(words.hash), -self.drift)
+        token, prefix = _buckets(words)
+        q = (self.bad[token] + self.prior * self.prefix[prefix]) / (self.n[token] + self.prior)
+        return np.log(q / (1 - q)) - math.log(self.share / (1 - self.share)) - self.drift
 
-    def score(q: np.ndarray) -> np.ndarray:
-        return np.log(q / (1 - q)) - base - DRIFT
 
-    rows = counts.where((F.col("kind") == 1) & (F.col("bad") >= LEAST_TOXIC)).select("bucket", "n", "bad").toPandas()
-    q_prefix = np.full(1 << PREFIX_BITS, share)
-    q_prefix[rows["bucket"]] = (rows["bad"] + PREFIX_PRIOR * share) / (rows["n"] + PREFIX_PRIOR)
-    prefix = score(q_prefix)
-    held = counts.where((F.col("kind") == 0) & ((F.col("bad") >= LEAST_TOXIC) | (F.col("n") >= 20))).select("bucket", "n", "bad").toPandas()
-    token[held["bucket"]] = score((held["bad"] + TOKEN_PRIOR * share) / (held["n"] + TOKEN_PRIOR))
-    return token.astype(np.float32), prefix.astype(np.float32)
+def fit(train: DataFrame) -> Model:
+    """Grouped counts of all training rows; the driver gets those of buckets in three toxic or twenty texts."""
+    counts = materialize(token_counts(train), "tox_counts")
+    n, bad = counts.where("kind = 0").agg(F.sum("n"), F.sum("bad")).first()
+    model = Model(bad / n if n else 0.0)
+    held = counts.where((F.col("bad") >= LEAST_TOXIC) | (F.col("n") >= 20)).toPandas()
+    token, prefix = held[held["kind"] == 0], held[held["kind"] == 1]
+    model.n[token["bucket"]], model.bad[token["bucket"]] = token["n"], token["bad"]
+    model.prefix[prefix["bucket"]] = (prefix["bad"] + PREFIX_PRIOR * model.share) / (prefix["n"] + PREFIX_PRIOR)
+    return model
 
 
 def segments(score: np.ndarray) -> list[tuple[int, int, float]]:
@@ -105,20 +113,18 @@ def segments(score: np.ndarray) -> list[tuple[int, int, float]]:
     return [(a, b, right - left) for a, b, left, right, _ in held]
 
 
-def scan(docs: DataFrame, token: np.ndarray, prefix: np.ndarray, least: float = 1.0) -> DataFrame:
+def scan(docs: DataFrame, model: Model, least: float = 1.0) -> DataFrame:
     """doc_id, n tokens, total score of segments and the segments of at least ``least`` (code points, ends exclusive)."""
     spark = docs.sparkSession
-    tables = spark.sparkContext.broadcast((token, prefix))
+    shared = spark.sparkContext.broadcast(model)
 
     def run(batches):
-        token, prefix = tables.value
+        model = shared.value
         for rows in batches:
             texts = rows["text"].tolist()
             for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
-                code, pre = _buckets(w)
-                score = token[code]
-                score = np.where(np.isnan(score), prefix[pre], score)
+                score = model.score(w)
                 chars = w.chars_before()
                 out = []
                 for i in range(b - a):
@@ -133,21 +139,30 @@ def scan(docs: DataFrame, token: np.ndarray, prefix: np.ndarray, least: float =
     return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
-def logistic(grid: list[tuple[float, int, int]], steps: int = 60) -> tuple[float, float]:
-    """Intercept and slope by Newton steps on (x, harmless, toxic) counts, with a weak prior on both."""
+def logistic(grid: list[tuple[float, int, int]], steps: int = 100) -> tuple[float, float]:
+    """Intercept and slope by damped Newton steps on (x, harmless, toxic) counts, with a unit normal prior on a scale."""
     x, n0, n1 = (np.array(v, dtype=float) for v in zip(*grid))
-    a = b = 0.0
+    mid = float((x * (n0 + n1)).sum() / (n0 + n1).sum())
+    x = x - mid
+    ridge = np.array([1e-6, 0.01])
+
+    def loss(t):
+        z = t[0] + t[1] * x
+        return float((n0 * np.logaddexp(0, z) + n1 * np.logaddexp(0, -z)).sum() + (ridge * t * t).sum() / 2)
+
+    t = np.zeros(2)
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(a + b * x, -30, 30)))
-        w = (n0 + n1) * p * (1 - p)
-        r = n1 - (n0 + n1) * p
-        g = np.array([r.sum() - 1e-3 * a, (r * x).sum() - 1e-3 * b])
-        h = np.array([[w.sum() + 1e-3, (w * x).sum()], [(w * x).sum(), (w * x * x).sum() + 1e-3]])
-        step = np.clip(np.linalg.solve(h, g), -2, 2)
-        a, b = a + step[0], b + step[1]
-        if np.abs(step).max() < 1e-9:
+        p = 1 / (1 + np.exp(-np.clip(t[0] + t[1] * x, -500, 500)))
+        w, r = (n0 + n1) * p * (1 - p), n1 - (n0 + n1) * p
+        g = np.array([r.sum(), (r * x).sum()]) - ridge * t
+        h = np.array([[w.sum(), (w * x).sum()], [(w * x).sum(), (w * x * x).sum()]]) + np.diag(ridge + 1e-9)
+        step, size, now = np.linalg.solve(h, g), 1.0, loss(t)
+        while size > 1e-8 and loss(t + size * step) > now:
+            size /= 2
+        t = t + size * step
+        if np.abs(size * step).max() < 1e-9:
             break
-    return float(a), float(b)
+    return float(t[0] - t[1] * mid), float(t[1])
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, training) -> DataFrame:
@@ -155,10 +170,13 @@ def score_documents(docs: DataFrame, labels: DataFrame, training) -> DataFrame:
     known = labels.where(F.col("toxic").isNotNull()).select(F.col("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(training)
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     train = docs.select("doc_id", "text").join(known, "doc_id").select("text", "toxic")
-    token, prefix = token_scores(train)
-    found = materialize(scan(docs, token, prefix), "tox_segments")
-    x = F.col("total") - F.log1p("n")
-    seen = found.select("doc_id", x.alias("x")).join(known, "doc_id")
+    found = materialize(scan(docs, fit(train)), "tox_segments")
+    seen = found.select("doc_id", "n", "total").join(known, "doc_id")
+    # The location of a maximum grows with the log of the length: its slope over harmless training rows.
+    cov, var = seen.where("toxic = 0").agg(F.covar_pop(F.log1p("n"), "total"), F.var_pop(F.log1p("n"))).first()
+    slope = max(0.0, cov / var) if var else 0.0
+    x = F.col("total") - F.lit(slope) * F.log1p("n")
+    seen = seen.withColumn("x", x)
     grid = seen.groupBy(F.floor(F.col("x") / GRID).alias("bin")).agg(F.sum(1 - F.col("toxic")), F.sum("toxic")).collect()
     grid = [((b + 0.5) * GRID, n0, n1) for b, n0, n1 in grid]
     clean, bad = sum(g[1] for g in grid), sum(g[2] for g in grid)
@@ -166,17 +184,19 @@ def score_documents(docs: DataFrame, labels: DataFrame, training) -> DataFrame:
         flat = F.lit(bad / (clean + bad) if clean + bad else 0.0)
         return found.select("doc_id", flat.alias("score"), F.expr("transform(segments, s -> named_struct('start', s.start, 'end', s.end, 'score', s.score, 'tail', 1D))").alias("segments"))
     mean = sum(v * n for v, n, _ in grid) / clean
-    sd = math.sqrt(max(1e-4, sum(n * (v - mean) ** 2 for v, n, _ in grid) / clean))
+    sd = math.sqrt(max(0.01, sum(n * (v - mean) ** 2 for v, n, _ in grid) / clean))
     scale = sd * math.sqrt(6) / math.pi
     place = mean - 0.5772156649015329 * scale
 
     def evidence(v):
-        """Minus the log of P(X >= v) under the Gumbel law, at most 40."""
-        return min(40.0, -math.log(max(1e-18, -math.expm1(-math.exp(-(v - place) / scale)))))
+        """Log of one minus the log of P(X >= v) under the Gumbel law (whose tail far out is exp(-z))."""
+        z = (v - place) / scale
+        return math.log1p(z if z > 30 else -math.log(-math.expm1(-math.exp(-z))) if z > -6 else 0.0)
 
     a, b = logistic([(evidence(v), n0, n1) for v, n0, n1 in grid])
-    tail = lambda v: F.greatest(F.lit(1e-18), -F.expm1(-F.exp(-(v - F.lit(place)) / F.lit(scale))))
-    g = F.least(F.lit(40.0), -F.ln(tail(x)))
+    z = lambda v: (v - F.lit(place)) / F.lit(scale)
+    tail = lambda v: F.when(z(v) > 30, F.exp(-z(v))).when(z(v) > -6, -F.expm1(-F.exp(-z(v)))).otherwise(F.lit(1.0))
+    g = F.log1p(F.when(z(x) > 30, z(x)).otherwise(-F.ln(tail(x))))
     score = F.lit(1.0) / (1 + F.exp(-(F.lit(a) + F.lit(b) * g)))
-    marked = F.transform("segments", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["score"].alias("score"), tail(s["score"] - F.log1p("n")).alias("tail")))
+    marked = F.transform("segments", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["score"].alias("score"), tail(s["score"] - F.lit(slope) * F.log1p("n")).alias("tail")))
     return found.select("doc_id", score.alias("score"), marked.alias("segments"))
