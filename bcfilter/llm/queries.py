@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from .common import table
+from .decontaminate import leaks
 from .language import identify_documents, identify_pages
 from .minhash import near_duplicates
 from .mixing import mix
@@ -19,6 +20,10 @@ def op1_line_dedup(spark, sf_dir):
     return dedup_substrings(table(spark, sf_dir, "documents"))
 
 
+def op2_latent_leaks(spark, sf_dir):
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op3_toxic_segments(spark, sf_dir):
     """Learns from labelled rows whose checksum has another remainder than 1; the others are held out."""
     rest = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3))
@@ -57,7 +62,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_line_dedup, op3_toxic_segments, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op8_language, op9_cube_mix, op10_lpt_shards, page_language)}
+QUERIES = {f.__name__: f for f in (op1_line_dedup, op2_latent_leaks, op3_toxic_segments, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op8_language, op9_cube_mix, op10_lpt_shards, page_language)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """
