@@ -7,7 +7,8 @@ text finds all maximal scoring segments. The sum of their scores, against the le
 extreme-value (Gumbel) law fitted to harmless training texts; a logistic curve turns the tail probability into a
 score. Segments are reported with offsets and their own tail probability.
 
-Learning uses only labelled rows given as training; all statistics are grouped counts over all of them, and what the
+Learning uses only labelled rows given as training, at most about ``LABELLED`` of them, chosen by a hash of their id (a
+documented bound of the classifier alone, so that ids and labels can be broadcast and no text is shuffled). What the
 driver gets is bounded by the bucket numbers. Defined results: null and empty texts have no segments and the score of
 no evidence; labels that are null teach nothing; with one class only, or no labels, every score is the share of that
 class or 0; repeated rows are scored alike.
@@ -28,6 +29,7 @@ from .textbytes import PUNCTUATION, Words, slices
 BITS, PREFIX_BITS = 20, 18
 TOKEN_PRIOR, PREFIX_PRIOR, DRIFT = 3.0, 5.0, 2.0
 LEAST_TOXIC = 3
+LABELLED = 500_000
 GRID = 0.05
 
 
@@ -168,7 +170,9 @@ def logistic(grid: list[tuple[float, int, int]], steps: int = 100) -> tuple[floa
 def score_documents(docs: DataFrame, labels: DataFrame, training) -> DataFrame:
     """doc_id, score, segments with tail probability; ``training`` is a condition on doc_id for rows to learn from."""
     known = labels.where(F.col("toxic").isNotNull()).select(F.col("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(training)
-    known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    known = materialize(known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")), "tox_labels")
+    share = min(1.0, LABELLED / max(1, known.count()))
+    known = F.broadcast(known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < F.lit(int(share * (1 << 30)))))
     train = docs.select("doc_id", "text").join(known, "doc_id").select("text", "toxic")
     found = materialize(scan(docs, fit(train)), "tox_segments")
     seen = found.select("doc_id", "n", "total").join(known, "doc_id")
