@@ -5,11 +5,11 @@ from round T on, each round serves one bin alone. Rounds go on until every bin i
 texts with more than some hundred shingles and never more than 2T. Coordinates agree with the Jaccard similarity as
 probability and concentrate as well as independent ones.
 
-Banding: ``BANDS`` keys of ``ROWS`` coordinates. Documents that share a key, directly or through others, form a cluster;
-a pair with similarity 0.85 shares none with probability 4e-5. Clusters are cut into blocks of about ``BLOCK``
+Banding: as many coordinates to a key as keep the chance that a pair at the threshold shares no key below 1e-4 (8 at
+0.85, 6 at 0.8). Documents that share a key, directly or through others, form a cluster. Clusters are cut into blocks of about ``BLOCK``
 documents and every pair of blocks is a task of bounded size, whatever the size of the cluster. There sketches are
-compared first: a pair agreeing in fewer than ``CUT`` of 256 coordinates is below 0.85 but for a chance of 3e-6. The
-others are verified on their full sets, most similar first, unless already connected in the task. What leaves a task
+compared first: a pair agreeing in five standard deviations less of the 256 coordinates than one at the threshold is
+passed over (chance of error below 1e-5). The others are verified on their full sets, most similar first, unless already connected in the task. What leaves a task
 is a spanning forest of verified links, not all pairs.
 
 Sets hold 64-bit hashes of shingles; equal sets are one representative from the start, so exact copies cost nothing
@@ -29,11 +29,18 @@ from .common import materialize
 from .components import components
 from .textbytes import Words, mix64, shingles, slices
 
-T, ROWS, BANDS, CUT, BLOCK = 256, 8, 32, 190, 128
+T, BLOCK = 256, 128
 _SEEDS = mix64(np.arange(1, 2 * T + 1, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95))
 _LOW = np.uint64((1 << 55) - 1)
 
 
+def plan(percent: int) -> tuple[int, int, int]:
+    """Coordinates to a key, keys, and least agreeing coordinates for a threshold in percent."""
+    s = percent / 100
+    rows = max(r for r in range(1, 17) if (1 - s**r) ** (T // r) <= 1e-4 or r == 1)
+    return rows, T // rows, int(T * s - 5 * (T * s * (1 - s)) ** 0.5)
+
+
 def sketch(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     """Sketches (texts x T, uint64) of sets ``values[bounds[i]:bounds[i+1]]``; rows of empty sets stay unfilled."""
     n = len(bounds) - 1
@@ -56,11 +63,11 @@ def sketch(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out.reshape(n, T)
 
 
-def band_keys(s: np.ndarray) -> np.ndarray:
-    """(texts x BANDS) keys as signed longs."""
-    part = s[:, : ROWS * BANDS].reshape(len(s), BANDS, ROWS)
-    key = np.broadcast_to(mix64(np.arange(1, BANDS + 1, dtype=np.uint64)), (len(s), BANDS)).copy()
-    for j in range(ROWS):
+def band_keys(s: np.ndarray, rows: int, bands: int) -> np.ndarray:
+    """(texts x bands) keys as signed longs."""
+    part = s[:, : rows * bands].reshape(len(s), bands, rows)
+    key = np.broadcast_to(mix64(np.arange(1, bands + 1, dtype=np.uint64)), (len(s), bands)).copy()
+    for j in range(rows):
         key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + part[:, :, j])
     return key.view(np.int64)
 
@@ -72,8 +79,9 @@ def set_ids(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return mix64(sums + np.diff(bounds).astype(np.uint64)).view(np.int64)
 
 
-def profile(docs: DataFrame, size: int) -> DataFrame:
+def profile(docs: DataFrame, size: int, percent: int) -> DataFrame:
     """doc_id, tkey, n, rid (null for empty sets) and band keys of every document."""
+    per_key, bands, _ = plan(percent)
 
     def run(batches):
         for rows in batches:
@@ -81,7 +89,7 @@ def profile(docs: DataFrame, size: int) -> DataFrame:
             for a, b in slices(texts):
                 values, bounds = shingles(Words(texts[a:b]), size)
                 n = np.diff(bounds)
-                keys = band_keys(sketch(values, bounds))
+                keys = band_keys(sketch(values, bounds), per_key, bands)
                 ids = set_ids(values, bounds)
                 part = rows.iloc[a:b]
                 yield pd.DataFrame({"doc_id": part["doc_id"].to_numpy(), "tkey": part["tkey"].to_numpy(), "n": n,
@@ -121,12 +129,12 @@ def sets_of(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
     return joined.mapInPandas(run, "rid long, cluster long, blocks int, coords binary, members binary")
 
 
-def _verify(ids: np.ndarray, side: np.ndarray, coords: np.ndarray, members: list, percent: int, cross: bool) -> list[tuple[int, int]]:
+def _verify(ids: np.ndarray, side: np.ndarray, coords: np.ndarray, members: list, percent: int, cut: int, cross: bool) -> list[tuple[int, int]]:
     """Spanning links among the documents of one task."""
     size = np.array([len(m) // 8 for m in members])
     found = []
     for r in range(len(ids) - 1):
-        ok = ((coords[r] == coords[r + 1 :]).sum(axis=1) >= CUT) & (100 * np.minimum(size[r], size[r + 1 :]) >= percent * np.maximum(size[r], size[r + 1 :]))
+        ok = ((coords[r] == coords[r + 1 :]).sum(axis=1) >= cut) & (100 * np.minimum(size[r], size[r + 1 :]) >= percent * np.maximum(size[r], size[r + 1 :]))
         ok &= ids[r] != ids[r + 1 :]
         if cross:
             ok &= side[r] != side[r + 1 :]
@@ -157,6 +165,7 @@ def _verify(ids: np.ndarray, side: np.ndarray, coords: np.ndarray, members: list
 
 def verified_links(sets: DataFrame, percent: int) -> DataFrame:
     """(a, b): links that hold on the full sets and connect what the cluster's links connect."""
+    cut = plan(percent)[2]
 
     def run(batches):
         held: list[pd.DataFrame] = []
@@ -166,7 +175,7 @@ def verified_links(sets: DataFrame, percent: int) -> DataFrame:
             rows = pd.concat(held) if len(held) > 1 else held[0]
             coords = np.frombuffer(b"".join(rows["coords"]), dtype=np.uint8).reshape(len(rows), T)
             i, j = key[1], key[2]
-            return pd.DataFrame(_verify(rows["rid"].to_numpy(), rows["own"].to_numpy(), coords, rows["members"].tolist(), percent, i != j), columns=["a", "b"])
+            return pd.DataFrame(_verify(rows["rid"].to_numpy(), rows["own"].to_numpy(), coords, rows["members"].tolist(), percent, cut, i != j), columns=["a", "b"])
 
         for rows in batches:
             k = rows[["cluster", "i", "j"]].to_numpy()
@@ -192,7 +201,7 @@ def verified_links(sets: DataFrame, percent: int) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every document; links at 100 * both >= percent * either."""
-    seen = materialize(profile(docs, size), "near_profile")
+    seen = materialize(profile(docs, size, percent), "near_profile")
     clusters = components(candidates(seen))
     blocks = clusters.groupBy("root").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks"))
     blocks = materialize(blocks, "near_blocks")

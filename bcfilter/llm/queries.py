@@ -9,6 +9,7 @@ from .decontaminate import leaks
 from .language import identify_documents, identify_pages
 from .minhash import near_duplicates
 from .mixing import mix
+from .rp_forest import near_vectors
 from .secret_scan import digest_columns, scan
 from .sharding import shard_documents
 from .substring_dedup import dedup_substrings
@@ -44,6 +45,10 @@ def op6_secret_scan(spark, sf_dir):
     return digest_columns(scan(table(spark, sf_dir, "documents")))
 
 
+def op7_forest_near_vectors(spark, sf_dir):
+    return near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op8_language(spark, sf_dir):
     return identify_documents(table(spark, sf_dir, "documents"))
 
@@ -62,7 +67,7 @@ def op10_lpt_shards(spark, sf_dir):
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_line_dedup, op2_latent_leaks, op3_toxic_segments, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op8_language, op9_cube_mix, op10_lpt_shards, page_language)}
+QUERIES = {f.__name__: f for f in (op1_line_dedup, op2_latent_leaks, op3_toxic_segments, op4_arc_to_warc, op5_fast_sketch_near_dups, op6_secret_scan, op7_forest_near_vectors, op8_language, op9_cube_mix, op10_lpt_shards, page_language)}
 
 ORACLE_SQL = {
     "op4_arc_to_warc": """

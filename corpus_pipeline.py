@@ -1,18 +1,78 @@
-"""Five-stage corpus pipeline; each stage reads what the one before kept."""
+"""Five-stage corpus pipeline; each stage reads what the one before kept.
+
+Language identification drops what it rejects; of each group of near-duplicates one document stays; documents that
+leak a benchmark item go; the mix repeats or drops documents so that sources meet their target weights; the last stage
+deals what is left into shards. ``run`` writes each stage's rows as Parquet in the shared folder and reads them back.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from bcfilter.llm.common import materialize, table
+from bcfilter.llm.decontaminate import leaks
+from bcfilter.llm.language import identify_documents
+from bcfilter.llm.minhash import near_duplicates
+from bcfilter.llm.mixing import mix
+from bcfilter.llm.sharding import shard_documents
+
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+def _chosen(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
+    """Semi- or anti-join on doc_id that also matches null with null."""
+    return docs.join(ids.select(F.col("doc_id").alias("chosen")).distinct(), docs["doc_id"].eqNullSafe(F.col("chosen")), how).select(*COLUMNS)
+
+
+def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose language is known; a doc_id of which one row is rejected goes."""
+    return _chosen(docs, identify_documents(docs).where(~F.col("kept")), "left_anti")
+
+
+def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of least doc_id of each group at 0.8 on five words; of rows that share a doc_id and a text, one.
+
+    Rows of null doc_id can't be told apart by id and stay.
+    """
+    found = near_duplicates(docs, size=5, percent=80)
+    named = docs.join(found.where("kept and doc_id is not null").select("doc_id").distinct(), "doc_id", "left_semi")
+    rank = F.row_number().over(Window.partitionBy("doc_id", F.xxhash64("text")).orderBy("doc_id"))
+    named = named.withColumn("nth", rank).where("nth = 1").select(*COLUMNS)
+    return named.unionByName(docs.where("doc_id is null").select(*COLUMNS))
+
+
+def keep_clean_of_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a benchmark leak."""
+    return _chosen(docs, leaks(docs, table(spark, sf_dir, "benchmark")), "left_anti")
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes it (never, once or twice)."""
+    copies = mix(docs).select(F.col("doc_id").alias("chosen"), "copies").groupBy("chosen").agg(F.max("copies").alias("copies")).where("copies > 0")
+    taken = docs.join(copies, docs["doc_id"].eqNullSafe(F.col("chosen")))
+    return taken.withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).select(*COLUMNS)
+
+
+def deal_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row with its shard and slot."""
+    return shard_documents(docs)
+
 
-STAGES: list = []
+STAGES = [
+    ("language", keep_identified),
+    ("near duplicates", keep_one_of_near_duplicates),
+    ("decontamination", keep_clean_of_benchmarks),
+    ("mixing", mix_sources),
+    ("sharding", deal_shards),
+]
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    for k, (name, stage) in enumerate(STAGES):
+    for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
             docs = materialize(docs, f"stage_{k}")
