@@ -3,8 +3,10 @@
 Passages are overlapping windows of words in three widths; an item is searched in the least width that holds it. A
 passage is a TF-IDF vector with document frequencies counted over the corpus. Only words of the benchmark can add to a
 cosine with an item, so windows whose benchmark words carry too small a share of their norm to reach the least cosine
-are passed over at once (by the Cauchy-Schwarz inequality, so none that matters is lost). A randomised SVD of all the
-other passages and the items, as sums of small matrices over tasks with one power step, gives the latent space;
+are passed over at once (by the Cauchy-Schwarz inequality, so none that matters is lost). A randomised SVD of
+the other passages (disjoint ones, so that no text counts twice) and the items (with ``ITEM_ENERGY`` times their energy,
+else a small benchmark would vanish beside the corpus), as sums of small matrices over tasks with one power step, gives
+the latent space;
 candidates are pairs whose cosine there is at least ``COSINE``. A candidate counts as a leak when the longest common
 subsequence of item and passage covers ``ORDER`` of the item's words, or, for paraphrases, ``LOOSE`` of them and most
 of its answer (its last sentence).
@@ -25,9 +27,11 @@ from .common import materialize
 from .textbytes import PUNCTUATION, Words, slices
 
 WIDTHS = (32, 64, 128)
-COSINE, ORDER, LOOSE, ANSWER = 0.4, 0.6, 0.45, 0.8
-RANK, SPARE = 256, 16
-ITEMS, SHORTEST = 4096, 5
+COSINE, ORDER, LOOSE, ANSWER = 0.3, 0.6, 0.45, 0.8
+RANK_MORE, SPARE = 56, 8
+ITEMS, SHORTEST = 512, 5
+#: Energy of the items in the decomposition, against that of the passages.
+ITEM_ENERGY = 4.0
 GATE_BITS = 22
 
 
@@ -49,17 +53,24 @@ class Items:
             sentence = count[words.start[a:b]]
             own = int((sentence == sentence[-1]).sum())
             self.answer.append(max(1, min(own, 12)))
-        self.gate = np.zeros(1 << GATE_BITS, dtype=bool)
-        self.gate[(self.vocabulary >> np.uint64(64 - GATE_BITS)).astype(np.int64)] = True
+        place = (self.vocabulary >> np.uint64(64 - GATE_BITS)).astype(np.int64)
+        self.table = np.full(1 << GATE_BITS, -1, dtype=np.int32)
+        self.table[place[::-1]] = np.arange(len(place), dtype=np.int32)[::-1]
+        self.crowded = np.zeros(1 << GATE_BITS, dtype=bool)
+        self.crowded[place[1:][place[1:] == place[:-1]]] = True
 
     def lookup(self, hash_: np.ndarray) -> np.ndarray:
         """Position in the vocabulary, -1 for other words."""
-        out = np.full(len(hash_), -1, dtype=np.int32)
-        maybe = np.flatnonzero(self.gate[(hash_ >> np.uint64(64 - GATE_BITS)).astype(np.int64)])
-        if len(maybe):
-            at = np.minimum(np.searchsorted(self.vocabulary, hash_[maybe]), len(self.vocabulary) - 1)
-            hit = self.vocabulary[at] == hash_[maybe]
-            out[maybe[hit]] = at[hit]
+        place = (hash_ >> np.uint64(64 - GATE_BITS)).astype(np.int64)
+        out = self.table[place]
+        some = np.flatnonzero(out >= 0)
+        wrong = some[self.vocabulary[out[some]] != hash_[some]]
+        out[wrong] = -1
+        again = wrong[self.crowded[place[wrong]]]
+        if len(again):
+            at = np.minimum(np.searchsorted(self.vocabulary, hash_[again]), len(self.vocabulary) - 1)
+            hit = self.vocabulary[at] == hash_[again]
+            out[again[hit]] = at[hit]
         return out
 
 
@@ -102,9 +113,9 @@ def inverse_frequencies(docs: DataFrame, items: Items) -> np.ndarray:
 
 def passages(docs: DataFrame, items: Items, idf: np.ndarray) -> DataFrame:
     """Windows that could reach the least cosine: doc_id, width, norm, terms, counts, and ``near``, the benchmark words
-    of the window and half a width on either side, in order."""
+    of the window and half a width on either side, in order; ``basis`` marks disjoint windows that cover every text."""
     shared = docs.sparkSession.sparkContext.broadcast((items, idf, sorted(set(items.width))))
-    least = (COSINE - 0.1) ** 2
+    least = (COSINE - 0.03) ** 2
 
     def run(batches):
         items, idf, widths = shared.value
@@ -124,7 +135,8 @@ def passages(docs: DataFrame, items: Items, idf: np.ndarray) -> DataFrame:
                     doc = np.repeat(np.arange(b - a), steps)
                     if not len(doc):
                         continue
-                    start = w.first[doc] + half * (np.arange(len(doc)) - np.repeat(np.cumsum(steps) - steps, steps))
+                    step = np.arange(len(doc)) - np.repeat(np.cumsum(steps) - steps, steps)
+                    start = w.first[doc] + half * step
                     end = np.minimum(start + width, w.first[doc + 1])
                     for i in np.flatnonzero(known[end] - known[start] >= least * (whole[end] - whole[start])):
                         own = term[start[i] : end[i]]
@@ -132,11 +144,11 @@ def passages(docs: DataFrame, items: Items, idf: np.ndarray) -> DataFrame:
                         other = np.unique(w.hash[start[i] : end[i]][own < 0], return_counts=True)[1]
                         norm = np.sqrt(((counts * idf[terms]) ** 2).sum() + ((other * idf[-1]) ** 2).sum())
                         near = term[max(w.first[doc[i]], start[i] - half) : min(w.first[doc[i] + 1], end[i] + half)]
-                        out.append((rows["doc_id"].iloc[a + doc[i]], width, float(norm), terms, counts, near[near >= 0]))
-                yield pd.DataFrame(out, columns=["doc_id", "width", "norm", "terms", "counts", "near"])
+                        out.append((rows["doc_id"].iloc[a + doc[i]], width, float(norm), terms, counts, near[near >= 0], width == widths[-1] and step[i] % 2 == 0))
+                yield pd.DataFrame(out, columns=["doc_id", "width", "norm", "terms", "counts", "near", "basis"])
 
     rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), docs["text"])
-    out = rows.mapInPandas(run, "doc_id string, width int, norm double, terms array<int>, counts array<int>, near array<int>")
+    out = rows.mapInPandas(run, "doc_id string, width int, norm double, terms array<int>, counts array<int>, near array<int>, basis boolean")
     return materialize(out.withColumn("doc_id", F.col("doc_id").cast("long")), "leak_passages")
 
 
@@ -145,12 +157,12 @@ def _matrix(rows: pd.DataFrame, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray
     bounds = np.concatenate([[0], np.cumsum([len(t) for t in rows["terms"]])]).astype(np.int64)
     terms = np.concatenate(list(rows["terms"])).astype(np.int64) if len(rows) else np.zeros(0, np.int64)
     counts = np.concatenate(list(rows["counts"])) if len(rows) else np.zeros(0)
-    return bounds, terms, counts * idf[terms] / np.repeat(rows["norm"].to_numpy(), np.diff(bounds))
+    return bounds, terms, (counts * idf[terms] / np.repeat(rows["norm"].to_numpy(), np.diff(bounds))).astype(np.float32)
 
 
 def _times(bounds: np.ndarray, terms: np.ndarray, values: np.ndarray, right: np.ndarray) -> np.ndarray:
     """Sparse rows times a dense matrix."""
-    out = np.zeros((len(bounds) - 1, right.shape[1]))
+    out = np.zeros((len(bounds) - 1, right.shape[1]), dtype=np.float32)
     some = np.flatnonzero(np.diff(bounds))
     if len(some):
         out[some] = np.add.reduceat(values[:, None] * right[terms], bounds[some], axis=0)
@@ -159,7 +171,7 @@ def _times(bounds: np.ndarray, terms: np.ndarray, values: np.ndarray, right: np.
 
 def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, right: np.ndarray) -> np.ndarray:
     """(A'A) times ``right`` for the matrix of passages (distributed) and items."""
-    shared = found.sparkSession.sparkContext.broadcast((idf, right))
+    shared = found.sparkSession.sparkContext.broadcast((idf, right.astype(np.float32)))
 
     def part(rows: pd.DataFrame, idf: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         bounds, terms, values = _matrix(rows, idf)
@@ -185,9 +197,11 @@ def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, righ
         v = np.sum([np.frombuffer(x, dtype=np.float32).astype(np.float64) for x in rows["v"]], axis=0)
         return pd.DataFrame({"term": [rows["term"].iloc[0]], "v": [v.astype(np.float32).tobytes()]})
 
-    sums = found.select("norm", "terms", "counts").mapInPandas(run, "term long, salt long, v binary")
+    sums = found.where("basis").select("norm", "terms", "counts").mapInPandas(run, "term long, salt long, v binary")
     sums = sums.groupBy("term", "salt").applyInPandas(add, "term long, v binary").groupBy("term").applyInPandas(add, "term long, v binary").toPandas()
-    own, out = part(items_rows, idf, right)
+    weight = ITEM_ENERGY * max(1.0, found.where("basis").count() / max(1, len(items_rows)))
+    own, out = part(items_rows, idf, right.astype(np.float32))
+    out = out * weight
     total = np.zeros(right.shape)
     total[own] += out
     for t, v in zip(sums["term"], sums["v"]):
@@ -197,7 +211,7 @@ def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, righ
 
 def latent_space(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, terms: int, seed: int = 11) -> np.ndarray:
     """Orthonormal directions (terms x rank) of the passages' randomised SVD, after one power step."""
-    rank = min(terms, RANK)
+    rank = min(terms, len(items_rows) + RANK_MORE)
     right = np.random.default_rng(seed).standard_normal((terms, min(terms, rank + SPARE)))
     basis = np.linalg.qr(gram_times(found, items_rows, idf, right))[0]
     small = basis.T @ gram_times(found, items_rows, idf, basis)
@@ -215,7 +229,7 @@ def _block(docs: DataFrame, rows: list[tuple]) -> DataFrame | None:
     packed = [np.unique(w, return_counts=True) for w in items.words]
     norm = [float(np.sqrt(((n * idf[t]) ** 2).sum())) for t, n in packed]
     own = pd.DataFrame({"norm": norm, "terms": [t for t, _ in packed], "counts": [n for _, n in packed]})
-    space = latent_space(found, own, idf, len(items.vocabulary))
+    space = latent_space(found, own, idf, len(items.vocabulary)).astype(np.float32)
     shared = spark.sparkContext.broadcast((items, idf, space, _times(*_matrix(own, idf), space)))
 
     def run(batches):
