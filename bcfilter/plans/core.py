@@ -353,21 +353,21 @@ def _measure(name: str, column, sql: str):
         s = setting(spark, sf_dir)
         b, done = run(s, "ratio")
         row = measures.table_row(s.members, s.fp, b, done, s.n_universe, s.spec, 0.1, "ratio")
-        return row.select("fp", "n", (F.col("universe") - F.col("n")).alias("foreign_keys"), "removed", "fn", "s", "b", "m").select(*column)
+        return row.select("fp", "n", (F.col("universe") - F.col("n")).alias("foreign_keys"), "removed", "fn", "s", "b", "m").select(*column())
 
     query(name, _AFTER.replace("{}", sql))(f)
 
 
 c = F.col
-_measure("m_fp_rate", [r6(c("fp") / c("foreign_keys")).alias("fp_rate")], "round(fp / foreign_keys, 6) AS fp_rate")
-_measure("m_fp_rate_after", [r6((c("fp") - c("removed")) / c("foreign_keys")).alias("fp_rate_after")], "round((fp - removed) / foreign_keys, 6) AS fp_rate_after")
-_measure("m_fn_rate", [r6(c("fn") / c("n")).alias("fn_rate")], "round(fn / n, 6) AS fn_rate")
-_measure("m_delta_fp", [r6(c("removed") / c("fp")).alias("delta_fp")], "round(removed / fp, 6) AS delta_fp")
-_measure("m_delta_fn", [r6(c("fn") / c("n")).alias("delta_fn")], "round(fn / n, 6) AS delta_fn")
-_measure("m_chi", [r6((c("removed") / c("fp")) / (c("fn") / c("n"))).alias("chi")], "round((removed / fp) / (fn / n), 6) AS chi")
-_measure("m_bits_reset", [c("s"), r6(c("s") / c("b")).alias("per_key")], "s, round(s / b, 6) AS per_key")
-_measure("m_beta", [r6(c("b") / c("fp")).alias("beta")], "round(b / fp, 6) AS beta")
-_measure("m_overall_error", [measures.overall_error(c("fp") - c("removed"), c("fn")).alias("after"), measures.overall_error(c("fp"), F.lit(0.0)).alias("before")], "CAST(fp - removed + fn AS DOUBLE) AS after, CAST(fp AS DOUBLE) AS before")
+_measure("m_fp_rate", lambda: [r6(c("fp") / c("foreign_keys")).alias("fp_rate")], "round(fp / foreign_keys, 6) AS fp_rate")
+_measure("m_fp_rate_after", lambda: [r6((c("fp") - c("removed")) / c("foreign_keys")).alias("fp_rate_after")], "round((fp - removed) / foreign_keys, 6) AS fp_rate_after")
+_measure("m_fn_rate", lambda: [r6(c("fn") / c("n")).alias("fn_rate")], "round(fn / n, 6) AS fn_rate")
+_measure("m_delta_fp", lambda: [r6(c("removed") / c("fp")).alias("delta_fp")], "round(removed / fp, 6) AS delta_fp")
+_measure("m_delta_fn", lambda: [r6(c("fn") / c("n")).alias("delta_fn")], "round(fn / n, 6) AS delta_fn")
+_measure("m_chi", lambda: [r6((c("removed") / c("fp")) / (c("fn") / c("n"))).alias("chi")], "round((removed / fp) / (fn / n), 6) AS chi")
+_measure("m_bits_reset", lambda: [c("s"), r6(c("s") / c("b")).alias("per_key")], "s, round(s / b, 6) AS per_key")
+_measure("m_beta", lambda: [r6(c("b") / c("fp")).alias("beta")], "round(b / fp, 6) AS beta")
+_measure("m_overall_error", lambda: [measures.overall_error(c("fp") - c("removed"), c("fn")).alias("after"), measures.overall_error(c("fp"), F.lit(0.0)).alias("before")], "CAST(fp - removed + fn AS DOUBLE) AS after, CAST(fp AS DOUBLE) AS before")
 query("m_table_row", frozen_sql("ratio"))(_clear("ratio"))
 
 

@@ -1,0 +1,509 @@
+"""Experiment workloads: the key-universe simulation, the route replay and other places where hot keys matter."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions import sizing
+from ..functions.hashing import FilterSpec, hashed, sql_positions
+from ..operators import clearing, filters, measures, tracing
+from ..operators.baselines import union_all
+from ..operators.measures import r6
+from ..sources.tables import table, written
+from .base import ORACLE_SQL, QUERIES, U_SQL, VISIT_SQL, Setting, b_sql, choice_sql, frozen_sql, live_sql, query, row_sql, run, setting, setting_sql, with_sql
+
+BETAS = (0.01, 0.02, 0.05, 0.10, 0.25, 0.50, 0.75, 1.0)
+LIVE_BETAS = (0.01, 0.05, 0.10)
+c = F.col
+
+
+# --- simulation over the key universe ---------------------------------------------------------------------------
+
+
+def sim_rows(spark: SparkSession, sf_dir: str, rules, betas, live: bool = False, runs: int = 1, scope: str = "all") -> DataFrame:
+    """Results-table rows for rules, betas and runs (orders of the troublesome keys)."""
+    s = setting(spark, sf_dir)
+    out = []
+    for rule in rules:
+        for r in range(runs):
+            order = clearing.md5_order(run=r) if runs > 1 else None
+            for beta in betas:
+                b, done = run(s, rule, beta, live, scope, order=order, seed=r)
+                out.append(measures.table_row(s.members, s.fp, b, done, s.n_universe, s.spec, beta, rule, "live" if live else "frozen", scope, r))
+    return union_all(out)
+
+
+def sweep(s: Setting, rule: str, betas) -> DataFrame:
+    """All betas in one visit: with counters that do not depend on beta, a smaller beta is a prefix of the visit.
+
+    A position is cleared from the order of its reset on; a key is lost from the least such order on.
+    """
+    ordered = written(clearing.troublesome(s.fp, 1.0, count=s.n_fp), "ordered")
+    done = written(clearing.clear(s.members, s.fp, ordered, s.spec, rule).log, "log")
+    gone = done.where("acted").select("pos", "ord")
+
+    def first(keys: DataFrame) -> DataFrame:
+        return keys.select("key", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("key").agg(F.min("ord").alias("at"))
+
+    lost_fp = first(s.fp).join(ordered.select("key", c("ord").alias("own")), "key")
+    steps = s.fp.sparkSession.createDataFrame([(float(b), min(s.n_fp, max(1, clearing.round_half_up(b * s.n_fp)))) for b in betas], "beta double, last long")
+
+    def count(rows: DataFrame, cond, name: str) -> DataFrame:
+        return F.broadcast(steps).join(rows, cond, "left").groupBy("beta", "last").agg(F.count(rows[rows.columns[-1]]).alias(name))
+
+    removed = count(lost_fp.select("key", "own", "at"), c("at") <= c("last"), "removed")
+    extra = count(lost_fp.select("key", "own", "at"), (c("at") <= c("last")) & (c("own") > c("last")), "b_extra")
+    fn = count(first(s.members).select("key", "at"), c("at") <= c("last"), "fn")
+    resets = count(gone.select("pos", "ord"), c("ord") <= c("last"), "s")
+    out = removed.join(extra, ["beta", "last"]).join(fn, ["beta", "last"]).join(resets, ["beta", "last"])
+    dfp, dfn = c("removed") / F.lit(s.n_fp), c("fn") / F.lit(s.n)
+    return out.select(F.lit(rule).alias("algorithm"), "beta", c("last").alias("b"), "b_extra", "removed", "fn", "s", r6(F.try_divide(dfp, dfn)).alias("chi"))
+
+
+def _sweep_sql(rule: str, cols: str = "algorithm, beta, b, b_extra, removed, fn, s, chi") -> str:
+    return with_sql(
+        setting_sql(), b_sql(1.0), choice_sql(rule), VISIT_SQL,
+        "lf AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM fp) x JOIN c USING (pos) GROUP BY key)",
+        "la AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM a) x JOIN c USING (pos) GROUP BY key)",
+        f"st AS (SELECT beta, least(nf, greatest(1, CAST(floor(beta * nf + 0.5) AS BIGINT))) AS b, nf FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in BETAS)}]) AS beta), (SELECT count(*) AS nf FROM fp))",
+        f"""rw AS (SELECT '{rule}' AS algorithm, beta, b, nf, (SELECT count(*) FROM lf JOIN bo USING (key) WHERE hit_at <= b AND bo.ord > b) AS b_extra,
+ (SELECT count(*) FROM lf WHERE hit_at <= b) AS removed, (SELECT count(*) FROM la WHERE hit_at <= b) AS fn, (SELECT count(*) FROM c WHERE ord <= b) AS s FROM st)""",
+        f"rx AS (SELECT *, round((removed / nf) / nullif(fn / (SELECT CAST(n AS DOUBLE) FROM sp), 0), 6) AS chi FROM rw)",
+        select=f"SELECT {cols} FROM rx",
+    )
+
+
+for _rule in clearing.RULES:
+    query(f"w_sim_table_{_rule}", _sweep_sql(_rule))(lambda spark, sf_dir, r=_rule: sweep(setting(spark, sf_dir), r, BETAS))
+
+
+def _four(cols: list[str]):
+    def f(spark, sf_dir):
+        s = setting(spark, sf_dir)
+        return union_all([sweep(s, r, BETAS).select("algorithm", "beta", *cols) for r in clearing.RULES])
+
+    return f
+
+
+query("w_sim_bits_reset", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(r, 'algorithm, beta, b, s')})" for r in clearing.RULES))(_four(["b", "s"]))
+query("w_sim_chi", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(r, 'algorithm, beta, chi')})" for r in clearing.RULES))(_four(["chi"]))
+
+
+def _pairs_sql(rule: str) -> str:
+    parts = []
+    for b in LIVE_BETAS:
+        parts += [frozen_sql(rule, b), with_sql(setting_sql(), b_sql(b), live_sql(rule), select=row_sql(rule, "live", beta=b))]
+    return " UNION ALL ".join(f"SELECT algorithm, counters, beta, removed, fn, s, chi FROM ({x})" for x in parts)
+
+
+for _rule in ("min_fn", "max_fp", "ratio"):
+    query(f"w_live_{_rule}", _pairs_sql(_rule))(
+        lambda spark, sf_dir, r=_rule: union_all([sim_rows(spark, sf_dir, [r], LIVE_BETAS, live) for live in (False, True)]).select("algorithm", "counters", "beta", "removed", "fn", "s", "chi")
+    )
+
+_LIST_BITS = tuple(range(1, 11))
+
+
+def _lists(spark, sf_dir) -> DataFrame:
+    out = []
+    from ..operators.baselines import list_measures
+
+    for bits in _LIST_BITS:
+        s = setting(spark, sf_dir, bits)
+        out.append(list_measures(s).select(F.lit(s.spec.m).cast("long").alias("m"), "side", "cells", "entries"))
+    return union_all(out)
+
+
+def _lists_sql(expr: str) -> str:
+    return " UNION ALL ".join(
+        "SELECT * FROM (" + with_sql(setting_sql(b), select=" UNION ALL ".join(f"SELECT (SELECT m FROM sp) AS m, '{side}' AS side, {expr} FROM (SELECT unnest(positions) AS pos FROM {t})" for side, t in (("a", "a"), ("b", "fp"))), recursive=False) + ")" for b in _LIST_BITS
+    )
+
+
+query("w_list_occupancy", _lists_sql("round(count(DISTINCT pos) / CAST((SELECT m FROM sp) AS DOUBLE), 6) AS occupancy"))(lambda spark, sf_dir: _lists(spark, sf_dir).select("m", "side", r6(c("cells") / c("m")).alias("occupancy")))
+query("w_list_length", _lists_sql("round(count(*) / nullif(CAST(count(DISTINCT pos) AS DOUBLE), 0), 6) AS mean_length"))(lambda spark, sf_dir: _lists(spark, sf_dir).select("m", "side", r6(F.try_divide(c("entries").cast("double"), c("cells"))).alias("mean_length")))
+
+
+@query(
+    "w_fp_measured_vs_model",
+    " UNION ALL ".join(
+        "SELECT * FROM (" + with_sql(setting_sql(b, k), select=f"SELECT {k} AS k, m, round((SELECT count(*) FROM fp) / (SELECT CAST(count(*) AS DOUBLE) FROM u WHERE NOT is_member), 6) AS measured, round(power(1 - power(1 - 1 / CAST(m AS DOUBLE), {k} * n), {k}), 6) AS model FROM sp", recursive=False) + ")"
+        for b in (2, 5, 10) for k in (1, 3, 5)
+    ),
+)
+def w_fp_measured_vs_model(spark, sf_dir):
+    out = []
+    for bits in (2, 5, 10):
+        for k in (1, 3, 5):
+            s = setting(spark, sf_dir, bits, k)
+            row = s.fp.agg(F.count("*").alias("fp"))
+            out.append(row.select(F.lit(k).alias("k"), F.lit(s.spec.m).cast("long").alias("m"), r6(c("fp") / F.lit(float(s.n_universe - s.n))).alias("measured"), r6(sizing.fp_rate(s.n, s.spec.m, k)).alias("model")))
+    return union_all(out)
+
+
+_LAW = (1, 100, 500, 1000, 2000)
+
+
+@query(
+    "w_random_law",
+    with_sql(
+        setting_sql(), "g AS (SELECT pos, row_number() OVER (ORDER BY md5('0:' || CAST(pos AS VARCHAR)), pos) AS ord FROM v)",
+        "lf AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM fp) x JOIN g USING (pos) GROUP BY key)",
+        "la AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM a) x JOIN g USING (pos) GROUP BY key)",
+        select=f"SELECT s, round((SELECT count(*) FROM lf WHERE hit_at <= s) / (SELECT CAST(count(*) AS DOUBLE) FROM fp), 6) AS fp_removed, round((SELECT count(*) FROM la WHERE hit_at <= s) / (SELECT CAST(n AS DOUBLE) FROM sp), 6) AS members_lost, round(1 - (SELECT power(1 - s / ((1 - power(1 - 1 / CAST(m AS DOUBLE), 3 * n)) * m), 3) FROM sp), 6) AS law FROM (SELECT unnest({list(_LAW)}) AS s)",
+        recursive=False,
+    ),
+)
+def w_random_law(spark, sf_dir):
+    s = setting(spark, sf_dir)
+    pos = filters.build_positions(s.members.select("key"), s.spec)
+    gone = written(clearing.numbered(pos, [F.md5(F.concat(F.lit("0:"), c("pos").cast("string")).cast("binary")), c("pos")]), "gone")
+
+    def first(keys):
+        return keys.select("key", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("key").agg(F.min("ord").alias("at"))
+
+    steps = F.broadcast(spark.createDataFrame([(x,) for x in _LAW], "s int"))
+    x = steps.join(first(s.fp), c("at") <= c("s"), "left").groupBy("s").agg(F.count("at").alias("p"))
+    y = steps.join(first(s.members), c("at") <= c("s"), "left").groupBy("s").agg(F.count("at").alias("q"))
+    law = 1 - sizing.survival(c("s"), s.n, s.spec.m, s.spec.k)
+    return x.join(y, "s").select("s", r6(c("p") / float(s.n_fp)).alias("fp_removed"), r6(c("q") / float(s.n)).alias("members_lost"), r6(law).alias("law"))
+
+
+# --- route replay -----------------------------------------------------------------------------------------------
+
+HOPS_SQL = """li AS (SELECT o_custkey AS dest, o_orderdate, l_orderkey, l_linenumber, l_partkey, l_suppkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey),
+rk AS (SELECT cycle, dest, l_partkey, l_suppkey, row_number() OVER (PARTITION BY cycle, dest ORDER BY o_orderdate DESC, l_orderkey DESC, l_linenumber DESC, l_partkey DESC, l_suppkey DESC) AS rn
+  FROM li, (SELECT unnest({cycles}) AS cycle) WHERE o_orderdate < TIMESTAMP '2000-01-01' + to_days(CAST(60 * cycle AS INTEGER))),
+cu AS (SELECT cycle, dest, max(l_partkey) FILTER (rn = 1) AS part, max(l_suppkey) FILTER (rn = 1) AS supp, max(l_partkey) FILTER (rn = 2) AS prev FROM rk WHERE rn <= 2 GROUP BY cycle, dest),
+tr AS (SELECT cycle, m.n_nationkey AS monitor, dest, list_filter([1000000000 + m.n_nationkey, 2000000000 + 10 * m.n_regionkey + d.n_regionkey, 3000000000 + 100 * m.n_nationkey + c_nationkey, 4000000000 + supp,
+  CASE WHEN dest % 10 = 0 AND prev <> part THEN 5000000000 + prev END, 5000000000 + part], lambda x: x IS NOT NULL) AS path
+  FROM cu JOIN customer ON c_custkey = dest JOIN nation d ON d.n_nationkey = c_nationkey CROSS JOIN nation m WHERE m.n_nationkey < 10),
+hp AS (SELECT cycle, monitor, dest, ttl, node, ttl = len(path) AS is_penultimate, len(path) AS hops FROM (SELECT *, unnest(path) AS node, unnest(range(1, len(path) + 1)) AS ttl FROM tr)),
+ss AS (SELECT DISTINCT node AS key FROM hp WHERE cycle = 0 AND is_penultimate),
+kn AS (SELECT node AS key, count(*) AS weight FROM hp WHERE cycle = 0 GROUP BY node)"""
+
+
+def hops_sql(cycles) -> str:
+    return HOPS_SQL.replace("{cycles}", str(list(cycles)))
+
+
+def route_filter_sql(factor: float, beta: float | None, k: int = 5, live: bool = False) -> str:
+    """CTEs for one filter over the stop set: sp, a, fp (with weight), b by degree, and the visit unless beta is null."""
+    pos = sql_positions("kn.key", k, "sp.m")
+    base = f"""sp AS (SELECT CAST(ceil({factor} * count(*)) AS BIGINT) AS m, count(*) AS n FROM ss),
+h AS (SELECT kn.key, weight, ss.key IS NOT NULL AS is_member, {pos} AS positions FROM kn LEFT JOIN ss ON ss.key = kn.key, sp),
+a AS (SELECT key, positions FROM h WHERE is_member),
+v AS (SELECT DISTINCT unnest(positions) AS pos FROM a),
+vs AS (SELECT list(pos) AS ps FROM v),
+fp AS (SELECT key, weight, positions FROM h WHERE NOT is_member AND (SELECT bool_and(x IN (SELECT pos FROM v)) FROM (SELECT unnest(h.positions) AS x)))"""
+    if beta is None:
+        return base
+    b = f"""bo AS (SELECT key, positions, row_number() OVER (ORDER BY weight DESC, key) AS ord FROM fp),
+b AS (SELECT * FROM bo WHERE ord <= (SELECT least(count(*), greatest(1, CAST(floor({beta} * count(*) + 0.5) AS BIGINT))) FROM fp))"""
+    return ",\n".join([base, b, *([live_sql("ratio", k)] if live else [choice_sql("ratio", k), VISIT_SQL])])
+
+
+#: Outcome rows of the node set ``pz(key)``.
+_REPLAY = """fs AS (SELECT cycle, monitor, dest, min((ttl, is_penultimate)) AS x FROM hp JOIN pz ON pz.key = hp.node WHERE cycle IN ({cycles}) GROUP BY ALL),
+oc AS (SELECT e.cycle, e.monitor, e.dest, e.hops, x[1] AS stop_ttl, CASE WHEN x IS NULL THEN 'collision' WHEN x[2] THEN 'success' ELSE 'short' END AS outcome
+  FROM (SELECT cycle, monitor, dest, max(ttl) AS hops FROM hp WHERE cycle IN ({cycles}) GROUP BY ALL) e LEFT JOIN fs USING (cycle, monitor, dest)),
+ou AS (SELECT cycle, count(*) AS traces, round(avg(CAST(outcome = 'success' AS DOUBLE)), 6) AS success, round(avg(CAST(outcome = 'short' AS DOUBLE)), 6) AS short, round(avg(CAST(outcome = 'collision' AS DOUBLE)), 6) AS collision FROM oc GROUP BY cycle)"""
+_NODES = "nd AS (SELECT DISTINCT node AS key FROM hp)"
+
+
+def positive_sql(kind: str) -> str:
+    """CTE pz(key): nodes of any cycle that test positive."""
+    if kind == "list":
+        return "pz AS (SELECT key FROM ss)"
+    pos = sql_positions("key", 5, "sp.m")
+    left = "(SELECT pos FROM v)" if kind == "bloom" else "(SELECT pos FROM v WHERE pos NOT IN (SELECT pos FROM c))"
+    return f"nd AS (SELECT DISTINCT node AS key FROM hp),\nnh AS (SELECT key, unnest({pos}) AS pos FROM nd, sp),\nlv AS {left},\npz AS (SELECT key FROM nh LEFT JOIN lv USING (pos) GROUP BY key HAVING bool_and(lv.pos IS NOT NULL))"
+
+
+def replay_sql(kind: str, factor: float = 2.5, beta: float | None = 0.25, cycles=(0, 1), shown=(1,), live: bool = False, select: str = "SELECT * FROM ou") -> str:
+    parts = [hops_sql(cycles)]
+    if kind != "list":
+        parts.append(route_filter_sql(factor, beta if kind == "cleared" else None, live=live))
+    return with_sql(*parts, positive_sql(kind), _REPLAY.replace("{cycles}", ", ".join(map(str, shown))), select=select)
+
+
+class Routes:
+    """Written hops, stop set and known nodes with degrees; filters over the stop set."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, cycles=(0, 1)):
+        self.hops = written(tracing.hops(spark, sf_dir, list(cycles)), "hops")
+        self.stop = written(tracing.stop_set(self.hops), "stop")
+        self.known = written(tracing.degrees(self.hops), "known")
+        self.nodes = written(self.hops.select(c("node").alias("key")).distinct(), "nodes")
+        self.n = self.stop.count()
+
+    def spec(self, factor: float, k: int = 5) -> FilterSpec:
+        return FilterSpec(int(-(-factor * self.n // 1)), k)
+
+    def positive(self, kind: str, factor: float = 2.5, beta: float = 0.25, live: bool = False) -> DataFrame:
+        """(key) of all nodes that test positive."""
+        if kind == "list":
+            return self.stop
+        spec = self.spec(factor)
+        pos = written(filters.build_positions(self.stop, spec), "pos")
+        if kind == "cleared":
+            _, done = self.cleared(spec, beta, live)
+            pos = clearing.reset_bits(pos, done.cleared)
+        return filters.probe_negative(self.nodes, pos, spec).where("maybe").select("key")
+
+    def cleared(self, spec: FilterSpec, beta: float, live: bool = False):
+        members = hashed(self.stop, spec)
+        fp = written(clearing.false_positives(self.known.select("key"), self.stop, spec).join(self.known, "key"), "fp")
+        b = clearing.troublesome(fp, beta, [c("weight").desc(), c("key")])
+        done = clearing.clear(members, fp, b, spec, "ratio", live)
+        done.log = written(done.log, "log")
+        return fp, done
+
+    def replayed(self, kind: str, factor: float = 2.5, beta: float = 0.25, cycles=(1,), live: bool = False) -> DataFrame:
+        return tracing.replay(self.hops.where(c("cycle").isin(list(cycles))), self.positive(kind, factor, beta, live))
+
+
+KINDS = (("list", 2.5, 0.0), ("bloom", 2.5, 0.0), ("cleared", 2.5, 0.05), ("cleared", 2.5, 0.25), ("bloom", 5.0, 0.0), ("cleared", 5.0, 0.25))
+
+
+def _kinds_sql(cols: str) -> str:
+    return " UNION ALL ".join(f"SELECT '{k}' AS representation, CAST({f} AS DOUBLE) AS factor, CAST({b} AS DOUBLE) AS beta, {cols} FROM ({replay_sql(k, f, b)})" for k, f, b in KINDS)
+
+
+def _kinds(cols: list[str]):
+    def f(spark, sf_dir):
+        r = Routes(spark, sf_dir)
+        rows = [tracing.outcomes(r.replayed(k, x, b)).select(F.lit(k).alias("representation"), F.lit(x).alias("factor"), F.lit(b).alias("beta"), *cols) for k, x, b in KINDS]
+        return union_all(rows)
+
+    return f
+
+
+for _name, _col in (("success", "success"), ("short", "short"), ("collision", "collision")):
+    query(f"w_trace_{_name}", _kinds_sql(f"traces, {_col}"))(_kinds(["traces", _col]))
+    query(f"m_{_name}", replay_sql("cleared", select=f"SELECT cycle, {_col} FROM ou"))(lambda spark, sf_dir, x=_col: tracing.outcomes(Routes(spark, sf_dir).replayed("cleared")).select("cycle", x))
+
+
+@query("w_trace_trouble", with_sql(hops_sql((0,)), route_filter_sql(2.5, None), select="SELECT weight AS degree, count(*) AS keys FROM fp GROUP BY 1", recursive=False))
+def w_trace_trouble(spark, sf_dir):
+    r = Routes(spark, sf_dir, (0,))
+    fp = clearing.false_positives(r.known.select("key"), r.stop, r.spec(2.5)).join(r.known, "key")
+    return fp.groupBy(c("weight").alias("degree")).agg(F.count("*").alias("keys"))
+
+
+query("m_trouble_hist", ORACLE_SQL["w_trace_trouble"])(QUERIES["w_trace_trouble"])
+
+
+@query("m_centrality", with_sql(hops_sql((0,)), select="SELECT key, weight FROM kn", recursive=False))
+def m_centrality(spark, sf_dir):
+    return tracing.degrees(tracing.hops(spark, sf_dir, [0]))
+
+
+_SEEN = """sn AS (SELECT DISTINCT node FROM hp JOIN oc USING (cycle, monitor, dest) WHERE stop_ttl IS NULL OR ttl <= stop_ttl),
+sl AS (SELECT DISTINCT prev AS a, node AS b FROM (SELECT node, ttl, stop_ttl, lag(node) OVER (PARTITION BY cycle, monitor, dest ORDER BY ttl) AS prev FROM hp JOIN oc USING (cycle, monitor, dest) WHERE stop_ttl IS NULL OR ttl <= stop_ttl) WHERE prev IS NOT NULL)"""
+
+
+def _missed_sql(what: str, kind: str) -> str:
+    ref = replay_sql("list", select="SELECT * FROM {}").replace("SELECT * FROM {}", "").rstrip() + ",\n" + _SEEN
+    own = replay_sql(kind, select="").rstrip() + ",\n" + _SEEN
+    t, on = ("sn", "r.node = o.node") if what == "nodes" else ("sl", "r.a = o.a AND r.b = o.b")
+    return f"SELECT '{kind}' AS representation, round(avg(CAST(o.{'node' if what == 'nodes' else 'b'} IS NULL AS DOUBLE)), 6) AS {what}_missed FROM ({ref} SELECT * FROM {t}) r LEFT JOIN ({own} SELECT * FROM {t}) o ON {on}"
+
+
+def _missed(what: str):
+    def f(spark, sf_dir):
+        r = Routes(spark, sf_dir)
+        trace = r.hops.where("cycle = 1")
+        see = tracing.seen_nodes if what == "nodes" else tracing.seen_links
+        ref = written(see(trace, r.replayed("list")), "ref")
+        return union_all([tracing.missed(ref, see(trace, r.replayed(k)), f"{what}_missed").withColumn("representation", F.lit(k)) for k in ("bloom", "cleared")])
+
+    return f
+
+
+for _what in ("nodes", "links"):
+    _sql = " UNION ALL ".join(_missed_sql(_what, k) for k in ("bloom", "cleared"))
+    query(f"w_trace_{_what}_missed", _sql)(_missed(_what))
+    query(f"m_{_what}_missed", _sql)(_missed(_what))
+
+_SWEEP = tuple(round(i / 100, 2) for i in range(101))
+
+
+@query(
+    "w_trace_beta_sweep",
+    with_sql(
+        hops_sql((0, 1)), route_filter_sql(2.5, 1.0), "nd AS (SELECT DISTINCT node AS key FROM hp WHERE cycle = 1)",
+        f"nh AS (SELECT key, unnest({sql_positions('key', 5, 'sp.m')}) AS pos FROM nd, sp)",
+        "nx AS (SELECT key, min(coalesce(c.ord, 9000000000)) AS gone FROM nh JOIN v USING (pos) LEFT JOIN c USING (pos) GROUP BY key HAVING count(*) = 5)",
+        "ok AS (SELECT key FROM nh LEFT JOIN v USING (pos) GROUP BY key HAVING bool_and(v.pos IS NOT NULL))",
+        "ht AS (SELECT monitor, dest, ttl, is_penultimate, gone FROM hp JOIN nx ON nx.key = hp.node JOIN ok ON ok.key = hp.node WHERE cycle = 1)",
+        f"st AS (SELECT beta, CASE WHEN beta = 0 THEN 0 ELSE least(nf, greatest(1, CAST(floor(beta * nf + 0.5) AS BIGINT))) END AS last FROM (SELECT unnest({[float(x) for x in _SWEEP]}) AS beta), (SELECT count(*) AS nf FROM fp))",
+        "ff AS (SELECT beta, monitor, dest, min((ttl, is_penultimate)) AS x FROM st JOIN ht ON gone > last GROUP BY ALL)",
+        "te AS (SELECT count(*) AS traces FROM (SELECT DISTINCT monitor, dest FROM hp WHERE cycle = 1))",
+        select="SELECT st.beta, any_value(traces) AS traces, round(count(*) FILTER (x[2]) / CAST(any_value(traces) AS DOUBLE), 6) AS success, round(count(*) FILTER (NOT x[2]) / CAST(any_value(traces) AS DOUBLE), 6) AS short FROM st LEFT JOIN ff ON ff.beta = st.beta, te GROUP BY st.beta",
+    ),
+)
+def w_trace_beta_sweep(spark, sf_dir):
+    """All betas from one visit: a node is positive up to the order of the first reset among its positions."""
+    r = Routes(spark, sf_dir)
+    spec = r.spec(2.5)
+    pos = written(filters.build_positions(r.stop, spec), "pos")
+    fp, done = r.cleared(spec, 1.0)
+    n_fp = fp.count()
+    positive = filters.probe_negative(r.nodes, pos, spec).where("maybe").select("key")
+    gone = done.cleared.select("pos", "ord")
+    when = hashed(positive, spec).select("key", F.explode("positions").alias("pos")).join(gone, "pos", "left").groupBy("key").agg(F.min(F.coalesce("ord", F.lit(1 << 62))).alias("gone"))
+    trace = r.hops.where("cycle = 1")
+    first = trace.join(when, c("node") == c("key"))
+    # Per trace, a hop matters only while no earlier hop outlasts it: the stops form a staircase that all betas share.
+    stairs = first.groupBy("monitor", "dest").agg(F.array_sort(F.collect_list(F.struct("ttl", "is_penultimate", "gone"))).alias("hits"))
+    last = [(float(x), 0 if x == 0 else min(n_fp, max(1, clearing.round_half_up(x * n_fp)))) for x in _SWEEP]
+    steps = F.broadcast(spark.createDataFrame(last, "beta double, last long"))
+    stop = F.try_element_at(F.filter("hits", lambda h: h["gone"] > c("last")), F.lit(1))
+    each = stairs.crossJoin(steps).withColumn("stop", stop)
+    traces = trace.select("monitor", "dest").distinct().agg(F.count("*").alias("traces"))
+    sums = each.groupBy("beta").agg(F.count_if(c("stop.is_penultimate")).alias("s"), F.count_if(~c("stop.is_penultimate")).alias("f"))
+    return sums.crossJoin(F.broadcast(traces)).select("beta", "traces", r6(c("s") / c("traces").cast("double")).alias("success"), r6(c("f") / c("traces").cast("double")).alias("short"))
+
+
+_CYCLES = tuple(range(11))
+
+
+@query("w_trace_cycles", " UNION ALL ".join(f"SELECT '{k}' AS representation, * FROM ({replay_sql(k, 2.5, 0.25, _CYCLES, _CYCLES[1:])})" for k in ("list", "cleared")))
+def w_trace_cycles(spark, sf_dir):
+    r = Routes(spark, sf_dir, _CYCLES)
+    return union_all([tracing.outcomes(r.replayed(k, cycles=_CYCLES[1:])).withColumn("representation", F.lit(k)) for k in ("list", "cleared")])
+
+
+def _live_trace(col: str):
+    def f(spark, sf_dir):
+        r = Routes(spark, sf_dir)
+        return union_all([tracing.outcomes(r.replayed("cleared", 2.5, b, live=live)).select(F.lit(b).alias("beta"), F.lit("live" if live else "frozen").alias("counters"), col) for b in (0.01, 0.25) for live in (False, True)])
+
+    return f
+
+
+for _col in ("success", "short", "collision"):
+    _sql = " UNION ALL ".join(f"SELECT CAST({b} AS DOUBLE) AS beta, '{'live' if live else 'frozen'}' AS counters, {_col} FROM ({replay_sql('cleared', 2.5, b, live=live)})" for b in (0.01, 0.25) for live in (False, True))
+    query(f"w_trace_live_{_col}", _sql)(_live_trace(_col))
+
+
+@query("w_trace_merge", with_sql(hops_sql((0,)), "sp AS (SELECT CAST(ceil(2.5 * count(*)) AS BIGINT) AS m FROM ss)", select=f"SELECT DISTINCT unnest({sql_positions('key', 5, 'sp.m')}) AS pos FROM ss, sp", recursive=False))
+def w_trace_merge(spark, sf_dir):
+    """Each monitor learns its own filter; OR of all is the filter of the union."""
+    r = Routes(spark, sf_dir, (0,))
+    spec = r.spec(2.5)
+    own = hashed(r.hops.where("is_penultimate").select("monitor", c("node").alias("key")).distinct(), spec)
+    each = own.select("monitor", F.explode("positions").alias("pos")).groupBy("monitor", F.bitmap_bucket_number("pos").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("pos")).alias("bits"))
+    return filters.positions_of(filters.union(each.select("bucket", "bits")))
+
+
+@query("m_probe_load", " UNION ALL ".join(f"SELECT '{k}' AS representation, * FROM ({replay_sql(k, select='SELECT cycle, CAST(sum(coalesce(stop_ttl, hops + 1)) AS BIGINT) AS sent, CAST(sum(hops + 1 - coalesce(stop_ttl, hops + 1)) AS BIGINT) AS saved FROM oc GROUP BY cycle')})" for k in ("list", "bloom", "cleared")))
+def m_probe_load(spark, sf_dir):
+    r = Routes(spark, sf_dir)
+    return union_all([tracing.probe_load(r.replayed(k)).withColumn("representation", F.lit(k)) for k in ("list", "bloom", "cleared")])
+
+
+@query("m_destination_hits", replay_sql("list", cycles=(0, 1, 2, 3), shown=(0, 1, 2, 3), select="SELECT cycle, hits, CAST(sum(hits) OVER (ORDER BY cycle) AS BIGINT) AS total FROM (SELECT cycle, count(*) FILTER (cycle = 0 OR outcome = 'collision') AS hits FROM oc GROUP BY cycle)"))
+def m_destination_hits(spark, sf_dir):
+    r = Routes(spark, sf_dir, (0, 1, 2, 3))
+    return tracing.destination_hits(r.replayed("list", cycles=(0, 1, 2, 3)))
+
+
+@query("m_compression", with_sql(hops_sql((0,)), select="SELECT factor, m, round(32.0 * n / m, 6) AS ratio FROM (SELECT factor, n, CAST(ceil(factor * n) AS BIGINT) AS m FROM (SELECT unnest([1.25::DOUBLE, 2.5, 5.0, 7.5, 10.0, 12.5]) AS factor), (SELECT count(*) AS n FROM ss))", recursive=False))
+def m_compression(spark, sf_dir):
+    stop = tracing.stop_set(tracing.hops(spark, sf_dir, [0])).agg(F.count("*").alias("n"))
+    f = spark.createDataFrame([(x,) for x in (1.25, 2.5, 5.0, 7.5, 10.0, 12.5)], "factor double")
+    return f.crossJoin(stop).select("factor", F.ceil(c("factor") * c("n")).alias("m"), "n").select("factor", "m", r6(32.0 * c("n") / c("m")).alias("ratio"))
+
+
+@query("m_comm_cost", with_sql(hops_sql((0,)), select="SELECT r AS representation, CAST(10 * CASE r WHEN 'list' THEN 32 * n WHEN 'bloom' THEN CAST(ceil(2.5 * n) AS BIGINT) ELSE CAST(ceil(2.5 * n) AS BIGINT) END AS BIGINT) AS bits FROM (SELECT unnest(['list', 'bloom', 'cleared']) AS r), (SELECT count(*) AS n FROM ss)", recursive=False))
+def m_comm_cost(spark, sf_dir):
+    """Bits sent to all monitors; clearing does not change the size of a filter."""
+    stop = tracing.stop_set(tracing.hops(spark, sf_dir, [0])).agg(F.count("*").alias("n"))
+    kinds = spark.createDataFrame([("list",), ("bloom",), ("cleared",)], "representation string")
+    bits = F.when(c("representation") == "list", 32 * c("n")).otherwise(F.ceil(2.5 * c("n")))
+    return kinds.crossJoin(stop).select("representation", (10 * bits).cast("long").alias("bits"))
+
+
+_ASPECTS = ("success", "short", "collision")
+
+
+@query("m_aspect_matrix", " UNION ALL ".join(f"SELECT '{a}' AS aspect, {', '.join(f'(SELECT {a} FROM ({replay_sql(k)})) AS {k}' for k in ('list', 'bloom', 'cleared'))}" for a in _ASPECTS))
+def m_aspect_matrix(spark, sf_dir):
+    """Aspects by representation, recomputed from the replay and pivoted."""
+    r = Routes(spark, sf_dir)
+    rows = union_all([tracing.outcomes(r.replayed(k)).withColumn("representation", F.lit(k)) for k in ("list", "bloom", "cleared")])
+    long = rows.unpivot(["representation"], list(_ASPECTS), "aspect", "value")
+    return long.groupBy("aspect").pivot("representation", ["list", "bloom", "cleared"]).agg(F.first("value"))
+
+
+@query("baseline_full_trace", with_sql(hops_sql((0, 1)), select="SELECT cycle, count(*) AS traces, count(*) AS hits, CAST(sum(hops + 1) AS BIGINT) AS sent FROM (SELECT cycle, monitor, dest, max(ttl) AS hops FROM hp GROUP BY ALL) GROUP BY cycle", recursive=False))
+def baseline_full_trace(spark, sf_dir):
+    t = tracing.hops(spark, sf_dir, [0, 1]).groupBy("cycle", "monitor", "dest").agg(F.max("ttl").alias("hops"))
+    return t.groupBy("cycle").agg(F.count("*").alias("traces"), F.count("*").alias("hits"), F.sum(c("hops") + 1).alias("sent"))
+
+
+@query("baseline_cooperative", with_sql(hops_sql((0, 1)), "lw AS (SELECT node, min(monitor) AS lowest FROM hp WHERE cycle = 1 GROUP BY node)", "fo AS (SELECT monitor, dest, min(ttl) AS stop_ttl FROM hp JOIN lw USING (node) WHERE cycle = 1 AND lowest < monitor GROUP BY ALL)", select="SELECT monitor, count(*) AS traces, count(stop_ttl) AS stopped, CAST(sum(coalesce(stop_ttl, hops + 1)) AS BIGINT) AS sent FROM (SELECT monitor, dest, max(ttl) AS hops FROM hp WHERE cycle = 1 GROUP BY ALL) LEFT JOIN fo USING (monitor, dest) GROUP BY monitor", recursive=False))
+def baseline_cooperative(spark, sf_dir):
+    t = tracing.cooperative(written(tracing.hops(spark, sf_dir, [0, 1]), "hops"))
+    return t.groupBy("monitor").agg(F.count("*").alias("traces"), F.count("stop_ttl").alias("stopped"), F.sum(F.coalesce("stop_ttl", c("hops") + 1)).cast("long").alias("sent"))
+
+
+# --- other places where hot keys matter -------------------------------------------------------------------------
+
+
+@query("w_join_prefilter", with_sql(setting_sql(), b_sql(), choice_sql("ratio"), VISIT_SQL, "lf AS (SELECT list(pos) AS ps FROM v WHERE pos NOT IN (SELECT pos FROM c))", "hit AS (SELECT h.key, is_member, list_has_all(ps, positions) AS after, list_has_all((SELECT list(pos) FROM v), positions) AS before FROM h, lf)", select="SELECT count(*) AS lines, count(*) FILTER (before AND NOT is_member) AS false_before, count(*) FILTER (after AND NOT is_member) AS false_after, count(*) FILTER (is_member AND NOT after) AS lost FROM lineitem JOIN hit ON key = l_orderkey"))
+def w_join_prefilter(spark, sf_dir):
+    """Lines let through to a join with urgent orders, before and after clearing."""
+    s = setting(spark, sf_dir)
+    _, done = run(s, "ratio")
+    pos = written(filters.build_positions(s.members.select("key"), s.spec), "pos")
+    before = filters.probe_negative(s.u, pos, s.spec).select("key", c("maybe").alias("before"))
+    after = filters.probe_negative(s.u, clearing.reset_bits(pos, done.cleared), s.spec).select("key", c("maybe").alias("after"))
+    keys = s.u.join(before, "key").join(after, "key")
+    li = table(spark, sf_dir, "lineitem", ["l_orderkey"])
+    j = li.join(keys, c("l_orderkey") == c("key"))
+    return j.agg(F.count("*").alias("lines"), F.count_if(c("before") & ~c("is_member")).alias("false_before"), F.count_if(c("after") & ~c("is_member")).alias("false_after"), F.count_if(c("is_member") & ~c("after")).alias("lost"))
+
+
+_GRAM = "list_filter(string_split_regex(lower(text), '\\s+'), lambda x: x <> '')"
+
+
+def _grams_sql(src: str, key: str) -> str:
+    return f"SELECT {key}, unnest(list_transform(range(1, greatest(len(w) - 3, 1)), lambda i: array_to_string(w[i:i + 4], ' '))) AS g FROM (SELECT {key}, {_GRAM} AS w FROM {src})"
+
+
+@query("w_contamination", f"WITH bg AS (SELECT DISTINCT g FROM ({_grams_sql('benchmark', 'item_id')})), dg AS (SELECT g, count(DISTINCT doc_id) AS degree FROM ({_grams_sql('documents', 'doc_id')}) GROUP BY g) SELECT count(*) AS grams, count(*) FILTER (bg.g IS NOT NULL) AS in_benchmark, CAST(0 AS BIGINT) AS missed, max(degree) FILTER (bg.g IS NOT NULL) AS top_degree FROM dg LEFT JOIN bg USING (g)")
+def w_contamination(spark, sf_dir):
+    """Benchmark 5-grams as members, document 5-grams as probes; exact check behind the filter, degree by document."""
+
+    def grams(df, key):
+        words = F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "")
+        idx = F.when(F.size("w") >= 5, F.sequence(F.lit(1), F.size("w") - 4)).otherwise(F.array().cast("array<int>"))
+        return df.select(key, words.alias("w")).select(key, F.explode(F.transform(idx, lambda i: F.array_join(F.slice("w", i, 5), " "))).alias("key"))
+
+    a = grams(table(spark, sf_dir, "benchmark", ["item_id", "text"]), "item_id").select("key").distinct()
+    u = written(grams(table(spark, sf_dir, "documents", ["doc_id", "text"]), "doc_id").distinct().groupBy("key").agg(F.count("*").alias("degree")), "grams")
+    spec = FilterSpec(10 * max(1, a.count()), 7, "xxhash")
+    maybe = filters.probe_broadcast(u, filters.build_positions(a, spec), spec)
+    hit = maybe.join(a.withColumn("hit", F.lit(True)), "key", "left")
+    return hit.agg(F.count("*").alias("grams"), F.count_if(c("hit")).alias("in_benchmark"), F.count_if(c("hit") & ~c("maybe")).alias("missed"), F.max(F.when(c("hit"), c("degree"))).alias("top_degree"))
+
+
+@query("w_url_seen", f"WITH sp AS (SELECT 8 * count(*) AS m FROM pages WHERE page_id % 2 = 0), h AS (SELECT page_id, url, {sql_positions('url', 3, 'm', 'md5')} AS positions FROM pages, sp), v AS (SELECT list(DISTINCT p) AS ps FROM (SELECT unnest(positions) AS p FROM h WHERE page_id % 2 = 0)) SELECT page_id, list_has_all(ps, positions) AS seen FROM h, v")
+def w_url_seen(spark, sf_dir):
+    p = table(spark, sf_dir, "pages", ["page_id", "url"])
+    a = p.where("page_id % 2 = 0").select(c("url").alias("key"))
+    spec = FilterSpec(8 * a.count(), 3, "md5")
+    return filters.probe_join(p.withColumnRenamed("url", "key"), filters.build_positions(a, spec), spec).select("page_id", c("maybe").alias("seen"))
+
+
+@query("w_event_allowlist", f"WITH us AS (SELECT DISTINCT user_id AS key FROM events), sp AS (SELECT 6 * count(*) AS m FROM us WHERE key % 5 = 0), h AS (SELECT key, {sql_positions('key', 3, 'm')} AS positions FROM us, sp), v AS (SELECT list(DISTINCT p) AS ps FROM (SELECT unnest(positions) AS p FROM h WHERE key % 5 = 0)) SELECT event_type, count(*) AS events, count(*) FILTER (list_has_all(ps, positions)) AS let_through, count(*) FILTER (key % 5 = 0) AS allowed FROM events JOIN h ON key = user_id, v GROUP BY event_type")
+def w_event_allowlist(spark, sf_dir):
+    e = table(spark, sf_dir, "events", ["user_id", "event_type"]).withColumnRenamed("user_id", "key")
+    a = e.where("key % 5 = 0").select("key").distinct()
+    spec = FilterSpec(6 * a.count(), 3)
+    hit = filters.probe_broadcast(e, filters.build_positions(a, spec), spec)
+    return hit.groupBy("event_type").agg(F.count("*").alias("events"), F.count_if(c("maybe")).alias("let_through"), F.count_if(c("key") % 5 == 0).alias("allowed"))
