@@ -191,14 +191,21 @@ def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, righ
                 total[own] += add
                 any_[own] = True
         at = np.flatnonzero(any_)
-        yield pd.DataFrame({"term": at, "salt": np.random.default_rng(len(at)).integers(0, 64, len(at)), "v": [x.astype(np.float32).tobytes() for x in total[at]]})
+        yield pd.DataFrame({"term": at, "v": [x.astype(np.float32).tobytes() for x in total[at]]})
 
-    def add(rows: pd.DataFrame) -> pd.DataFrame:
-        v = np.sum([np.frombuffer(x, dtype=np.float32).astype(np.float64) for x in rows["v"]], axis=0)
-        return pd.DataFrame({"term": [rows["term"].iloc[0]], "v": [v.astype(np.float32).tobytes()]})
-
-    sums = found.where("basis").select("norm", "terms", "counts").mapInPandas(run, "term long, salt long, v binary")
-    sums = sums.groupBy("term", "salt").applyInPandas(add, "term long, v binary").groupBy("term").applyInPandas(add, "term long, v binary").toPandas()
+    def add(batches):
+        held: dict[int, np.ndarray] = {}
+        for rows in batches:
+            for t, v in zip(rows["term"], rows["v"]):
+                v = np.frombuffer(v, dtype=np.float32)
+                if t in held:
+                    held[t] += v
+                else:
+                    held[t] = v.astype(np.float64)
+        yield pd.DataFrame({"term": list(held), "v": [x.astype(np.float32).tobytes() for x in held.values()]})
+
+    sums = found.where("basis").select("norm", "terms", "counts").mapInPandas(run, "term long, v binary")
+    sums = sums.repartition("term").mapInPandas(add, "term long, v binary").toPandas()
     weight = ITEM_ENERGY * max(1.0, found.where("basis").count() / max(1, len(items_rows)))
     own, out = part(items_rows, idf, right.astype(np.float32))
     out = out * weight
