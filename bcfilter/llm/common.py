@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,6 +13,7 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 _LOCAL: list[str] = []
+_RECORDS: list[list] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -39,9 +41,21 @@ def materialize(df: DataFrame, tag: str = "table") -> DataFrame:
     df.write.parquet(path)
     back = spark.read.schema(df.schema).parquet(path)
     back.bcf_path = path
+    if _RECORDS:
+        _RECORDS[-1].append(back)
     return back
 
 
+@contextmanager
+def recorded(tables: list):
+    """Tables that are materialised inside are also put on the list, for their owner to drop."""
+    _RECORDS.append(tables)
+    try:
+        yield
+    finally:
+        _RECORDS.pop()
+
+
 def drop_table(df: DataFrame) -> None:
     """Remove the files of a table written by ``materialize`` once nothing reads it any more."""
     path = getattr(df, "bcf_path", None)

@@ -32,6 +32,8 @@ RANK_MORE, SPARE = 56, 8
 ITEMS, SHORTEST = 512, 5
 #: Energy of the items in the decomposition, against that of the passages.
 ITEM_ENERGY = 4.0
+#: Passages of a task that sums its part of the Gram product.
+TASK_ROWS = 32768
 GATE_BITS = 22
 
 
@@ -204,9 +206,12 @@ def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, righ
                     held[t] = v.astype(np.float64)
         yield pd.DataFrame({"term": list(held), "v": [x.astype(np.float32).tobytes() for x in held.values()]})
 
-    sums = found.where("basis").select("norm", "terms", "counts").mapInPandas(run, "term long, v binary")
+    # Few tasks with many rows each: a task's matrix is as large as its terms are many, whatever its rows.
+    rows = found.where("basis")
+    n = rows.count()
+    sums = rows.select("norm", "terms", "counts").coalesce(max(8, -(-n // TASK_ROWS))).mapInPandas(run, "term long, v binary")
     sums = sums.repartition("term").mapInPandas(add, "term long, v binary").toPandas()
-    weight = ITEM_ENERGY * max(1.0, found.where("basis").count() / max(1, len(items_rows)))
+    weight = ITEM_ENERGY * max(1.0, n / max(1, len(items_rows)))
     own, out = part(items_rows, idf, right.astype(np.float32))
     out = out * weight
     total = np.zeros(right.shape)

@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import drop_table, materialize
 from .components import components
 from .textbytes import Words, mix64, shingles, slices
 
@@ -209,6 +209,8 @@ def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85) -> DataFr
     wanted = clusters.join(blocks, "root").join(first, F.col("v") == F.col("rid"))
     wanted = materialize(wanted.select("x.doc_id", "x.tkey", "rid", F.col("root").alias("cluster"), "blocks"), "near_wanted")
     links = materialize(verified_links(sets_of(docs, wanted, size), percent), "near_links")
+    for done in (wanted, blocks, clusters):
+        drop_table(done)
     return label(seen, components(links))
 
 

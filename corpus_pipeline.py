@@ -2,16 +2,20 @@
 
 Language identification drops what it rejects; of each group of near-duplicates one document stays; documents that
 leak a benchmark item go; the mix repeats or drops documents so that sources meet their target weights; the last stage
-deals what is left into shards. ``run`` writes each stage's rows as Parquet in the shared folder and reads them back.
+deals what is left into shards. A stage's result is to be
+written before the next stage is called, as ``run`` does: it writes each stage's rows as Parquet in the shared folder
+and reads them back.
 """
 
 from __future__ import annotations
 
+from functools import wraps
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from bcfilter.llm.common import materialize, table
+from bcfilter.llm.common import drop_table, materialize, recorded, table
 from bcfilter.llm.decontaminate import leaks
 from bcfilter.llm.language import identify_documents
 from bcfilter.llm.minhash import near_duplicates
@@ -21,16 +25,34 @@ from bcfilter.llm.sharding import shard_documents
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
+_SCRATCH: list = []
+
+
+def _stage(f):
+    """Drops what earlier stages left in the shared folder, for their results are written by then, and notes its own."""
+
+    @wraps(f)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        while _SCRATCH:
+            drop_table(_SCRATCH.pop())
+        with recorded(_SCRATCH):
+            return f(spark, docs, sf_dir)
+
+    return run_stage
+
+
 def _chosen(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
     """Semi- or anti-join on doc_id that also matches null with null."""
     return docs.join(ids.select(F.col("doc_id").alias("chosen")).distinct(), docs["doc_id"].eqNullSafe(F.col("chosen")), how).select(*COLUMNS)
 
 
+@_stage
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is known; a doc_id of which one row is rejected goes."""
     return _chosen(docs, identify_documents(docs).where(~F.col("kept")), "left_anti")
 
 
+@_stage
 def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document of least doc_id of each group at 0.8 on five words; of rows that share a doc_id and a text, one.
 
@@ -43,11 +65,13 @@ def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: st
     return named.unionByName(docs.where("doc_id is null").select(*COLUMNS))
 
 
+@_stage
 def keep_clean_of_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a benchmark leak."""
     return _chosen(docs, leaks(docs, table(spark, sf_dir, "benchmark")), "left_anti")
 
 
+@_stage
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it (never, once or twice)."""
     copies = mix(docs).select(F.col("doc_id").alias("chosen"), "copies").groupBy("chosen").agg(F.max("copies").alias("copies")).where("copies > 0")
@@ -57,6 +81,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def deal_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every row with its shard and slot."""
+    while _SCRATCH:
+        drop_table(_SCRATCH.pop())
     return shard_documents(docs)
 
 
