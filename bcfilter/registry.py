@@ -2,5 +2,5 @@
 
 from __future__ import annotations
 
-from .plans import core, relational, workloads  # noqa: F401
+from .plans import core, relational, streams, workloads  # noqa: F401
 from .plans.base import ORACLE_SQL, QUERIES  # noqa: F401
