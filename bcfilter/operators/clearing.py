@@ -210,8 +210,9 @@ def touching(elements: DataFrame, among: DataFrame) -> DataFrame:
 def elements_of(members: DataFrame, scope: DataFrame, rule: str, weight: str | None = None) -> DataFrame:
     """(side, key, positions, weight) of the elements the rule counts."""
     w = F.col(weight).cast("long") if weight else F.lit(1).cast("long")
-    a = members.select(F.lit("a").alias("side"), "key", "positions", F.lit(1).cast("long").alias("weight"))
-    b = scope.select(F.lit("b").alias("side"), "key", "positions", w.alias("weight"))
+    own = [F.col(c).alias(c) for c in ("key", "positions")]  # fresh columns: the scope may be the troublesome keys themselves
+    a = members.select(F.lit("a").alias("side"), *own, F.lit(1).cast("long").alias("weight"))
+    b = scope.select(F.lit("b").alias("side"), *own, w.alias("weight"))
     return {"random": a.limit(0), "min_fn": a, "max_fp": b, "ratio": a.unionByName(b)}[rule]
 
 
