@@ -96,16 +96,18 @@ def inverse_frequencies(docs: DataFrame, items: Items) -> np.ndarray:
     def run(batches):
         items = shared.value
         size = len(items.vocabulary)
+        total, seen = np.zeros(size, dtype=np.int64), 0
         for rows in batches:
             texts = rows["text"].tolist()
-            for a, b in slices(texts, 16 << 20):
+            seen += len(texts)
+            for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
                 term = items.lookup(w.hash)
                 doc = np.repeat(np.arange(b - a), np.diff(w.first))
                 known = term >= 0
-                n = np.bincount(np.unique(doc[known] * size + term[known]) % size, minlength=size)
-                at = np.flatnonzero(n)
-                yield pd.DataFrame({"term": np.append(at, -1), "n": np.append(n[at], b - a)})
+                total += np.bincount(np.unique(doc[known] * size + term[known]) % size, minlength=size)
+        at = np.flatnonzero(total)
+        yield pd.DataFrame({"term": np.append(at, -1), "n": np.append(total[at], seen)})
 
     counts = docs.select("text").mapInPandas(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toPandas()
     n = dict(zip(counts["term"], counts["n"]))

@@ -118,7 +118,7 @@ def shingles(words: Words, size: int) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate(out) if out else np.zeros(0, np.uint64)), bounds
 
 
-def slices(texts: list, most: int = 4 << 20):
+def slices(texts: list, most: int = 1 << 20):
     """(from, to) so that each slice has about ``most`` characters or a single longer text."""
     a = size = 0
     for i, t in enumerate(texts):

@@ -41,18 +41,21 @@ def token_counts(train: DataFrame) -> DataFrame:
     """kind (0 token, 1 prefix), bucket, n texts and toxic texts that hold it, over ``train(text, toxic)``."""
 
     def run(batches):
+        n = [np.zeros(1 << bits, dtype=np.int64) for bits in (BITS, PREFIX_BITS)]
+        bad = [np.zeros(1 << bits, dtype=np.int64) for bits in (BITS, PREFIX_BITS)]
         for rows in batches:
             texts, toxic = rows["text"].tolist(), rows["toxic"].to_numpy()
-            for a, b in slices(texts, 16 << 20):
+            for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
                 doc = np.repeat(np.arange(b - a), np.diff(w.first))
                 for kind, code in enumerate(_buckets(w)):
                     once = np.unique(doc << BITS | code)
-                    code, mark = once & ((1 << BITS) - 1), toxic[a:b][once >> BITS].astype(np.float64)
-                    n = np.bincount(code)
-                    bad = np.bincount(code, weights=mark, minlength=len(n))
-                    at = np.flatnonzero(n)
-                    yield pd.DataFrame({"kind": kind, "bucket": at, "n": n[at], "bad": bad[at].astype(np.int64)})
+                    code = once & ((1 << BITS) - 1)
+                    np.add.at(n[kind], code, 1)
+                    np.add.at(bad[kind], code[toxic[a:b][once >> BITS] > 0], 1)
+        for kind in (0, 1):
+            at = np.flatnonzero(n[kind])
+            yield pd.DataFrame({"kind": kind, "bucket": at, "n": n[kind][at], "bad": bad[kind][at]})
 
     rows = train.select("text", F.col("toxic").cast("int").alias("toxic")).mapInPandas(run, "kind int, bucket long, n long, bad long")
     return rows.groupBy("kind", "bucket").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
