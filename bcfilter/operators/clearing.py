@@ -54,6 +54,23 @@ def numbered(df: DataFrame, order: list[Column], name: str = "ord") -> DataFrame
     return ranged.withColumn(name, rank).join(shift, "part").withColumn(name, (F.col(name) + F.col("shift")).cast("long")).drop("part", "shift")
 
 
+def running(df: DataFrame, order: str, sums: dict[str, str]) -> DataFrame:
+    """Running sums along ``order`` without one task for all rows: range partitions, then the sums of earlier ones."""
+    ranged = written(df.repartitionByRange(order).withColumn("part", F.spark_partition_id()), "ranged")
+    totals = sorted(tuple(r) for r in ranged.groupBy("part").agg(*[F.sum(c).cast("long") for c in sums]).collect())
+    shifts, at = [], [0] * len(sums)
+    for part, *own in totals:
+        shifts.append((part, *at))
+        at = [a + (b or 0) for a, b in zip(at, own)]
+    names = [f"shift{i}" for i in range(len(sums))]
+    shift = F.broadcast(df.sparkSession.createDataFrame(shifts, "part int, " + ", ".join(f"{n} long" for n in names)))
+    w = Window.partitionBy("part").orderBy(order).rowsBetween(Window.unboundedPreceding, 0)
+    out = ranged.join(shift, "part")
+    for n, (c, name) in zip(names, sums.items()):
+        out = out.withColumn(name, (F.sum(c).over(w) + F.col(n)).cast("long"))
+    return out.drop("part", *names)
+
+
 def md5_order(key: str = "key", run: int | None = None) -> list[Column]:
     text = F.col(key).cast("string")
     return [F.md5((text if run is None else F.concat(F.lit(f"{run}:"), text)).cast("binary")), F.col(key)]
@@ -347,8 +364,7 @@ def budget(log: DataFrame, members: DataFrame, max_resets: int | None = None, ma
     gone = log.where("acted").select("pos", "ord")
     first = members.select("key", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("key").agg(F.min("ord").alias("ord"))
     per = gone.join(first.groupBy("ord").agg(F.count("*").alias("lost")), "ord", "left").select("pos", "ord", F.coalesce("lost", F.lit(0)).alias("lost"))
-    w = Window.orderBy("ord").rowsBetween(Window.unboundedPreceding, 0)
-    per = per.withColumn("resets", F.count("*").over(w)).withColumn("fn", F.sum("lost").over(w))
+    per = running(per.withColumn("one", F.lit(1)), "ord", {"one": "resets", "lost": "fn"})
     ok = F.lit(True)
     if max_resets is not None:
         ok &= F.col("resets") <= max_resets

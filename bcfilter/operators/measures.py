@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .clearing import Cleared, hit_by
+from .clearing import Cleared, hit_by, running
 
 # Two-sided 95% quantiles of Student's t for 1 to 30 degrees of freedom.
 T95 = (12.7062, 4.3027, 3.1824, 2.7764, 2.5706, 2.4469, 2.3646, 2.3060, 2.2622, 2.2281, 2.2010, 2.1788, 2.1604, 2.1448, 2.1314, 2.1199, 2.1098, 2.1009, 2.0930, 2.0860, 2.0796, 2.0739, 2.0687, 2.0639, 2.0595, 2.0555, 2.0518, 2.0484, 2.0452, 2.0423)
@@ -78,8 +78,6 @@ def marginal(log: DataFrame, members: DataFrame, fp: DataFrame) -> DataFrame:
 
     ``fp`` and ``members`` may carry ``weight``; else every key weighs 1.
     """
-    from pyspark.sql.window import Window
-
     gone = log.where("acted").select("pos", "ord")
 
     def gain(keys: DataFrame, name: str) -> DataFrame:
@@ -89,7 +87,7 @@ def marginal(log: DataFrame, members: DataFrame, fp: DataFrame) -> DataFrame:
 
     per = gone.join(gain(fp, "benefit"), "ord", "left").join(gain(members, "cost"), "ord", "left")
     per = per.select("ord", "pos", F.coalesce("benefit", F.lit(0)).alias("benefit"), F.coalesce("cost", F.lit(0)).alias("cost"))
-    return per.withColumn("net", F.sum(F.col("benefit") - F.col("cost")).over(Window.orderBy("ord").rowsBetween(Window.unboundedPreceding, 0)))
+    return running(per.withColumn("gain", F.col("benefit") - F.col("cost")), "ord", {"gain": "net"}).drop("gain")
 
 
 def entropy_bits(m: Column, p1: Column) -> Column:
