@@ -30,7 +30,7 @@ def op3_toxic_segments(spark, sf_dir):
     rest = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(3))
     scored = score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), rest != 1)
     spans = F.array_join(F.transform(F.filter("segments", lambda s: s["tail"] <= 0.01), lambda s: F.concat_ws(":", s["start"].cast("string"), s["end"].cast("string"))), ",")
-    return scored.select("doc_id", (rest == 1).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"), spans.alias("spans"))
+    return scored.select("doc_id", F.coalesce(rest == 1, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"), spans.alias("spans"))
 
 
 def op4_arc_to_warc(spark, sf_dir):
