@@ -41,15 +41,21 @@ def _stage(f):
     return run_stage
 
 
-def _chosen(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
-    """Semi- or anti-join on doc_id that also matches null with null."""
-    return docs.join(ids.select(F.col("doc_id").alias("chosen")).distinct(), docs["doc_id"].eqNullSafe(F.col("chosen")), how).select(*COLUMNS)
+#: Ids to be dropped that are broadcast at most; beyond, texts and ids meet by shuffle.
+MOST_BROADCAST_IDS = 500_000
+
+
+def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """Documents whose doc_id (null included) is not among ``ids``, few of which a stage is expected to drop."""
+    gone = materialize(ids.select(F.col("doc_id").alias("gone")).distinct(), "gone_ids")
+    few = gone.count() <= MOST_BROADCAST_IDS
+    return docs.join(F.broadcast(gone) if few else gone, docs["doc_id"].eqNullSafe(F.col("gone")), "left_anti").select(*COLUMNS)
 
 
 @_stage
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is known; a doc_id of which one row is rejected goes."""
-    return _chosen(docs, identify_documents(docs).where(~F.col("kept")), "left_anti")
+    return _without(docs, identify_documents(docs).where(~F.col("kept")))
 
 
 @_stage
@@ -68,7 +74,7 @@ def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: st
 @_stage
 def keep_clean_of_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a benchmark leak."""
-    return _chosen(docs, leaks(docs, table(spark, sf_dir, "benchmark")), "left_anti")
+    return _without(docs, leaks(docs, table(spark, sf_dir, "benchmark")))
 
 
 @_stage
