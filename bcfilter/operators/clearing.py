@@ -350,13 +350,12 @@ def hit_by(keys: DataFrame, gone: DataFrame) -> DataFrame:
 
 
 def false_positives(universe: DataFrame, members: DataFrame, spec: FilterSpec) -> DataFrame:
-    """Foreign keys that test positive: (key, positions), by a staged probe over the observed universe."""
-    from .filters import probe_negative
+    """Foreign keys that test positive: (key, positions), over the observed universe."""
+    from .filters import positives
 
     pos = build_positions(members, spec)
     others = universe.select("key").join(members.select("key"), "key", "left_anti")
-    yes = probe_negative(others, pos, spec).where("maybe").select("key")
-    return hashed(yes, spec)
+    return hashed(positives(others, pos, spec), spec)
 
 
 def budget(log: DataFrame, members: DataFrame, max_resets: int | None = None, max_fn: int | None = None) -> DataFrame:

@@ -250,7 +250,7 @@ class Routes:
         if kind == "cleared":
             _, done = self.cleared(spec, beta, live)
             pos = clearing.reset_bits(pos, done.cleared)
-        return filters.probe_negative(self.nodes, pos, spec).where("maybe").select("key")
+        return filters.positives(self.nodes, pos, spec)
 
     def cleared(self, spec: FilterSpec, beta: float, live: bool = False):
         members = hashed(self.stop, spec)
@@ -351,7 +351,7 @@ def w_trace_beta_sweep(spark, sf_dir):
     pos = written(filters.build_positions(r.stop, spec), "pos")
     fp, done = r.cleared(spec, 1.0)
     n_fp = fp.count()
-    positive = filters.probe_negative(r.nodes, pos, spec).where("maybe").select("key")
+    positive = filters.positives(r.nodes, pos, spec)
     gone = done.cleared.select("pos", "ord")
     when = hashed(positive, spec).select("key", F.explode("positions").alias("pos")).join(gone, "pos", "left").groupBy("key").agg(F.min(F.coalesce("ord", F.lit(1 << 62))).alias("gone"))
     trace = r.hops.where("cycle = 1")
