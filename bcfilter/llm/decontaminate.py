@@ -1,13 +1,16 @@
 """Benchmark decontamination by latent semantic retrieval, then order and answer checks.
 
 Passages are overlapping windows of words in three widths; an item is searched in the least width that holds it. A
-passage is a TF-IDF vector with document frequencies counted over the corpus. Only words of the benchmark can add to a
-cosine with an item, so windows whose benchmark words carry too small a share of their norm to reach the least cosine
+passage is a TF-IDF vector with document frequencies counted over the corpus: exactly for words of the benchmark, in
+``1 << OTHER_BITS`` buckets by hash for all others (words that share a bucket count together, which can only shorten a
+passage's vector and so raise its cosines). Only words of the benchmark can add to a cosine with an item, so windows whose benchmark words carry too small a share of their norm to reach the least cosine
 are passed over at once (by the Cauchy-Schwarz inequality, so none that matters is lost). A randomised SVD of
 the other passages (disjoint ones, so that no text counts twice) and the items (with ``ITEM_ENERGY`` times their energy,
 else a small benchmark would vanish beside the corpus), as sums of small matrices over tasks with one power step, gives
 the latent space;
-candidates are pairs whose cosine there is at least ``COSINE``. A candidate counts as a leak when the longest common
+candidates are pairs whose cosine there is at least ``COSINE``. No fixed cosine is reached by every short item in a
+wide passage of rare words, so a passage that holds ``SHORTEST`` words of an item in a row is a candidate for that item
+whatever its cosine and is never passed over: a verbatim copy is compared at any size of the corpus. A candidate counts as a leak when the longest common
 subsequence of item and passage covers ``ORDER`` of the item's words, or, for paraphrases, ``LOOSE`` of them and most
 of its answer (its last sentence).
 
@@ -24,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialize
-from .textbytes import PUNCTUATION, Words, slices
+from .textbytes import _BASE, PUNCTUATION, Words, mix64, slices
 
 WIDTHS = (32, 64, 128)
 COSINE, ORDER, LOOSE, ANSWER = 0.3, 0.6, 0.45, 0.8
@@ -35,6 +38,8 @@ ITEM_ENERGY = 4.0
 #: Passages of a task that sums its part of the Gram product.
 TASK_ROWS = 32768
 GATE_BITS = 22
+#: Buckets (as bits of the hash) of the document frequencies of words outside the benchmark.
+OTHER_BITS = 18
 
 
 class Items:
@@ -60,6 +65,12 @@ class Items:
         self.table[place[::-1]] = np.arange(len(place), dtype=np.int32)[::-1]
         self.crowded = np.zeros(1 << GATE_BITS, dtype=bool)
         self.crowded[place[1:][place[1:] == place[:-1]]] = True
+        own = [runs(t, np.arange(len(t) - SHORTEST + 1)) for t in self.words]
+        run = np.concatenate(own) if own else np.zeros(0, np.uint64)
+        item = np.repeat(np.arange(len(own)), [len(x) for x in own])
+        order = np.argsort(run, kind="stable")
+        self.runs, first = np.unique(run[order], return_index=True)
+        self.run_items = np.split(item[order], first[1:])
 
     def lookup(self, hash_: np.ndarray) -> np.ndarray:
         """Position in the vocabulary, -1 for other words."""
@@ -76,6 +87,19 @@ class Items:
         return out
 
 
+def other_place(hash_: np.ndarray) -> np.ndarray:
+    """Bucket of a word outside the benchmark."""
+    return (hash_ >> np.uint64(64 - OTHER_BITS)).astype(np.int64)
+
+
+def runs(term: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Hash of the ``SHORTEST`` terms from each start on."""
+    out = np.zeros(len(start), dtype=np.uint64)
+    for j in range(SHORTEST):
+        out = mix64(out * _BASE + term[start + j].astype(np.uint64) + np.uint64(1))
+    return out
+
+
 def lcs(a: list, b: list) -> int:
     """Length of the longest common subsequence, bit-parallel over ``a``."""
     where: dict = {}
@@ -89,13 +113,14 @@ def lcs(a: list, b: list) -> int:
     return len(a) - v.bit_count()
 
 
-def inverse_frequencies(docs: DataFrame, items: Items) -> np.ndarray:
-    """ln((1 + N) / (1 + df)) of every benchmark word, over all documents; the last value is for words never met."""
+def inverse_frequencies(docs: DataFrame, items: Items) -> tuple[np.ndarray, np.ndarray]:
+    """ln((1 + N) / (1 + df)) over all documents, of every benchmark word and of every bucket of other words."""
     shared = docs.sparkSession.sparkContext.broadcast(items)
+    others = 1 << OTHER_BITS
 
     def run(batches):
         items = shared.value
-        size = len(items.vocabulary)
+        size = others + len(items.vocabulary)
         total, seen = np.zeros(size, dtype=np.int64), 0
         for rows in batches:
             texts = rows["text"].tolist()
@@ -103,34 +128,52 @@ def inverse_frequencies(docs: DataFrame, items: Items) -> np.ndarray:
             for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
                 term = items.lookup(w.hash)
+                place = np.where(term >= 0, others + term, other_place(w.hash))
                 doc = np.repeat(np.arange(b - a), np.diff(w.first))
-                known = term >= 0
-                total += np.bincount(np.unique(doc[known] * size + term[known]) % size, minlength=size)
+                total += np.bincount(np.unique(doc * size + place) % size, minlength=size)
         at = np.flatnonzero(total)
         yield pd.DataFrame({"term": np.append(at, -1), "n": np.append(total[at], seen)})
 
-    counts = docs.select("text").mapInPandas(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toPandas()
-    n = dict(zip(counts["term"], counts["n"]))
-    df = np.array([n.get(t, 0) for t in range(len(items.vocabulary))] + [0], dtype=float)
-    return np.log((1 + n.get(-1, 0)) / (1 + df)) + 1e-3
-
-
-def passages(docs: DataFrame, items: Items, idf: np.ndarray) -> DataFrame:
-    """Windows that could reach the least cosine: doc_id, width, norm, terms, counts, and ``near``, the benchmark words
-    of the window and half a width on either side, in order; ``basis`` marks disjoint windows that cover every text."""
-    shared = docs.sparkSession.sparkContext.broadcast((items, idf, sorted(set(items.width))))
+    def pack(batches):
+        for rows in batches:
+            yield pd.DataFrame({"term": [rows["term"].to_numpy(np.int64).tobytes()], "n": [rows["n"].to_numpy(np.int64).tobytes()]})
+
+    counts = docs.select("text").mapInPandas(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    df, n = np.zeros(others + len(items.vocabulary)), 0
+    for r in counts.mapInPandas(pack, "term binary, n binary").toLocalIterator():
+        at, own = np.frombuffer(r["term"], np.int64), np.frombuffer(r["n"], np.int64)
+        df[at[at >= 0]] = own[at >= 0]
+        n += int(own[at < 0].sum())
+    idf = np.log((1 + n) / (1 + df)) + 1e-3
+    return idf[others:], idf[:others]
+
+
+def passages(docs: DataFrame, items: Items, idf: np.ndarray, other_idf: np.ndarray) -> DataFrame:
+    """Windows that could reach the least cosine or hold a run of an item: doc_id, width, norm, terms, counts, ``near``,
+    the benchmark words of the window and half a width on either side, in order, and ``held``, the items of this width
+    of which the window holds ``SHORTEST`` words in a row; ``basis`` marks disjoint windows that cover every text."""
+    shared = docs.sparkSession.sparkContext.broadcast((items, idf, other_idf, sorted(set(items.width))))
     least = (COSINE - 0.03) ** 2
 
     def run(batches):
-        items, idf, widths = shared.value
+        items, idf, other_idf, widths = shared.value
+        item_width = np.array(items.width)
         for rows in batches:
             texts = rows["text"].tolist()
             for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
                 term = items.lookup(w.hash)
-                square = idf[term] ** 2
+                weight = np.where(term >= 0, idf[term], other_idf[other_place(w.hash)])
+                square = weight**2
                 whole = np.concatenate([[0.0], np.cumsum(square)])
                 known = np.concatenate([[0.0], np.cumsum(np.where(term >= 0, square, 0.0))])
+                of = np.repeat(np.arange(b - a), np.diff(w.first))
+                some = np.flatnonzero(np.convolve(term >= 0, np.ones(SHORTEST, np.int64), "valid") == SHORTEST) if len(term) >= SHORTEST else np.zeros(0, np.int64)
+                some = some[of[some] == of[some + SHORTEST - 1]]
+                run_hash = runs(term, some)
+                at = np.minimum(np.searchsorted(items.runs, run_hash), len(items.runs) - 1)
+                is_run = items.runs[at] == run_hash
+                hit, hit_run = some[is_run], at[is_run]
                 out = []
                 for width in widths:
                     half = width // 2
@@ -142,17 +185,20 @@ def passages(docs: DataFrame, items: Items, idf: np.ndarray) -> DataFrame:
                     step = np.arange(len(doc)) - np.repeat(np.cumsum(steps) - steps, steps)
                     start = w.first[doc] + half * step
                     end = np.minimum(start + width, w.first[doc + 1])
-                    for i in np.flatnonzero(known[end] - known[start] >= least * (whole[end] - whole[start])):
+                    lo, hi = np.searchsorted(hit, start), np.searchsorted(hit, end - SHORTEST, side="right")
+                    for i in np.flatnonzero((known[end] - known[start] >= least * (whole[end] - whole[start])) | (lo < hi)):
+                        held = np.unique(np.concatenate([items.run_items[x] for x in np.unique(hit_run[lo[i] : hi[i]])])) if lo[i] < hi[i] else np.zeros(0, np.int64)
+                        held = held[item_width[held] == width]
                         own = term[start[i] : end[i]]
                         terms, counts = np.unique(own[own >= 0], return_counts=True)
-                        other = np.unique(w.hash[start[i] : end[i]][own < 0], return_counts=True)[1]
-                        norm = np.sqrt(((counts * idf[terms]) ** 2).sum() + ((other * idf[-1]) ** 2).sum())
+                        _, at, other = np.unique(w.hash[start[i] : end[i]][own < 0], return_index=True, return_counts=True)
+                        norm = np.sqrt(((counts * idf[terms]) ** 2).sum() + ((other * weight[start[i] : end[i]][own < 0][at]) ** 2).sum())
                         near = term[max(w.first[doc[i]], start[i] - half) : min(w.first[doc[i] + 1], end[i] + half)]
-                        out.append((rows["doc_id"].iloc[a + doc[i]], width, float(norm), terms, counts, near[near >= 0], width == widths[-1] and step[i] % 2 == 0))
-                yield pd.DataFrame(out, columns=["doc_id", "width", "norm", "terms", "counts", "near", "basis"])
+                        out.append((rows["doc_id"].iloc[a + doc[i]], width, float(norm), terms, counts, near[near >= 0], held, width == widths[-1] and step[i] % 2 == 0))
+                yield pd.DataFrame(out, columns=["doc_id", "width", "norm", "terms", "counts", "near", "held", "basis"])
 
     rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), docs["text"])
-    out = rows.mapInPandas(run, "doc_id string, width int, norm double, terms array<int>, counts array<int>, near array<int>, basis boolean")
+    out = rows.mapInPandas(run, "doc_id string, width int, norm double, terms array<int>, counts array<int>, near array<int>, held array<int>, basis boolean")
     return materialize(out.withColumn("doc_id", F.col("doc_id").cast("long")), "leak_passages")
 
 
@@ -238,8 +284,8 @@ def _block(docs: DataFrame, rows: list[tuple]) -> DataFrame | None:
     if not items.ids:
         return None
     spark = docs.sparkSession
-    idf = inverse_frequencies(docs, items)
-    found = passages(docs, items, idf)
+    idf, other_idf = inverse_frequencies(docs, items)
+    found = passages(docs, items, idf, other_idf)
     packed = [np.unique(w, return_counts=True) for w in items.words]
     norm = [float(np.sqrt(((n * idf[t]) ** 2).sum())) for t, n in packed]
     own = pd.DataFrame({"norm": norm, "terms": [t for t, _ in packed], "counts": [n for _, n in packed]})
@@ -255,7 +301,10 @@ def _block(docs: DataFrame, rows: list[tuple]) -> DataFrame | None:
                 some = rows.iloc[a : a + 512]
                 cosine = _times(*_matrix(some, idf), space) @ latent.T
                 cosine[some["width"].to_numpy()[:, None] != width[None, :]] = 0
-                for p, q in zip(*np.nonzero(cosine >= COSINE)):
+                close = cosine >= COSINE
+                for p, held in enumerate(some["held"]):
+                    close[p, held] = True
+                for p, q in zip(*np.nonzero(close)):
                     near, item = some["near"].iloc[p].tolist(), items.words[q].tolist()
                     order = lcs(item, near) / len(item)
                     if order < LOOSE:

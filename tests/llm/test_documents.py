@@ -4,10 +4,12 @@ import collections
 import hashlib
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from bcfilter.llm import decontaminate, language, minhash, mixing, queries, secret_scan, sharding, substring_dedup, toxicity
+from bcfilter.llm.textbytes import PUNCTUATION, Words
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
@@ -147,6 +149,25 @@ def test_leaks_odd_rows(odd, none, spark):
     assert decontaminate.leaks(none, items).count() == 0 and decontaminate.leaks(odd, items.limit(0)).count() == 0
 
 
+def test_frequencies_of_words_outside_the_benchmark(spark):
+    docs = spark.createDataFrame([(i, f"common word{i} alpha") for i in range(50)], "doc_id long, text string")
+    items = decontaminate.Items([(1, "alpha beta gamma delta epsilon")])
+    idf, other = decontaminate.inverse_frequencies(docs, items)
+    w = Words(["common word7 alpha beta"], PUNCTUATION)
+    place, term = decontaminate.other_place(w.hash), items.lookup(w.hash)
+    assert np.allclose([other[place[0]], idf[term[2]]], 1e-3) and np.isclose(idf[term[3]], np.log(51) + 1e-3)
+    assert np.isclose(other[place[1]], np.log(51 / 2) + 1e-3)
+
+
+def test_a_short_item_of_common_words_is_found_among_rare_words(spark):
+    rare = [f"rare{i}" for i in range(60)]
+    text = " ".join(rare[:30]) + " one two three four five " + " ".join(rare[30:])
+    rows = [(0, text)] + [(i, f"five filler{i} two one four three") for i in range(1, 300)]
+    items = spark.createDataFrame([(1, "One two, three four five.")], "item_id long, text string")
+    got = decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), items)
+    assert got.where("doc_id = 0").count() == 1
+
+
 def test_lcs_against_the_table_method():
     import random
 
