@@ -1,6 +1,7 @@
 """Benchmark decontamination by latent semantic retrieval, then order and answer checks.
 
-Passages are overlapping windows of words in three widths; an item is searched in the least width that holds it. A
+Passages are overlapping windows of words in widths that double from ``NARROWEST`` on, as far as the items need; an item
+is searched in the least width that holds it, however long it is. A
 passage is a TF-IDF vector with document frequencies counted over the corpus: exactly for words of the benchmark, in
 ``1 << OTHER_BITS`` buckets by hash for all others (words that share a bucket count together, which can only shorten a
 passage's vector and so raise its cosines). Only words of the benchmark can add to a cosine with an item, so windows whose benchmark words carry too small a share of their norm to reach the least cosine
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import materialize
 from .textbytes import _BASE, PUNCTUATION, Words, mix64, slices
 
-WIDTHS = (32, 64, 128)
+NARROWEST = 32
 COSINE, ORDER, LOOSE, ANSWER = 0.3, 0.6, 0.45, 0.8
 RANK_MORE, SPARE = 56, 8
 ITEMS, SHORTEST = 512, 5
@@ -52,14 +53,14 @@ class Items:
         spans = [(words.first[i], words.first[i + 1]) for i in keep]
         self.vocabulary = np.unique(np.concatenate([words.hash[a:b] for a, b in spans])) if keep else np.zeros(0, np.uint64)
         self.words = [np.searchsorted(self.vocabulary, words.hash[a:b]).astype(np.int32) for a, b in spans]
-        self.width = [next((w for w in WIDTHS if b - a <= w), WIDTHS[-1]) for a, b in spans]
+        self.width = [max(NARROWEST, 1 << int(b - a - 1).bit_length()) for a, b in spans]
         ends = (words.data == 46) | (words.data == 63) | (words.data == 33)
         count = np.concatenate([[0], np.cumsum(ends)])
         self.answer = []
         for a, b in spans:
             sentence = count[words.start[a:b]]
             own = int((sentence == sentence[-1]).sum())
-            self.answer.append(max(1, min(own, 12)))
+            self.answer.append(max(1, own))
         place = (self.vocabulary >> np.uint64(64 - GATE_BITS)).astype(np.int64)
         self.table = np.full(1 << GATE_BITS, -1, dtype=np.int32)
         self.table[place[::-1]] = np.arange(len(place), dtype=np.int32)[::-1]

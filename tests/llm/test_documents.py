@@ -168,6 +168,19 @@ def test_a_short_item_of_common_words_is_found_among_rare_words(spark):
     assert got.where("doc_id = 0").count() == 1
 
 
+def test_items_of_any_length_are_found(spark):
+    long = {n: " ".join(f"w{n}x{i}" for i in range(n)) for n in (128, 129, 427, 569, 3000)}
+    items = spark.createDataFrame(list(long.items()), "item_id long, text string")
+    docs = spark.createDataFrame([(n, "some words before " * 20 + t + " and some after" * 20) for n, t in long.items()], "doc_id long, text string")
+    got = decontaminate.leaks(docs, items).collect()
+    assert {(r.doc_id, r.item_id, r.order_share) for r in got} == {(n, n, 1.0) for n in long}
+
+
+def test_the_whole_last_sentence_is_the_answer():
+    items = decontaminate.Items([(1, "A question of five words? " + " ".join(f"w{i}" for i in range(40)) + ".")])
+    assert items.answer == [40]
+
+
 def test_lcs_against_the_table_method():
     import random
 
