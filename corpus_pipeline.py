@@ -13,7 +13,6 @@ from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from bcfilter.llm.common import drop_table, materialize, recorded, table
 from bcfilter.llm.decontaminate import leaks
@@ -45,44 +44,59 @@ def _stage(f):
 MOST_BROADCAST_IDS = 500_000
 
 
+def _keyed(docs: DataFrame, ordered: bool = False) -> DataFrame:
+    """Written rows with a key of their own as ``doc_id`` and the id they came with as ``own_id``.
+
+    ``ordered`` makes keys rise with the id (null last), then with the text's hash, for operators that keep the least.
+    """
+    rows = docs.select(*COLUMNS).withColumnRenamed("doc_id", "own_id")
+    if ordered:
+        rows = rows.withColumn("tie", F.monotonically_increasing_id())
+        rows = rows.orderBy(F.col("own_id").asc_nulls_last(), F.xxhash64("text"), "tie").drop("tie")
+    return materialize(rows.withColumn("doc_id", F.monotonically_increasing_id()), "keyed")
+
+
+def _plain(rows: DataFrame) -> DataFrame:
+    """Rows with the id they came with."""
+    return rows.select(F.col("own_id").alias("doc_id"), *COLUMNS[1:])
+
+
 def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Documents whose doc_id (null included) is not among ``ids``, few of which a stage is expected to drop."""
+    """Keyed rows whose key is not among ``ids``, few of which a stage is expected to drop."""
     gone = materialize(ids.select(F.col("doc_id").alias("gone")).distinct(), "gone_ids")
     few = gone.count() <= MOST_BROADCAST_IDS
-    return docs.join(F.broadcast(gone) if few else gone, docs["doc_id"].eqNullSafe(F.col("gone")), "left_anti").select(*COLUMNS)
+    return _plain(docs.join(F.broadcast(gone) if few else gone, docs["doc_id"] == F.col("gone"), "left_anti"))
 
 
 @_stage
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language is known; a doc_id of which one row is rejected goes."""
+    """Rows whose language is known."""
+    docs = _keyed(docs)
     return _without(docs, identify_documents(docs).where(~F.col("kept")))
 
 
 @_stage
 def keep_one_of_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least doc_id of each group at 0.8 on five words; of rows that share a doc_id and a text, one.
-
-    Rows of null doc_id can't be told apart by id and stay.
-    """
+    """The row of least doc_id (null last) of each group at 0.8 on five words; rows without words are in no group."""
+    docs = _keyed(docs, ordered=True)
     found = near_duplicates(docs, size=5, percent=80)
-    named = docs.join(found.where("kept and doc_id is not null").select("doc_id").distinct(), "doc_id", "left_semi")
-    rank = F.row_number().over(Window.partitionBy("doc_id", F.xxhash64("text")).orderBy("doc_id"))
-    named = named.withColumn("nth", rank).where("nth = 1").select(*COLUMNS)
-    return named.unionByName(docs.where("doc_id is null").select(*COLUMNS))
+    return _without(docs, found.where(~F.col("kept")))
 
 
 @_stage
 def keep_clean_of_benchmarks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a benchmark leak."""
+    """Rows without a benchmark leak."""
+    docs = _keyed(docs)
     return _without(docs, leaks(docs, table(spark, sf_dir, "benchmark")))
 
 
 @_stage
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix takes it (never, once or twice)."""
-    copies = mix(docs).select(F.col("doc_id").alias("chosen"), "copies").groupBy("chosen").agg(F.max("copies").alias("copies")).where("copies > 0")
-    taken = docs.join(copies, docs["doc_id"].eqNullSafe(F.col("chosen")))
-    return taken.withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).select(*COLUMNS)
+    """Each row as often as the mix takes it (never, once or twice)."""
+    docs = _keyed(docs)
+    copies = mix(docs).select(F.col("doc_id").alias("chosen"), "copies").where("copies > 0")
+    taken = docs.join(copies, docs["doc_id"] == F.col("chosen"))
+    return _plain(taken.withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))))
 
 
 def deal_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

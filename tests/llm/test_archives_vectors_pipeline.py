@@ -145,3 +145,19 @@ def test_stages_on_odd_and_empty_rows(spark, odd, none, sf):
         docs = docs.select("doc_id", "text", "lang", "source", "n_chars", "size")
         for _, stage in corpus_pipeline.STAGES:
             stage(spark, docs, sf).count()
+
+
+def test_stages_decide_by_row_not_by_id(spark, sf):
+    leak = spark.read.parquet(f"{sf}/benchmark.parquet").first()["text"]
+    a, b = (" ".join(f"{x}{i}" for i in range(40)) for x in ("left", "right"))
+    cols = "doc_id long, text string, lang string, source string, n_chars long"
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i in (None, 5) for t in (a, b, leak)], cols)
+    kept = corpus_pipeline.keep_one_of_near_duplicates(spark, docs, sf).collect()
+    assert sorted((r.doc_id, r.text) for r in kept) == sorted((5, t) for t in (a, b, leak))
+    kept = corpus_pipeline.keep_clean_of_benchmarks(spark, docs, sf).collect()
+    assert sorted(map(str, ((r.doc_id, r.text) for r in kept))) == sorted(map(str, ((i, t) for i in (None, 5) for t in (a, b))))
+    many = spark.createDataFrame([(None, " ".join(["word"] * (1 + i % 5)), "en", "ab"[i % 2], 1) for i in range(200)], cols)
+    total = many.count()
+    taken = corpus_pipeline.mix_sources(spark, many, sf)
+    words = taken.agg(F.sum(F.size(F.split("text", " ")))).first()[0]
+    assert taken.count() > total and abs(words - 1.5 * 600) < 20
