@@ -7,8 +7,9 @@ that an ``html`` element declares. Address: the country suffix or the first path
 each host, smoothed towards its domain, which is smoothed towards the corpus, from grouped sums of the text's
 posteriors over all rows. The posterior is the product of the four.
 
-A row is rejected if it has no letters, or if no language explains its letters: its best mean log-likelihood is below
-what all but a few in 100,000 of training windows of that size reach. Defined results: null and empty texts are
+A row is rejected if it has no letters, or if no language explains its letters: its best mean log-likelihood a
+trigram is below that of the uniform distribution, ln(1 / 2 ** BITS). The floor is fixed: it depends neither on the
+text's length nor on the training rows. Defined results: null and empty texts are
 rejected with a null language; null markup, address or host are no evidence; repeated rows count each; without
 labelled rows every language is null and nothing but empty text is rejected.
 """
