@@ -1,23 +1,27 @@
 """Benchmark decontamination by latent semantic retrieval, then order and answer checks.
 
-Passages are overlapping windows of words in widths that double from ``NARROWEST`` on, as far as the items need; an item
-is searched in the least width that holds it, however long it is. A
-passage is a TF-IDF vector with document frequencies counted over the corpus: exactly for words of the benchmark, in
-``1 << OTHER_BITS`` buckets by hash for all others (words that share a bucket count together, which can only shorten a
-passage's vector and so raise its cosines). Only words of the benchmark can add to a cosine with an item, so windows whose benchmark words carry too small a share of their norm to reach the least cosine
-are passed over at once (by the Cauchy-Schwarz inequality, so none that matters is lost). A randomised SVD of
-the other passages (disjoint ones, so that no text counts twice) and the items (with ``ITEM_ENERGY`` times their energy,
-else a small benchmark would vanish beside the corpus), as sums of small matrices over tasks with one power step, gives
-the latent space;
-candidates are pairs whose cosine there is at least ``COSINE``. No fixed cosine is reached by every short item in a
-wide passage of rare words, so a passage that holds ``SHORTEST`` words of an item in a row is a candidate for that item
-whatever its cosine and is never passed over: a verbatim copy is compared at any size of the corpus. A candidate counts as a leak when the longest common
-subsequence of item and passage covers ``ORDER`` of the item's words, or, for paraphrases, ``LOOSE`` of them and most
-of its answer (its last sentence).
-
-Items are taken in blocks of at most ``ITEMS``, so what is broadcast is bounded whatever the benchmark. Defined
-results: null and empty texts hold no passage; items with fewer than ``SHORTEST`` words are not searched; repeated
-rows of a document or of an item are reported once for each pair of ids; empty tables give an empty result.
+Texts in lower case become word codes once (a written table that all passes read). Passages of ``NARROWEST`` words, scaled by their
+words' weights, are the rows of a TF-IDF matrix over ``1 << FEATURE_BITS`` hashed words of the whole corpus; document
+frequencies are counted over all documents in ``1 << DF_BITS`` buckets. A single-pass randomised SVD gives the latent
+space: tasks sum the product of the Gram matrix with a random matrix, and the Nystroem form of that product holds the
+leading ``RANK`` right singular directions. Benchmark items take no part in it, so the space is fitted once, whatever
+the benchmark.
+
+Every text is searched in windows of widths that double from ``NARROWEST`` on, stepping by half a width; an item is
+searched in the least width that holds it. A window's vector is the weighted sum of its words' rows of the space, so
+windows of all widths are sums of the narrowest half windows. Candidates are pairs whose cosine, normalised in the
+space, is at least ``COSINE``: what a window of twice an item's length has that shares ``LOOSE`` of the item's words.
+Beside them a window that holds ``RUN`` words of an item in a row (a whole shorter item) is a candidate whatever its
+cosine, so a verbatim copy is compared at any size of the corpus. A candidate counts as a leak when the longest common
+subsequence of the item and the window with half a width on either side covers ``ORDER`` of the item's words, or, for
+paraphrases, ``LOOSE`` of them and most of its answer (its last sentence). Candidates with fewer words of the item than
+``LOOSE`` asks for are dropped before the subsequence is computed, for it cannot be longer. Items of less than ``RUN``
+words have no latent candidates: they leak where they stand word by word.
+
+Items are taken in blocks of at most ``ITEMS``, so what is broadcast is bounded whatever the benchmark; the space
+(``1 << FEATURE_BITS`` by ``RANK`` floats) is the largest of it. Defined results: null and empty texts hold no window;
+items with fewer than ``SHORTEST`` words are not searched, for one or two words stand in clean texts too; repeated rows
+of a document or of an item are reported once for each pair of ids; empty tables give an empty result.
 """
 
 from __future__ import annotations
@@ -31,218 +35,232 @@ from .common import materialize
 from .textbytes import _BASE, PUNCTUATION, Words, mix64, slices
 
 NARROWEST = 32
-COSINE, ORDER, LOOSE, ANSWER = 0.3, 0.6, 0.45, 0.8
-RANK_MORE, SPARE = 56, 8
-ITEMS, SHORTEST = 512, 5
-#: Energy of the items in the decomposition, against that of the passages.
-ITEM_ENERGY = 4.0
-#: Passages of a task that sums its part of the Gram product.
-TASK_ROWS = 32768
-GATE_BITS = 22
-#: Buckets (as bits of the hash) of the document frequencies of words outside the benchmark.
-OTHER_BITS = 18
+ORDER, LOOSE, ANSWER = 0.6, 0.45, 0.8
+COSINE = LOOSE / 2**0.5
+RANK, SPARE = 32, 8
+ITEMS, RUN, SHORTEST = 1024, 5, 3
+FEATURE_BITS, DF_BITS, GATE_BITS = 16, 18, 22
+#: Words a task sums before its part of the Gram product is shuffled.
+TASK_WORDS = 1 << 24
+#: Windows that are compared with the items at once; pieces, words and pairs that are worked on at once (a cache holds them).
+CHUNK, PIECES, TERMS, PAIRS = 2048, 64, 8192, 8192
+#: Hashed words of the vocabulary, for the bound on the common subsequence.
+BELONGS, FOLD = 4096, 4
+
+
+def codes(words: Words) -> np.ndarray:
+    """Words as 32-bit codes."""
+    return (words.hash >> np.uint64(32)).astype(np.uint32)
+
+
+def feature(code: np.ndarray) -> np.ndarray:
+    return code >> np.uint32(32 - FEATURE_BITS)
+
+
+def place(code: np.ndarray) -> np.ndarray:
+    """Bucket of the document frequencies."""
+    return code >> np.uint32(32 - DF_BITS)
 
 
 class Items:
     """A block of items: words as positions in the sorted vocabulary, width, and how many last words are the answer."""
 
     def __init__(self, rows: list[tuple]):
-        words = Words([t for _, t in rows], PUNCTUATION)
+        words = Words([t.lower() for _, t in rows], PUNCTUATION)
+        code = codes(words)
         keep = [i for i in range(len(rows)) if words.first[i + 1] - words.first[i] >= SHORTEST]
         self.ids = [rows[i][0] for i in keep]
         spans = [(words.first[i], words.first[i + 1]) for i in keep]
-        self.vocabulary = np.unique(np.concatenate([words.hash[a:b] for a, b in spans])) if keep else np.zeros(0, np.uint64)
-        self.words = [np.searchsorted(self.vocabulary, words.hash[a:b]).astype(np.int32) for a, b in spans]
-        self.width = [max(NARROWEST, 1 << int(b - a - 1).bit_length()) for a, b in spans]
-        ends = (words.data == 46) | (words.data == 63) | (words.data == 33)
-        count = np.concatenate([[0], np.cumsum(ends)])
+        self.codes = [code[a:b] for a, b in spans]
+        self.vocabulary = np.unique(np.concatenate(self.codes)) if keep else np.zeros(0, np.uint32)
+        self.words = [np.searchsorted(self.vocabulary, c).astype(np.int32) for c in self.codes]
+        self.size = np.array([len(w) for w in self.words], dtype=np.int64)
+        self.width = np.array([max(NARROWEST, 1 << int(n - 1).bit_length()) for n in self.size], dtype=np.int64)
+        count = np.concatenate([[0], np.cumsum((words.data == 46) | (words.data == 63) | (words.data == 33))])
         self.answer = []
         for a, b in spans:
             sentence = count[words.start[a:b]]
-            own = int((sentence == sentence[-1]).sum())
-            self.answer.append(max(1, own))
-        place = (self.vocabulary >> np.uint64(64 - GATE_BITS)).astype(np.int64)
+            self.answer.append(max(1, int((sentence == sentence[-1]).sum())))
+        self.where = [places(w.tolist()) for w in self.words]
+        self.where_answer = [places(w[-n:].tolist()) for w, n in zip(self.words, self.answer)]
+        self._index()
+
+    def _index(self) -> None:
+        at = (self.vocabulary >> np.uint32(32 - GATE_BITS)).astype(np.int64)
         self.table = np.full(1 << GATE_BITS, -1, dtype=np.int32)
-        self.table[place[::-1]] = np.arange(len(place), dtype=np.int32)[::-1]
+        self.table[at[::-1]] = np.arange(len(at), dtype=np.int32)[::-1]
         self.crowded = np.zeros(1 << GATE_BITS, dtype=bool)
-        self.crowded[place[1:][place[1:] == place[:-1]]] = True
-        own = [runs(t, np.arange(len(t) - SHORTEST + 1)) for t in self.words]
-        run = np.concatenate(own) if own else np.zeros(0, np.uint64)
-        item = np.repeat(np.arange(len(own)), [len(x) for x in own])
-        order = np.argsort(run, kind="stable")
-        self.runs, first = np.unique(run[order], return_index=True)
-        self.run_items = np.split(item[order], first[1:])
-
-    def lookup(self, hash_: np.ndarray) -> np.ndarray:
+        self.crowded[at[1:][at[1:] == at[:-1]]] = True
+        self.runs = {}
+        for n in range(SHORTEST, RUN + 1):
+            held = [(q, runs(w, np.arange(len(w) - n + 1), n)) for q, w in enumerate(self.words) if min(RUN, len(w)) == n]
+            if held:
+                run = np.concatenate([r for _, r in held])
+                item = np.repeat([q for q, _ in held], [len(r) for _, r in held])
+                order = np.argsort(run, kind="stable")
+                own, first = np.unique(run[order], return_index=True)
+                gate = np.zeros(1 << GATE_BITS, dtype=bool)
+                gate[(own >> np.uint64(64 - GATE_BITS)).astype(np.int64)] = True
+                self.runs[n] = own, np.split(item[order], first[1:]), gate
+
+    def lookup(self, code: np.ndarray) -> np.ndarray:
         """Position in the vocabulary, -1 for other words."""
-        place = (hash_ >> np.uint64(64 - GATE_BITS)).astype(np.int64)
-        out = self.table[place]
+        at = (code >> np.uint32(32 - GATE_BITS)).astype(np.int64)
+        out = self.table[at]
         some = np.flatnonzero(out >= 0)
-        wrong = some[self.vocabulary[out[some]] != hash_[some]]
+        wrong = some[self.vocabulary[out[some]] != code[some]]
         out[wrong] = -1
-        again = wrong[self.crowded[place[wrong]]]
+        again = wrong[self.crowded[at[wrong]]]
         if len(again):
-            at = np.minimum(np.searchsorted(self.vocabulary, hash_[again]), len(self.vocabulary) - 1)
-            hit = self.vocabulary[at] == hash_[again]
-            out[again[hit]] = at[hit]
+            near = np.minimum(np.searchsorted(self.vocabulary, code[again]), len(self.vocabulary) - 1)
+            hit = self.vocabulary[near] == code[again]
+            out[again[hit]] = near[hit]
         return out
 
-
-def other_place(hash_: np.ndarray) -> np.ndarray:
-    """Bucket of a word outside the benchmark."""
-    return (hash_ >> np.uint64(64 - OTHER_BITS)).astype(np.int64)
+    def held(self, term: np.ndarray, first: np.ndarray) -> list[tuple[np.ndarray, np.ndarray, list]]:
+        """For each run length: starts of runs of an item in the texts, which run, and the items of each run."""
+        out = []
+        of = np.repeat(np.arange(len(first) - 1), np.diff(first))
+        known = np.concatenate([[0], np.cumsum(term >= 0)])
+        for n, (own, items, gate) in self.runs.items():
+            some = np.flatnonzero(known[n:] - known[:-n] == n) if len(term) >= n else np.zeros(0, np.int64)
+            some = some[of[some] == of[some + n - 1]]
+            run = runs(term, some, n)
+            near = gate[(run >> np.uint64(64 - GATE_BITS)).astype(np.int64)]
+            some, run = some[near], run[near]
+            at = np.minimum(np.searchsorted(own, run), len(own) - 1)
+            hit = own[at] == run
+            out.append((n, some[hit], at[hit], items))
+        return out
 
 
-def runs(term: np.ndarray, start: np.ndarray) -> np.ndarray:
-    """Hash of the ``SHORTEST`` terms from each start on."""
+def runs(term: np.ndarray, start: np.ndarray, size: int = RUN) -> np.ndarray:
+    """Hash of the ``size`` terms from each start on."""
     out = np.zeros(len(start), dtype=np.uint64)
-    for j in range(SHORTEST):
+    for j in range(size):
         out = mix64(out * _BASE + term[start + j].astype(np.uint64) + np.uint64(1))
     return out
 
 
-def lcs(a: list, b: list) -> int:
-    """Length of the longest common subsequence, bit-parallel over ``a``."""
+def places(a: list) -> dict:
+    """Where each word of ``a`` stands, as bits."""
     where: dict = {}
     for i, x in enumerate(a):
         where[x] = where.get(x, 0) | 1 << i
-    full = (1 << len(a)) - 1
+    return where
+
+
+def lcs(size: int, where: dict, b: list) -> int:
+    """Length of the longest common subsequence of ``b`` and a list of ``size`` words at ``where``, bit-parallel."""
+    full = (1 << size) - 1
     v = full
-    for y in b:
-        u = v & where.get(y, 0)
-        v = ((v + u) | (v - u)) & full
-    return len(a) - v.bit_count()
+    for m in map(where.get, b):
+        if m:
+            u = v & m
+            v = ((v + u) | (v - u)) & full
+    return size - v.bit_count()
 
 
-def inverse_frequencies(docs: DataFrame, items: Items) -> tuple[np.ndarray, np.ndarray]:
-    """ln((1 + N) / (1 + df)) over all documents, of every benchmark word and of every bucket of other words."""
-    shared = docs.sparkSession.sparkContext.broadcast(items)
-    others = 1 << OTHER_BITS
+def tokens(docs: DataFrame) -> DataFrame:
+    """doc_id, n words and their codes."""
 
     def run(batches):
-        items = shared.value
-        size = others + len(items.vocabulary)
-        total, seen = np.zeros(size, dtype=np.int64), 0
         for rows in batches:
-            texts = rows["text"].tolist()
-            seen += len(texts)
+            texts = [None if t is None else t.lower() for t in rows["text"]]
             for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
-                term = items.lookup(w.hash)
-                place = np.where(term >= 0, others + term, other_place(w.hash))
-                doc = np.repeat(np.arange(b - a), np.diff(w.first))
-                total += np.bincount(np.unique(doc * size + place) % size, minlength=size)
-        at = np.flatnonzero(total)
-        yield pd.DataFrame({"term": np.append(at, -1), "n": np.append(total[at], seen)})
+                yield pd.DataFrame({"doc_id": rows["doc_id"].iloc[a:b].to_numpy(), "n": np.diff(w.first), "terms": np.split(codes(w).view(np.int32), w.first[1:-1])})
 
-    def pack(batches):
-        for rows in batches:
-            yield pd.DataFrame({"term": [rows["term"].to_numpy(np.int64).tobytes()], "n": [rows["n"].to_numpy(np.int64).tobytes()]})
+    rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), docs["text"])
+    return materialize(rows.mapInPandas(run, "doc_id string, n long, terms array<int>"), "leak_tokens")
 
-    counts = docs.select("text").mapInPandas(run, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
-    df, n = np.zeros(others + len(items.vocabulary)), 0
-    for r in counts.mapInPandas(pack, "term binary, n binary").toLocalIterator():
-        at, own = np.frombuffer(r["term"], np.int64), np.frombuffer(r["n"], np.int64)
-        df[at[at >= 0]] = own[at >= 0]
-        n += int(own[at < 0].sum())
-    idf = np.log((1 + n) / (1 + df)) + 1e-3
-    return idf[others:], idf[:others]
+
+def flat(rows: pd.DataFrame, most: int = 1 << 18):
+    """(from, codes, first) of slices with about ``most`` words or a single longer text."""
+    n = rows["terms"].map(len).to_numpy()
+    a = 0
+    while a < len(n):
+        b = max(a + 1, a + int(np.searchsorted(np.cumsum(n[a:]), most, side="right")))
+        first = np.concatenate([[0], np.cumsum(n[a:b])])
+        yield a, np.concatenate(rows["terms"].iloc[a:b].to_list()).astype(np.int32).view(np.uint32), first
+        a = b
 
 
-def passages(docs: DataFrame, items: Items, idf: np.ndarray, other_idf: np.ndarray) -> DataFrame:
-    """Windows that could reach the least cosine or hold a run of an item: doc_id, width, norm, terms, counts, ``near``,
-    the benchmark words of the window and half a width on either side, in order, and ``held``, the items of this width
-    of which the window holds ``SHORTEST`` words in a row; ``basis`` marks disjoint windows that cover every text."""
-    shared = docs.sparkSession.sparkContext.broadcast((items, idf, other_idf, sorted(set(items.width))))
-    least = (COSINE - 0.03) ** 2
+def inverse_frequencies(found: DataFrame) -> np.ndarray:
+    """ln((1 + N) / (1 + df)) over all documents, by bucket."""
 
     def run(batches):
-        items, idf, other_idf, widths = shared.value
-        item_width = np.array(items.width)
+        total, seen = np.zeros(1 << DF_BITS, dtype=np.int64), 0
         for rows in batches:
-            texts = rows["text"].tolist()
-            for a, b in slices(texts):
-                w = Words(texts[a:b], PUNCTUATION)
-                term = items.lookup(w.hash)
-                weight = np.where(term >= 0, idf[term], other_idf[other_place(w.hash)])
-                square = weight**2
-                whole = np.concatenate([[0.0], np.cumsum(square)])
-                known = np.concatenate([[0.0], np.cumsum(np.where(term >= 0, square, 0.0))])
-                of = np.repeat(np.arange(b - a), np.diff(w.first))
-                some = np.flatnonzero(np.convolve(term >= 0, np.ones(SHORTEST, np.int64), "valid") == SHORTEST) if len(term) >= SHORTEST else np.zeros(0, np.int64)
-                some = some[of[some] == of[some + SHORTEST - 1]]
-                run_hash = runs(term, some)
-                at = np.minimum(np.searchsorted(items.runs, run_hash), len(items.runs) - 1)
-                is_run = items.runs[at] == run_hash
-                hit, hit_run = some[is_run], at[is_run]
-                out = []
-                for width in widths:
-                    half = width // 2
-                    n = np.diff(w.first)
-                    steps = np.where(n > 0, np.maximum(1, -(-(n - half) // half)), 0)
-                    doc = np.repeat(np.arange(b - a), steps)
-                    if not len(doc):
-                        continue
-                    step = np.arange(len(doc)) - np.repeat(np.cumsum(steps) - steps, steps)
-                    start = w.first[doc] + half * step
-                    end = np.minimum(start + width, w.first[doc + 1])
-                    lo, hi = np.searchsorted(hit, start), np.searchsorted(hit, end - SHORTEST, side="right")
-                    for i in np.flatnonzero((known[end] - known[start] >= least * (whole[end] - whole[start])) | (lo < hi)):
-                        held = np.unique(np.concatenate([items.run_items[x] for x in np.unique(hit_run[lo[i] : hi[i]])])) if lo[i] < hi[i] else np.zeros(0, np.int64)
-                        held = held[item_width[held] == width]
-                        own = term[start[i] : end[i]]
-                        terms, counts = np.unique(own[own >= 0], return_counts=True)
-                        _, at, other = np.unique(w.hash[start[i] : end[i]][own < 0], return_index=True, return_counts=True)
-                        norm = np.sqrt(((counts * idf[terms]) ** 2).sum() + ((other * weight[start[i] : end[i]][own < 0][at]) ** 2).sum())
-                        near = term[max(w.first[doc[i]], start[i] - half) : min(w.first[doc[i] + 1], end[i] + half)]
-                        out.append((rows["doc_id"].iloc[a + doc[i]], width, float(norm), terms, counts, near[near >= 0], held, width == widths[-1] and step[i] % 2 == 0))
-                yield pd.DataFrame(out, columns=["doc_id", "width", "norm", "terms", "counts", "near", "held", "basis"])
+            seen += len(rows)
+            for _, code, first in flat(rows):
+                doc = np.repeat(np.arange(len(first) - 1, dtype=np.int64), np.diff(first))
+                once = np.unique(doc << DF_BITS | place(code).astype(np.int64))
+                total += np.bincount(once & ((1 << DF_BITS) - 1), minlength=1 << DF_BITS)
+        at = np.flatnonzero(total)
+        yield pd.DataFrame({"place": np.append(at, -1), "n": np.append(total[at], seen)})
 
-    rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), docs["text"])
-    out = rows.mapInPandas(run, "doc_id string, width int, norm double, terms array<int>, counts array<int>, near array<int>, held array<int>, basis boolean")
-    return materialize(out.withColumn("doc_id", F.col("doc_id").cast("long")), "leak_passages")
+    def pack(batches):
+        for rows in batches:
+            yield pd.DataFrame({"place": [rows["place"].to_numpy(np.int64).tobytes()], "n": [rows["n"].to_numpy(np.int64).tobytes()]})
 
+    counts = found.select("terms").mapInPandas(run, "place long, n long").groupBy("place").agg(F.sum("n").alias("n"))
+    df, n = np.zeros(1 << DF_BITS), 0
+    for r in counts.mapInPandas(pack, "place binary, n binary").toLocalIterator():
+        at, own = np.frombuffer(r["place"], np.int64), np.frombuffer(r["n"], np.int64)
+        df[at[at >= 0]] = own[at >= 0]
+        n += int(own[at < 0].sum())
+    return (np.log((1 + n) / (1 + df)) + 1e-3).astype(np.float32)
 
-def _matrix(rows: pd.DataFrame, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sparse rows scaled by their norms: row bounds, terms, values."""
-    bounds = np.concatenate([[0], np.cumsum([len(t) for t in rows["terms"]])]).astype(np.int64)
-    terms = np.concatenate(list(rows["terms"])).astype(np.int64) if len(rows) else np.zeros(0, np.int64)
-    counts = np.concatenate(list(rows["counts"])) if len(rows) else np.zeros(0)
-    return bounds, terms, (counts * idf[terms] / np.repeat(rows["norm"].to_numpy(), np.diff(bounds))).astype(np.float32)
 
+def cuts(first: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Starts of the pieces of ``size`` that each text is cut into, and the first piece of each text."""
+    pieces = -(-np.diff(first) // size)
+    bounds = np.concatenate([[0], np.cumsum(pieces)])
+    step = np.arange(bounds[-1]) - np.repeat(bounds[:-1], pieces)
+    return np.repeat(first[:-1], pieces) + size * step, bounds
 
-def _times(bounds: np.ndarray, terms: np.ndarray, values: np.ndarray, right: np.ndarray) -> np.ndarray:
-    """Sparse rows times a dense matrix."""
-    out = np.zeros((len(bounds) - 1, right.shape[1]), dtype=np.float32)
-    some = np.flatnonzero(np.diff(bounds))
-    if len(some):
-        out[some] = np.add.reduceat(values[:, None] * right[terms], bounds[some], axis=0)
+
+def sums(matrix: np.ndarray, row: np.ndarray, weight: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Weighted sums of rows of ``matrix`` over the pieces that begin at ``start``."""
+    out = np.zeros((len(start), matrix.shape[1]), dtype=np.float32)
+    end = np.append(start[1:], len(row))
+    for a in range(0, len(start), PIECES):
+        b = min(a + PIECES, len(start))
+        lo, hi = start[a], end[b - 1]
+        out[a:b] = np.add.reduceat(weight[lo:hi, None] * matrix[row[lo:hi]], start[a:b] - lo, axis=0)
     return out
 
 
-def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, right: np.ndarray) -> np.ndarray:
-    """(A'A) times ``right`` for the matrix of passages (distributed) and items."""
+def gram_times(found: DataFrame, idf: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """(A'A) times ``right`` for the matrix of all passages."""
     shared = found.sparkSession.sparkContext.broadcast((idf, right.astype(np.float32)))
 
-    def part(rows: pd.DataFrame, idf: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        bounds, terms, values = _matrix(rows, idf)
-        y = _times(bounds, terms, values, right)
-        order = np.argsort(terms, kind="stable")
-        own, first = np.unique(terms[order], return_index=True)
-        row = np.repeat(np.arange(len(y)), np.diff(bounds))[order]
-        return own, (np.add.reduceat(values[order][:, None] * y[row], first, axis=0) if len(own) else np.zeros((0, right.shape[1])))
-
     def run(batches):
         idf, right = shared.value
-        total = np.zeros(right.shape)
-        any_ = np.zeros(len(right), dtype=bool)
+        total = np.zeros(right.shape, dtype=np.float32)
+        seen = np.zeros(len(right), dtype=bool)
         for rows in batches:
-            for a in range(0, len(rows), 512):
-                own, add = part(rows.iloc[a : a + 512], idf, right)
-                total[own] += add
-                any_[own] = True
-        at = np.flatnonzero(any_)
-        yield pd.DataFrame({"term": at, "v": [x.astype(np.float32).tobytes() for x in total[at]]})
+            for _, code, first in flat(rows):
+                if not len(code):
+                    continue
+                start, _ = cuts(first, NARROWEST)
+                weight, term = idf[place(code)], feature(code)
+                scale = 1 / np.sqrt(np.add.reduceat(weight * weight, start))
+                of = np.repeat(np.arange(len(start)), np.diff(np.append(start, len(code))))
+                weight = weight * scale[of]
+                y = sums(right, term, weight, start)
+                order = np.argsort(term.astype(np.uint16), kind="stable")
+                own, at = np.unique(term[order], return_index=True)
+                end, a = np.append(at[1:], len(order)), 0
+                while a < len(own):
+                    b = max(a + 1, int(np.searchsorted(end, at[a] + TERMS, side="right")))
+                    some = order[at[a] : end[b - 1]]
+                    total[own[a:b]] += np.add.reduceat(weight[some, None] * y[of[some]], at[a:b] - at[a], axis=0)
+                    a = b
+                seen[own] = True
+        at = np.flatnonzero(seen)
+        yield pd.DataFrame({"term": at, "v": [x.tobytes() for x in total[at]]})
 
     def add(batches):
         held: dict[int, np.ndarray] = {}
@@ -255,85 +273,169 @@ def gram_times(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, righ
                     held[t] = v.astype(np.float64)
         yield pd.DataFrame({"term": list(held), "v": [x.astype(np.float32).tobytes() for x in held.values()]})
 
-    # Few tasks with many rows each: a task's matrix is as large as its terms are many, whatever its rows.
-    rows = found.where("basis")
-    n = rows.count()
-    sums = rows.select("norm", "terms", "counts").coalesce(max(8, -(-n // TASK_ROWS))).mapInPandas(run, "term long, v binary")
-    sums = sums.repartition("term").mapInPandas(add, "term long, v binary").toPandas()
-    weight = ITEM_ENERGY * max(1.0, n / max(1, len(items_rows)))
-    own, out = part(items_rows, idf, right.astype(np.float32))
-    out = out * weight
+    # Few tasks with many words each: a task's part is as large as its words are many kinds, whatever their number.
+    words = found.agg(F.sum("n")).first()[0] or 0
+    tasks = max(found.sparkSession.sparkContext.defaultParallelism, -(-words // TASK_WORDS))
+    parts = found.select("terms").coalesce(tasks).mapInPandas(run, "term long, v binary")
     total = np.zeros(right.shape)
-    total[own] += out
-    for t, v in zip(sums["term"], sums["v"]):
-        total[t] += np.frombuffer(v, dtype=np.float32)
+    for r in parts.repartition("term").mapInPandas(add, "term long, v binary").toLocalIterator():
+        total[r["term"]] = np.frombuffer(r["v"], dtype=np.float32)
     return total
 
 
-def latent_space(found: DataFrame, items_rows: pd.DataFrame, idf: np.ndarray, terms: int, seed: int = 11) -> np.ndarray:
-    """Orthonormal directions (terms x rank) of the passages' randomised SVD, after one power step."""
-    rank = min(terms, len(items_rows) + RANK_MORE)
-    right = np.random.default_rng(seed).standard_normal((terms, min(terms, rank + SPARE)))
-    basis = np.linalg.qr(gram_times(found, items_rows, idf, right))[0]
-    small = basis.T @ gram_times(found, items_rows, idf, basis)
-    values, vectors = np.linalg.eigh((small + small.T) / 2)
-    return basis @ vectors[:, np.argsort(-values)[:rank]]
-
-
-def _block(docs: DataFrame, rows: list[tuple]) -> DataFrame | None:
+def latent_space(found: DataFrame, idf: np.ndarray, seed: int = 11) -> np.ndarray:
+    """Leading right singular directions (hashed words x rank) over their singular values, from one pass.
+
+    A text's product with it is where that text would stand among the left singular vectors.
+    """
+    right = np.random.default_rng(seed).standard_normal((1 << FEATURE_BITS, RANK + SPARE))
+    product = gram_times(found, idf, right)
+    middle = right.T @ product
+    value, vector = np.linalg.eigh((middle + middle.T) / 2)
+    good = value > max(1e-12, 1e-9 * value[-1])
+    half = product @ (vector[:, good] / np.sqrt(value[good]))
+    directions, size, _ = np.linalg.svd(half, full_matrices=False)
+    good = size[:RANK] > 1e-6 * size.max(initial=1.0)
+    return (directions[:, :RANK][:, good] / size[:RANK][good]).astype(np.float32)
+
+
+def unit(rows: np.ndarray) -> np.ndarray:
+    size = np.linalg.norm(rows, axis=1, keepdims=True)
+    return np.divide(rows, size, out=np.zeros_like(rows), where=size > 0)
+
+
+class Search:
+    """Items with their place in the space, for one block."""
+
+    def __init__(self, items: Items, idf: np.ndarray, space: np.ndarray):
+        self.items, self.idf, self.space = items, idf, space
+        code = np.concatenate(items.codes)
+        start = np.concatenate([[0], np.cumsum(items.size)[:-1]])
+        self.latent = unit(sums(space, feature(code), idf[place(code)], start)) if space.shape[1] else np.zeros((len(start), 0), np.float32)
+        self.latent[items.size < RUN] = 0
+
+    def found(self, code: np.ndarray, first: np.ndarray) -> list[tuple]:
+        """(text, item, cosine, order share, answer share) of leaks in a slice of texts."""
+        out: list[tuple] = []
+        if not len(code):
+            return out
+        items = self.items
+        term = items.lookup(code)
+        mark = np.append(np.where(term >= 0, term % BELONGS, BELONGS), BELONGS)
+        held = items.held(term, first)
+        half = NARROWEST // 2
+        start, bounds = cuts(first, half)
+        block = sums(self.space, feature(code), self.idf[place(code)], start)
+        while True:
+            if (items.width == 2 * half).any():
+                self._level(out, term, mark, first, held, start, bounds, block, half)
+            if 2 * half >= items.width.max():
+                return out
+            half *= 2
+            pair, bounds = cuts(bounds, 2)
+            start, block = start[pair], np.add.reduceat(block, pair, axis=0)
+
+    def _level(self, out, term, mark, first, held, start, bounds, block, half) -> None:
+        """Windows of two half windows that follow each other (one, in a text that has no more)."""
+        items = self.items
+        own = np.flatnonzero(items.width == 2 * half)
+        marks = np.full((len(own), items.size[own].max()), BELONGS)
+        bits = np.zeros((len(own), BELONGS // FOLD), dtype=bool)
+        for i, q in enumerate(own):
+            marks[i, : items.size[q]] = items.words[q] % BELONGS
+            bits[i, items.words[q] % BELONGS % bits.shape[1]] = True
+        # Words of an item beyond its distinct folded ones may all be met, so they are taken as met.
+        least = LOOSE * items.size[own] - 1e-9
+        need = np.ceil(least) - (items.size[own] - bits.sum(axis=1))
+        bits = np.packbits(bits, axis=1).view(np.uint64)
+        local = np.full(len(items.ids), -1)
+        local[own] = np.arange(len(own))
+        n = np.diff(bounds)
+        text = np.repeat(np.arange(len(n)), n)
+        last = bounds[1:][text] - 1
+        at = np.flatnonzero((np.arange(len(text)) < last) | (n[text] == 1))
+        text, lo = text[at], start[at]
+        hi = np.minimum(lo + 2 * half, first[text + 1])
+        runs_of: dict[int, list] = {}
+        for size, begin, which, of in held:
+            a, b = np.searchsorted(begin, lo), np.searchsorted(begin, hi - size, side="right")
+            for p in np.flatnonzero(a < b):
+                q = np.unique(np.concatenate([of[x] for x in np.unique(which[a[p] : b[p]])]))
+                q = local[q[items.width[q] == 2 * half]]
+                if len(q):
+                    runs_of.setdefault(int(p), []).append(q)
+        ran = np.array(sorted(runs_of), dtype=np.int64)
+        chunk = max(1, CHUNK * NARROWEST // half)
+        for a in range(0, len(at), chunk):
+            b = min(a + chunk, len(at))
+            z = block[at[a:b]] + np.where((n[text[a:b]] > 1)[:, None], block[np.minimum(at[a:b] + 1, len(block) - 1)], 0)
+            cosine = unit(z) @ self.latent[own].T
+            close = cosine >= COSINE
+            for p in ran[np.searchsorted(ran, a) : np.searchsorted(ran, b)]:
+                for q in runs_of[int(p)]:
+                    close[p - a, q] = True
+            p, q = np.nonzero(close)
+            left, right = np.maximum(first[text[a:b]], lo[a:b] - half), np.minimum(first[text[a:b] + 1], hi[a:b] + half)
+            spot = left[:, None] + np.arange(4 * half)
+            there = np.zeros((b - a, BELONGS + 1), dtype=bool)
+            there[np.arange(b - a)[:, None], mark[np.where(spot < right[:, None], spot, len(term))]] = True
+            there[:, BELONGS] = False
+            folded = np.packbits(there[:, :BELONGS].reshape(b - a, FOLD, -1).any(axis=1), axis=1).view(np.uint64)
+            enough = np.zeros(len(p), dtype=bool)
+            for i in range(0, len(p), PAIRS):
+                some = q[i : i + PAIRS]
+                enough[i : i + PAIRS] = np.bitwise_count(folded[p[i : i + PAIRS]] & bits[some]).sum(axis=1, dtype=np.int16) >= need[some]
+            some = np.flatnonzero(enough)
+            for i in range(0, len(some), PAIRS):
+                k = some[i : i + PAIRS]
+                enough[k] = np.count_nonzero(there[p[k][:, None], marks[q[k]]], axis=1) >= least[q[k]]
+            left, right = left[p], right[p]
+            for k in np.flatnonzero(enough):
+                i = own[q[k]]
+                near, size = term[left[k] : right[k]].tolist(), int(items.size[i])
+                order = lcs(size, items.where[i], near) / size
+                if order < LOOSE or (size < RUN and order < 1):
+                    continue
+                answer = lcs(items.answer[i], items.where_answer[i], near) / items.answer[i]
+                if order >= ORDER or answer >= ANSWER:
+                    out.append((int(text[a + p[k]]), items.ids[i], float(cosine[p[k], q[k]]), order, answer))
+
+
+def _block(found: DataFrame, idf: np.ndarray, space: np.ndarray, rows: list[tuple]) -> DataFrame | None:
     items = Items(rows)
     if not items.ids:
         return None
-    spark = docs.sparkSession
-    idf, other_idf = inverse_frequencies(docs, items)
-    found = passages(docs, items, idf, other_idf)
-    packed = [np.unique(w, return_counts=True) for w in items.words]
-    norm = [float(np.sqrt(((n * idf[t]) ** 2).sum())) for t, n in packed]
-    own = pd.DataFrame({"norm": norm, "terms": [t for t, _ in packed], "counts": [n for _, n in packed]})
-    space = latent_space(found, own, idf, len(items.vocabulary)).astype(np.float32)
-    shared = spark.sparkContext.broadcast((items, idf, space, _times(*_matrix(own, idf), space)))
+    shared = found.sparkSession.sparkContext.broadcast(Search(items, idf, space))
 
     def run(batches):
-        items, idf, space, latent = shared.value
-        width = np.array(items.width)
+        search = shared.value
         for rows in batches:
-            out = []
-            for a in range(0, len(rows), 512):
-                some = rows.iloc[a : a + 512]
-                cosine = _times(*_matrix(some, idf), space) @ latent.T
-                cosine[some["width"].to_numpy()[:, None] != width[None, :]] = 0
-                close = cosine >= COSINE
-                for p, held in enumerate(some["held"]):
-                    close[p, held] = True
-                for p, q in zip(*np.nonzero(close)):
-                    near, item = some["near"].iloc[p].tolist(), items.words[q].tolist()
-                    order = lcs(item, near) / len(item)
-                    if order < LOOSE:
-                        continue
-                    tail = item[-items.answer[q] :]
-                    answer = lcs(tail, near) / len(tail)
-                    if order >= ORDER or answer >= ANSWER:
-                        out.append((some["doc_id"].iloc[p], items.ids[q], float(cosine[p, q]), order, answer))
-            yield pd.DataFrame(out, columns=["doc_id", "item_id", "cosine", "order_share", "answer_share"])
-
-    rows = found.withColumn("doc_id", F.col("doc_id").cast("string")).mapInPandas(run, "doc_id string, item_id long, cosine double, order_share double, answer_share double")
-    return rows.withColumn("doc_id", F.col("doc_id").cast("long"))
+            ids = rows["doc_id"].to_numpy()
+            for a, code, first in flat(rows):
+                hits = [(ids[a + t], *more) for t, *more in search.found(code, first)]
+                yield pd.DataFrame(hits, columns=["doc_id", "item_id", "cosine", "order_share", "answer_share"])
+
+    out = found.select("doc_id", "terms").mapInPandas(run, "doc_id string, item_id long, cosine double, order_share double, answer_share double")
+    return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id and the best cosine, order share and answer share of every leak."""
-    rows, found, block = benchmark.select("item_id", "text").where("text is not null").orderBy("item_id"), None, []
+    found = tokens(docs)
+    idf = inverse_frequencies(found)
+    space = latent_space(found, idf)
+    rows, out, block = benchmark.select("item_id", "text").where("text is not null").orderBy("item_id"), None, []
 
-    def more(found, block):
-        out = _block(docs, block)
-        return out if found is None else found if out is None else found.unionByName(out)
+    def more(out, block):
+        own = _block(found, idf, space, block)
+        return own if out is None else out if own is None else out.unionByName(own)
 
     for r in rows.toLocalIterator():
         block.append((r[0], r[1]))
         if len(block) == ITEMS:
-            found, block = more(found, block), []
+            out, block = more(out, block), []
     if block:
-        found = more(found, block)
-    if found is None:
-        found = docs.sparkSession.createDataFrame([], "doc_id long, item_id long, cosine double, order_share double, answer_share double")
-    return found.groupBy("doc_id", "item_id").agg(*[F.max(c).alias(c) for c in ("cosine", "order_share", "answer_share")])
+        out = more(out, block)
+    if out is None:
+        out = docs.sparkSession.createDataFrame([], "doc_id long, item_id long, cosine double, order_share double, answer_share double")
+    return out.groupBy("doc_id", "item_id").agg(*[F.max(c).alias(c) for c in ("cosine", "order_share", "answer_share")])

@@ -149,14 +149,75 @@ def test_leaks_odd_rows(odd, none, spark):
     assert decontaminate.leaks(none, items).count() == 0 and decontaminate.leaks(odd, items.limit(0)).count() == 0
 
 
-def test_frequencies_of_words_outside_the_benchmark(spark):
+def test_document_frequencies_count_all_words(spark):
     docs = spark.createDataFrame([(i, f"common word{i} alpha") for i in range(50)], "doc_id long, text string")
-    items = decontaminate.Items([(1, "alpha beta gamma delta epsilon")])
-    idf, other = decontaminate.inverse_frequencies(docs, items)
-    w = Words(["common word7 alpha beta"], PUNCTUATION)
-    place, term = decontaminate.other_place(w.hash), items.lookup(w.hash)
-    assert np.allclose([other[place[0]], idf[term[2]]], 1e-3) and np.isclose(idf[term[3]], np.log(51) + 1e-3)
-    assert np.isclose(other[place[1]], np.log(51 / 2) + 1e-3)
+    idf = decontaminate.inverse_frequencies(decontaminate.tokens(docs))
+    got = idf[decontaminate.place(decontaminate.codes(Words(["common word7 beta"], PUNCTUATION)))]
+    assert np.allclose(got, [1e-3, np.log(51 / 2) + 1e-3, np.log(51) + 1e-3], atol=1e-4)
+
+
+def synonym_corpus():
+    """Topics of which each has words in two forms that share their passages; a paraphrase takes the other form."""
+    import random
+
+    rng = random.Random(4)
+    rows = []
+    for _ in range(900):
+        t = rng.randrange(30)
+        rows.append(" ".join(f"t{t}{rng.choice('ab')}{rng.randrange(40)}" if rng.random() < 0.6 else f"common{rng.randrange(30)}" for _ in range(32)))
+    item = [f"common{i}" if i % 2 else f"t3a{i}" for i in range(28)]
+    other = [x if i % 2 else f"t3b{i}" for i, x in enumerate(item)]
+    return rows, " ".join(item[:20]) + ". " + " ".join(item[20:]), " ".join(other[:20] + item[20:])
+
+
+def test_the_latent_space_finds_what_the_words_alone_do_not(spark):
+    """A paraphrase whose telling words are all others: cosine of the words under the bound, in the space above it."""
+    rows, item, paraphrase = synonym_corpus()
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate([*rows, paraphrase])], "doc_id long, text string")
+    found = decontaminate.tokens(docs)
+    idf = decontaminate.inverse_frequencies(found)
+
+    def vector(text):
+        out = np.zeros(1 << decontaminate.FEATURE_BITS)
+        code = decontaminate.codes(Words([text], PUNCTUATION))
+        np.add.at(out, decontaminate.feature(code), idf[decontaminate.place(code)])
+        return out
+
+    def cosine(u, v):
+        return float(u @ v / np.linalg.norm(u) / np.linalg.norm(v))
+
+    space = decontaminate.latent_space(found, idf)
+    head, body = " ".join(item.split()[:20]).rstrip("."), " ".join(paraphrase.split()[:20])
+    plain, latent = cosine(vector(head), vector(body)), cosine(vector(head) @ space, vector(body) @ space)
+    assert plain < decontaminate.COSINE < latent
+    items = spark.createDataFrame([(1, item)], "item_id long, text string")
+    assert [r.doc_id for r in decontaminate.leaks(docs, items).collect()] == [len(rows)]
+
+
+def test_the_space_holds_the_leading_directions(spark):
+    """The projector of the one-pass decomposition against that of the full one, where a gap parts few directions."""
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(f"k{i % 8}w{rng.integers(12)}" for _ in range(32))) for i in range(400)]
+    found = decontaminate.tokens(spark.createDataFrame(rows, "doc_id long, text string"))
+    idf = decontaminate.inverse_frequencies(found)
+    matrix = np.zeros((len(rows), 1 << decontaminate.FEATURE_BITS), np.float32)
+    for i, (_, t) in enumerate(rows):
+        code = decontaminate.codes(Words([t], PUNCTUATION))
+        weight = idf[decontaminate.place(code)]
+        np.add.at(matrix[i], decontaminate.feature(code), weight / np.sqrt((weight**2).sum()))
+    full = np.linalg.svd(matrix, full_matrices=False)[2][:8]
+    space = decontaminate.latent_space(found, idf)
+    own = np.linalg.qr(space)[0]
+    assert np.linalg.norm(full @ own) ** 2 > 0.98 * 8
+
+
+def test_verbatim_items_of_any_length_in_any_case(spark):
+    rng = np.random.default_rng(8)
+    items = {n: [f"Éw{n}x{rng.integers(50)}" for _ in range(n)] for n in (3, 4, 5, 17, 300, 700, 2000)}
+    fill = lambda: " ".join(f"fill{rng.integers(2000)}" for _ in range(200))
+    docs = [(n, f"{fill()} {' '.join(w).upper()}! {fill()}") for n, w in items.items()] + [(10000 + i, fill()) for i in range(20)]
+    got = decontaminate.leaks(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame([(n, " ".join(w)) for n, w in items.items()], "item_id long, text string"))
+    assert {(r.doc_id, r.item_id, r.order_share) for r in got.collect()} == {(n, n, 1.0) for n in items}
 
 
 def test_a_short_item_of_common_words_is_found_among_rare_words(spark):
@@ -191,7 +252,7 @@ def test_lcs_against_the_table_method():
         for i, x in enumerate(a):
             for j, y in enumerate(b):
                 t[i + 1][j + 1] = t[i][j] + 1 if x == y else max(t[i][j + 1], t[i + 1][j])
-        assert decontaminate.lcs(a, b) == t[-1][-1]
+        assert decontaminate.lcs(len(a), decontaminate.places(a), b) == t[-1][-1]
 
 
 # --- toxicity ---------------------------------------------------------------------------------------------------
