@@ -162,17 +162,25 @@ def lcs(size: int, where: dict, b: list) -> int:
 
 
 def tokens(docs: DataFrame) -> DataFrame:
-    """doc_id, n words and their codes."""
+    """doc_id, n words and their codes; and for each task a row of n = -1 - its documents, with ``counts`` of documents
+    by bucket in ``terms``, so that the document frequencies need no pass of their own."""
 
     def run(batches):
+        total, seen = np.zeros(1 << DF_BITS, dtype=np.int32), 0
         for rows in batches:
             texts = [None if t is None else t.lower() for t in rows["text"]]
+            seen += len(texts)
             for a, b in slices(texts):
                 w = Words(texts[a:b], PUNCTUATION)
-                yield pd.DataFrame({"doc_id": rows["doc_id"].iloc[a:b].to_numpy(), "n": np.diff(w.first), "terms": np.split(codes(w).view(np.int32), w.first[1:-1])})
+                code, n = codes(w), np.diff(w.first)
+                once = np.unique(np.repeat(np.arange(b - a, dtype=np.int64), n) << DF_BITS | place(code).astype(np.int64))
+                total += np.bincount(once & ((1 << DF_BITS) - 1), minlength=1 << DF_BITS).astype(np.int32)
+                yield pd.DataFrame({"doc_id": rows["doc_id"].iloc[a:b].to_numpy(), "n": n, "terms": np.split(code.view(np.int32), w.first[1:-1]), "counts": None})
+        at = np.flatnonzero(total).astype(np.int32)
+        yield pd.DataFrame({"doc_id": [None], "n": [-1 - seen], "terms": [at], "counts": [total[at]]})
 
     rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), docs["text"])
-    return materialize(rows.mapInPandas(run, "doc_id string, n long, terms array<int>"), "leak_tokens")
+    return materialize(rows.mapInPandas(run, "doc_id string, n long, terms array<int>, counts array<int>"), "leak_tokens")
 
 
 def flat(rows: pd.DataFrame, most: int = 1 << 18):
@@ -189,27 +197,16 @@ def flat(rows: pd.DataFrame, most: int = 1 << 18):
 def inverse_frequencies(found: DataFrame) -> np.ndarray:
     """ln((1 + N) / (1 + df)) over all documents, by bucket."""
 
-    def run(batches):
-        total, seen = np.zeros(1 << DF_BITS, dtype=np.int64), 0
-        for rows in batches:
-            seen += len(rows)
-            for _, code, first in flat(rows):
-                doc = np.repeat(np.arange(len(first) - 1, dtype=np.int64), np.diff(first))
-                once = np.unique(doc << DF_BITS | place(code).astype(np.int64))
-                total += np.bincount(once & ((1 << DF_BITS) - 1), minlength=1 << DF_BITS)
-        at = np.flatnonzero(total)
-        yield pd.DataFrame({"place": np.append(at, -1), "n": np.append(total[at], seen)})
-
     def pack(batches):
         for rows in batches:
             yield pd.DataFrame({"place": [rows["place"].to_numpy(np.int64).tobytes()], "n": [rows["n"].to_numpy(np.int64).tobytes()]})
 
-    counts = found.select("terms").mapInPandas(run, "place long, n long").groupBy("place").agg(F.sum("n").alias("n"))
-    df, n = np.zeros(1 << DF_BITS), 0
+    parts = found.where("n < 0")
+    each = parts.select(F.explode(F.arrays_zip(F.col("terms").alias("place"), F.col("counts").alias("n"))).alias("x")).select("x.place", "x.n")
+    counts = each.groupBy(F.col("place").cast("long").alias("place")).agg(F.sum("n").alias("n"))
+    df, n = np.zeros(1 << DF_BITS), parts.agg(F.sum(-1 - F.col("n"))).first()[0] or 0
     for r in counts.mapInPandas(pack, "place binary, n binary").toLocalIterator():
-        at, own = np.frombuffer(r["place"], np.int64), np.frombuffer(r["n"], np.int64)
-        df[at[at >= 0]] = own[at >= 0]
-        n += int(own[at < 0].sum())
+        df[np.frombuffer(r["place"], np.int64)] = np.frombuffer(r["n"], np.int64)
     return (np.log((1 + n) / (1 + df)) + 1e-3).astype(np.float32)
 
 
@@ -274,6 +271,7 @@ def gram_times(found: DataFrame, idf: np.ndarray, right: np.ndarray) -> np.ndarr
         yield pd.DataFrame({"term": list(held), "v": [x.astype(np.float32).tobytes() for x in held.values()]})
 
     # Few tasks with many words each: a task's part is as large as its words are many kinds, whatever their number.
+    found = found.where("n > 0")
     words = found.agg(F.sum("n")).first()[0] or 0
     tasks = max(found.sparkSession.sparkContext.defaultParallelism, -(-words // TASK_WORDS))
     parts = found.select("terms").coalesce(tasks).mapInPandas(run, "term long, v binary")
@@ -415,7 +413,7 @@ def _block(found: DataFrame, idf: np.ndarray, space: np.ndarray, rows: list[tupl
                 hits = [(ids[a + t], *more) for t, *more in search.found(code, first)]
                 yield pd.DataFrame(hits, columns=["doc_id", "item_id", "cosine", "order_share", "answer_share"])
 
-    out = found.select("doc_id", "terms").mapInPandas(run, "doc_id string, item_id long, cosine double, order_share double, answer_share double")
+    out = found.where("n > 0").select("doc_id", "terms").mapInPandas(run, "doc_id string, item_id long, cosine double, order_share double, answer_share double")
     return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 

@@ -116,6 +116,72 @@ def test_repeated_lines_and_passages(spark):
     assert rows[3][1][int(s[0]) : int(s[1])] == line
 
 
+def brute_units(rows, pattern):
+    """Spans of the units found by ``pattern`` whose normal form stands earlier, in rows ordered by id (null last), row."""
+    seen, out = set(), {}
+    for k in sorted(range(len(rows)), key=lambda k: (rows[k][0] is None, rows[k][0] or 0, k)):
+        spans = []
+        for m in re.finditer(pattern, rows[k][1] or ""):
+            w = tuple(words(m.group().translate(LOWER)))
+            if not w:
+                continue
+            at = [x.span() for x in re.finditer(r"[^\x20\x09-\x0D]+", m.group())]
+            spans += [(m.start() + at[0][0], m.start() + at[-1][1])] if w in seen else []
+            seen.add(w)
+        out[k] = spans
+    return collections.Counter((rows[k][0], tuple(s)) for k, s in out.items())
+
+
+def joined(text, spans):
+    """Spans with those that only white space parts taken together, as the operator reports them."""
+    out = []
+    for s, e in spans:
+        if out and not (text or "")[out[-1][1] : s].strip(" \t\n\r\v\f"):
+            out[-1] = (out[-1][0], e)
+        else:
+            out.append((s, e))
+    return tuple(out)
+
+
+@pytest.mark.parametrize("unit,pattern", [("line", r"[^\n]+"), ("paragraph", r"(?:[^\n]|\n(?![ \t\r\v\f]*\n))+")])
+def test_repeated_units_equal_brute_force(spark, sf, odd, unit, pattern):
+    """Every repeated line or paragraph goes, however short, also those of equal rows and of rows that share an id."""
+    own = [(900001, "Short line\nother\n\nanother  LINE\r\nshort   line"), (900001, "Short line\nother\n\nanother  LINE\r\nshort   line"), (None, "OTHER\n\nshort line\nother"), (900000, "other")]
+    docs = docs_of(spark, sf).select("doc_id", "text").unionByName(odd.select("doc_id", "text")).unionByName(spark.createDataFrame(own, "doc_id long, text string"))
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    got = substring_dedup.dedup_substrings(docs, unit=unit).collect()
+    want = brute_units(rows, pattern)
+    text = {(i, t) for i, t in rows}
+    seen = collections.Counter()
+    for r in got:
+        seen[(r.doc_id, tuple(tuple(map(int, x.split(":"))) for x in r.spans.split(",") if x))] += 1
+    flat = collections.Counter()
+    for (i, spans), n in want.items():
+        options = [joined(t, spans) for j, t in text if j == i]
+        flat[(i, max(options, key=lambda o: seen[(i, o)]))] += n
+    assert seen == flat and sum(len(s) for _, s in seen) > 10
+
+
+def test_passages_of_any_place_and_size(spark):
+    """Passages of 20 and 51 words inside other lines: found but for some words at the ends; strangers left alone."""
+    import random
+
+    rng = random.Random(9)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(6))
+    rows, size = [], {}
+    for i in range(200):
+        n = 51 if i % 2 else 20
+        passage = " ".join(word() for _ in range(n))
+        for k in (2 * i, 2 * i + 1):
+            rows.append((k, f"{' '.join(word() for _ in range(40))} {passage} {' '.join(word() for _ in range(40))}"))
+        size[2 * i + 1] = n
+    rows += [(1000 + i, " ".join(word() for _ in range(200))) for i in range(50)]
+    got = {r.doc_id: r for r in substring_dedup.dedup_substrings(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(got[i].removed_words == 0 for i, _ in rows if i not in size)
+    long_, short = ([got[i].removed_words for i in size if size[i] == n] for n in (51, 20))
+    assert all(n >= 20 for n in long_) and sum(long_) / len(long_) >= 42 and max(long_) <= 51 and sum(n > 0 for n in short) >= 0.75 * len(short)
+
+
 def test_substrings_odd_rows(odd, none):
     rows = substring_dedup.dedup_substrings(odd).collect()
     assert len(rows) == 11 and {r.spans for r in rows if r.doc_id in (1, 3, 4, 6)} == {""}
