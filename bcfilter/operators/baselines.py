@@ -26,9 +26,14 @@ def exact_list(df: DataFrame, members: DataFrame) -> DataFrame:
     return df.select("key").join(listed.withColumn("hit", F.lit(True)), "key", "left").crossJoin(F.broadcast(size)).select("key", F.coalesce("hit", F.lit(False)).alias("maybe"), "size_bits")
 
 
-def bloom_udaf(members: DataFrame, spec: FilterSpec, parts: int = 64) -> DataFrame:
-    """The filter by a grouped-aggregate UDF: one bit string for each slice of keys, for union afterwards."""
+def bloom_udaf(members: DataFrame, spec: FilterSpec, parts: int | None = None) -> DataFrame:
+    """The filter by a grouped-aggregate UDF: one bit string for each slice of keys, for union afterwards.
+
+    Slices grow in number with the keys, so that a group holds about half a million positions at most.
+    """
     m = spec.m
+    if parts is None:
+        parts = max(64, -(-members.count() * spec.k // 500_000))
 
     @F.pandas_udf("binary")
     def build(p: pd.Series) -> bytes:
@@ -37,7 +42,7 @@ def bloom_udaf(members: DataFrame, spec: FilterSpec, parts: int = 64) -> DataFra
         np.bitwise_or.at(bits, at >> 3, (1 << (at & 7)).astype(np.uint8))
         return bits.tobytes()
 
-    rows = hashed(members, spec).withColumn("slice", F.pmod(F.col("key"), F.lit(parts)))
+    rows = hashed(members, spec).withColumn("slice", F.pmod(F.xxhash64("key"), F.lit(parts)))
     return rows.groupBy("slice").agg(build("positions").alias("bits")).select("slice", F.bitmap_count("bits").alias("bits_set"))
 
 
@@ -64,7 +69,7 @@ def dleft(df: DataFrame, members: DataFrame, d: int = 4, load: int = 6, bits: in
     Keys are dealt to independent shards by hash; in a shard the choice is sequential. One row of measures.
     """
     n = max(1, members.count())
-    shards = max(1, -(-n // 20_000))
+    shards = max(1, -(-n // 20_000), -(-df.count() // 1_000_000))
     width = max(1, -(-n // (shards * load * d)) * 4 // 3 + 1)
 
     def cells(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -84,7 +89,9 @@ def dleft(df: DataFrame, members: DataFrame, d: int = 4, load: int = 6, bits: in
                 table[i][w[i]].add(int(f))
         maybe = np.zeros(len(u), dtype=bool)
         if len(u):
-            maybe = np.array([any(int(f) in table[j][w[j]] for j in range(d)) for f, w in zip(*cells(u["key"].to_numpy()))])
+            finger, where = cells(u["key"].to_numpy())
+            held = np.array([(j * width + w) << bits | f for j, t in enumerate(table) for w, cell in enumerate(t) for f in cell], dtype=np.int64)
+            maybe = np.isin((np.arange(d) * width + where) << bits | finger[:, None], held).any(axis=1)
         member = u["is_member"].to_numpy() if len(u) else maybe
         deepest = max(len(b) for t in table for b in t)
         return pd.DataFrame([(int((maybe & ~member).sum()), int((~maybe & member).sum()), deepest)], columns=["fp", "fn", "deepest"])

@@ -143,13 +143,14 @@ def resolve_rounds(chosen: DataFrame) -> Cleared:
     key would. States are written tables; the driver learns one count for each round.
     """
     open_, done, rounds = written(chosen, "open"), [], 0
-    acted = None
+    fresh = None
     while not open_.isEmpty():
         rounds += 1
         first_open = open_.groupBy("pos").agg(F.min("ord").alias("open_ord"))
         each = open_.select("key", "ord", F.explode(F.array_distinct("positions")).alias("pos")).join(first_open, "pos", "left")
-        if acted is not None:
-            each = each.join(acted.groupBy("pos").agg(F.min("ord").alias("act_ord")), "pos", "left")
+        # Resets of earlier rounds were held against all that is still open when they were new.
+        if fresh is not None:
+            each = each.join(fresh.groupBy("pos").agg(F.min("ord").alias("act_ord")), "pos", "left")
         else:
             each = each.withColumn("act_ord", F.lit(None).cast("long"))
         state = each.groupBy("key").agg(
@@ -159,7 +160,6 @@ def resolve_rounds(chosen: DataFrame) -> Cleared:
         decided = now.where("out or not waits").select("key", "ord", "positions", "pos", "j", (~F.col("out")).alias("acted"))
         done.append(decided)
         fresh = decided.where("acted").select("pos", "ord")
-        acted = fresh if acted is None else acted.unionByName(fresh)
         open_ = now.where("not out and waits").select("key", "ord", "positions", "pos", "j")
     if not done:
         return Cleared(chosen.withColumn("acted", F.lit(False)), 0)
@@ -245,41 +245,46 @@ def resolve_groups(b: DataFrame, elements: DataFrame, rule: str, live: bool, see
     def run(x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
         return visit(x, y)
 
-    return Cleared(left.groupBy("block").cogroup(right.groupBy("block")).applyInPandas(run, LOG))
+    return Cleared(left.groupBy("block").cogroup(right.groupBy("block")).applyInPandas(run, LOG), 1)
 
 
 def resolve_live_rounds(b: DataFrame, elements: DataFrame, rule: str) -> Cleared:
     """Live counters by rounds; conflicts are shared positions, directly or through a living element."""
-    among = b.select(F.explode("positions").alias("pos")).distinct()
-    alive, open_, done, rounds = written(touching(elements, among), "alive"), written(b.select("key", "ord", "positions"), "open"), [], 0
+    open_, done, rounds, gone = written(b.select("key", "ord", "positions"), "open"), [], 0, None
+    alive = elements
     while not open_.isEmpty():
         rounds += 1
         each = open_.select("key", "ord", F.explode(F.array_distinct("positions")).alias("pos"))
         mpos = each.groupBy("pos").agg(F.min("ord").alias("mp"))
+        # Only living elements that an undecided key still touches can matter from here on.
+        alive = touching(alive, mpos.select("pos"))
+        if gone is not None:
+            lost = alive.select("side", "key", F.explode("positions").alias("pos")).join(gone, "pos", "left_semi").select("side", "key").distinct()
+            alive = alive.join(lost, ["side", "key"], "left_anti")
+        alive = written(alive, "alive")
         held = alive.select("side", F.col("key").alias("x"), F.explode(F.array_distinct("positions")).alias("pos"))
         mx = held.join(mpos, "pos").groupBy("side", "x").agg(F.min("mp").alias("mx"))
         through = held.join(mx, ["side", "x"]).groupBy("pos").agg(F.min("mx").alias("mt"))
         mp2 = mpos.join(through, "pos", "left").select("pos", F.least("mp", "mt").alias("mp2"))
         first = each.join(mp2, "pos").groupBy("key", "ord").agg(F.min("mp2").alias("least"))
         acts = first.where("ord = least").select("key").join(open_, "key")
-        count = alive.select("side", "weight", F.explode("positions").alias("pos")).groupBy("pos").agg(
+        spots = acts.select("key", "ord", "positions", F.posexplode("positions").alias("j", "pos"))
+        near = alive.select("side", "weight", F.explode("positions").alias("pos")).join(spots.select("pos"), "pos", "left_semi")
+        count = near.groupBy("pos").agg(
             F.sum(F.when(F.col("side") == "a", F.col("weight")).otherwise(0)).alias("cnt_a"), F.sum(F.when(F.col("side") == "b", F.col("weight")).otherwise(0)).alias("cnt_b")
         )
-        spots = acts.select("key", "ord", "positions", F.posexplode("positions").alias("j", "pos")).join(count, "pos", "left")
+        spots = spots.join(count, "pos", "left")
         a, n = F.coalesce("cnt_a", F.lit(0)).cast("double"), F.coalesce("cnt_b", F.lit(0)).cast("double")
         score = {"min_fn": a, "max_fp": -n, "ratio": F.try_divide(a, n)}[rule]
         spots = spots.withColumn("score", score).where(F.col("score").isNotNull())
         now = spots.groupBy("key", "ord", "positions").agg(F.min_by(F.struct("pos", "j"), F.struct("score", "j")).alias("x"))
         now = written(now.select("key", "ord", "positions", "x.pos", "x.j", F.lit(True).alias("acted")), "acts")
-        done.append(now)
         gone = now.select("pos").distinct()
         left = open_.join(now.select("key"), "key", "left_anti")
         out = left.select("key", F.explode("positions").alias("pos")).join(gone, "pos", "left_semi").select("key").distinct()
-        out = written(left.join(out, "key").select("key", "ord", "positions", F.lit(None).cast("long").alias("pos"), F.lit(None).cast("int").alias("j"), F.lit(False).alias("acted")), "outs")
-        done.append(out)
-        open_ = written(left.join(out.select("key"), "key", "left_anti"), "open")
-        lost = alive.select("side", "key", F.explode("positions").alias("pos")).join(gone, "pos", "left_semi").select("side", "key").distinct()
-        alive = written(alive.join(lost, ["side", "key"], "left_anti"), "alive")
+        state = written(left.join(out.withColumn("out", F.lit(True)), "key", "left"), "state")
+        done += [now, state.where("out").select("key", "ord", "positions", F.lit(None).cast("long").alias("pos"), F.lit(None).cast("int").alias("j"), F.lit(False).alias("acted"))]
+        open_ = state.where("out is null").select("key", "ord", "positions")
     if not done:
         return Cleared(b.sparkSession.createDataFrame([], LOG), 0)
     log = done[0]
@@ -288,6 +293,21 @@ def resolve_live_rounds(b: DataFrame, elements: DataFrame, rule: str) -> Cleared
     return Cleared(log, rounds)
 
 
+def engine_for(b: DataFrame, elements: DataFrame, k: int) -> str:
+    """``single_task`` if the rows that a live visit would hold (keys and elements that touch them, times k) are few."""
+    rows = k * b.count()
+    if rows <= SINGLE_TASK_ROWS:
+        rows += k * touching(elements, b.select(F.explode("positions").alias("pos")).distinct()).count()
+    return "single_task" if rows <= SINGLE_TASK_ROWS else "rounds"
+
+
+def visit_frozen(chosen: DataFrame, engine: str = "auto") -> Cleared:
+    """Who acts among keys whose choice is known: (key, ord, positions, pos, j)."""
+    if engine == "auto":
+        engine = "single_task" if chosen.count() <= SINGLE_TASK_ROWS else "rounds"
+    return _dominate(chosen) if engine == "single_task" else resolve_rounds(chosen)
+
+
 def clear(members: DataFrame, fp: DataFrame, b: DataFrame, spec: FilterSpec, rule: str = "ratio", live: bool = False, scope: str = "all", engine: str = "auto", seed: int = 0, weight: str | None = None) -> Cleared:
     """Clear bits for ``b(key, positions, ord)``; ``members`` and ``fp`` carry ``key, positions``.
 
@@ -298,22 +318,21 @@ def clear(members: DataFrame, fp: DataFrame, b: DataFrame, spec: FilterSpec, rul
         raise ValueError(f"unknown rule {rule!r}")
     scope_keys = fp if scope == "all" else b
     live = live and rule != "random"
+    if not live and engine != "blocked":
+        if engine not in ("auto", "rounds", "single_task"):
+            raise ValueError(f"unknown engine {engine!r}")
+        return visit_frozen(choose(b, rule, members, scope_keys, seed, spec.k, weight), engine)
+    elements = elements_of(members, scope_keys, rule, weight)
     if engine == "auto":
-        rows = spec.k * (b.count() + (members.count() if live else 0))
-        engine = "single_task" if rows <= SINGLE_TASK_ROWS else "rounds"
+        engine = engine_for(b, elements, spec.k)
     if engine == "rounds":
-        if live:
-            return resolve_live_rounds(b, elements_of(members, scope_keys, rule, weight), rule)
-        return resolve_rounds(choose(b, rule, members, scope_keys, seed, spec.k, weight))
+        return resolve_live_rounds(b, elements, rule)
     block = F.lit(0).cast("long")
     if engine == "blocked":
         block = ((F.element_at("positions", 1) - 1) / spec.block_bits).cast("long")
     elif engine != "single_task":
         raise ValueError(f"unknown engine {engine!r}")
-    if engine == "single_task" and not live and rule != "random":
-        chosen = choose(b, rule, members, scope_keys, seed, spec.k, weight)
-        return _dominate(chosen)
-    return resolve_groups(b, elements_of(members, scope_keys, rule, weight), rule, live, seed, spec.k, block)
+    return resolve_groups(b, elements, rule, live, seed, spec.k, block)
 
 
 def _dominate(chosen: DataFrame) -> Cleared:
@@ -330,12 +349,13 @@ def _dominate(chosen: DataFrame) -> Cleared:
             acted.append(acts)
         return b.drop(columns="one").assign(acted=acted)
 
-    return Cleared(chosen.withColumn("one", F.lit(0)).groupBy("one").applyInPandas(run, LOG))
+    return Cleared(chosen.select("key", "ord", "positions", "pos", "j", F.lit(0).alias("one")).groupBy("one").applyInPandas(run, LOG), 1)
 
 
 def randomized(pos: DataFrame, s: int, seed: int = 0) -> DataFrame:
     """``s`` set positions in the order of a seeded digest: clearing without regard to keys."""
-    return pos.orderBy(F.md5(F.concat(F.lit(f"{seed}:"), F.col("pos").cast("string")).cast("binary")), "pos").limit(s)
+    order = [F.md5(F.concat(F.lit(f"{seed}:"), F.col("pos").cast("string")).cast("binary")), F.col("pos")]
+    return numbered(pos, order).where(F.col("ord") <= s).select("pos")
 
 
 def reset_bits(pos: DataFrame, gone: DataFrame) -> DataFrame:

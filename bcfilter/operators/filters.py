@@ -111,6 +111,13 @@ def probe_shuffle(df: DataFrame, bitmap: DataFrame, spec: FilterSpec, key: str =
     return df.join(answers, key, "left")
 
 
+def probe(df: DataFrame, pos: DataFrame, spec: FilterSpec, key: str = "key") -> DataFrame:
+    """``df`` with ``maybe``: broadcast bits while they are few enough for that, co-partitioned bitmaps beyond."""
+    if spec.m <= MOST_BROADCAST_BITS:
+        return probe_broadcast(df, pos, spec, key)
+    return probe_shuffle(df, bitmap_of(pos), spec, key)
+
+
 def probe_negative(df: DataFrame, pos: DataFrame, spec: FilterSpec, key: str = "key", first: int = 1) -> DataFrame:
     """Staged probe: the first ``first`` hashes reject most keys, the rest is tested for those left; (key, maybe)."""
     keys = hashed(df.select(key).distinct(), spec, key)

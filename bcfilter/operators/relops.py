@@ -11,7 +11,7 @@ from . import clearing, filters
 
 def prefilter(df: DataFrame, cheap: Column, pos: DataFrame, spec: FilterSpec, key: str) -> DataFrame:
     """Cheap predicates first (they reach the scan), then the probe; a probe before a join saves its shuffle."""
-    return filters.probe_broadcast(df.where(cheap), pos, spec, key).where("maybe").drop("maybe")
+    return filters.probe(df.where(cheap), pos, spec, key).where("maybe").drop("maybe")
 
 
 def join_prefiltered(left: DataFrame, right: DataFrame, key: str, spec: FilterSpec, pos: DataFrame, rescue: DataFrame | None = None) -> DataFrame:
@@ -20,7 +20,7 @@ def join_prefiltered(left: DataFrame, right: DataFrame, key: str, spec: FilterSp
     ``rescue(key)`` holds the right side's keys that the filter lost to clearing: with them the result is exact,
     without it the join misses their rows.
     """
-    passed = filters.probe_broadcast(left, pos, spec, key)
+    passed = filters.probe(left, pos, spec, key)
     if rescue is not None:
         saved = rescue.select(F.col("key").alias(key), F.lit(True).alias("saved"))
         passed = passed.join(saved, key, "left").where(F.col("maybe") | F.col("saved")).drop("saved")

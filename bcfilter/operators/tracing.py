@@ -25,16 +25,14 @@ def lines(spark: SparkSession, sf_dir: str) -> DataFrame:
 def current_lines(spark: SparkSession, sf_dir: str, cycles: list[int]) -> DataFrame:
     """As-of: for each cycle and customer the latest line before the cut, and the part of the one before it.
 
-    ``max_by`` over a struct and the second greatest from a two-element aggregate keep one row per customer and cycle;
-    no window over all lines of a customer is sorted.
+    One window for each customer gives every line the time up to which it is the latest; a cycle then picks the one
+    line that is valid at its cut. Lines are not multiplied by the cycles.
     """
     cuts = spark.createDataFrame([(c,) for c in cycles], "cycle int").withColumn("cut", F.expr("timestamp '2000-01-01' + make_interval(0, 0, 0, 60 * cycle)"))
-    at = lines(spark, sf_dir).crossJoin(F.broadcast(cuts)).where("o_orderdate < cut")
-    rank = F.row_number().over(Window.partitionBy("cycle", "dest").orderBy(*[F.col(c).desc() for c in ("o_orderdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")]))
-    top = at.withColumn("rn", rank).where("rn <= 2")
-    return top.groupBy("cycle", "dest").agg(
-        F.max(F.when(F.col("rn") == 1, F.col("l_partkey"))).alias("part"), F.max(F.when(F.col("rn") == 1, F.col("l_suppkey"))).alias("supp"), F.max(F.when(F.col("rn") == 2, F.col("l_partkey"))).alias("prev")
-    )
+    w = Window.partitionBy("dest").orderBy("o_orderdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    at = lines(spark, sf_dir).select("dest", "o_orderdate", F.col("l_partkey").alias("part"), F.col("l_suppkey").alias("supp"), F.lag("l_partkey").over(w).alias("prev"), F.lead("o_orderdate").over(w).alias("until"))
+    valid = (F.col("o_orderdate") < F.col("cut")) & (F.col("until").isNull() | (F.col("until") >= F.col("cut")))
+    return at.join(F.broadcast(cuts), valid).select("cycle", "dest", "part", "supp", "prev")
 
 
 def hops(spark: SparkSession, sf_dir: str, cycles: list[int]) -> DataFrame:
@@ -66,6 +64,74 @@ def degrees(trace: DataFrame, how: str = "encountered", cycle: int = 0) -> DataF
     return own.groupBy(F.col("node").alias("key")).agg(F.count("*").alias("weight"))
 
 
+#: Order from which no reset ever clears a node: members' nodes of a list, and positives that no visit touches.
+NEVER = 1 << 62
+
+
+def paths(trace: DataFrame, until: DataFrame, filters: int) -> DataFrame:
+    """One row for each trace and filter: ``hits``, its hops in order as (ttl, node, is_penultimate, until, reach).
+
+    ``until(key, i, gone)``: node ``key`` tests positive under filter i while fewer than ``gone`` visits have been made
+    (0: never). A trace stops at its first hop whose ``gone`` is above the number of visits made, so a hop is reached
+    from ``reach`` visits on, the greatest ``gone`` before it: one row answers for every number of visits.
+    """
+    wide = until.groupBy("key").agg(F.collect_list(F.struct("i", "gone")).alias("by"))
+    each = trace.join(wide, trace["node"] == wide["key"], "left")
+    path = F.array_sort(F.collect_list(F.struct("ttl", "node", "is_penultimate", "by")))
+    whole = each.groupBy("cycle", "monitor", "dest").agg(path.alias("path")).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(filters - 1))))
+
+    def gone(h):
+        own = F.filter(h["by"], lambda e: e["i"] == F.col("i"))
+        return F.coalesce(F.try_element_at(own, F.lit(1))["gone"], F.lit(0)).cast("long")
+
+    bare = whole.withColumn("path", F.transform("path", lambda h: F.struct(h["ttl"].alias("ttl"), h["node"].alias("node"), h["is_penultimate"].alias("is_penultimate"), gone(h).alias("gone"))))
+    reach = lambda k: F.coalesce(F.array_max(F.transform(F.slice("path", F.lit(1), k), lambda h: h["gone"])), F.lit(0)).cast("long")
+    hits = F.transform("path", lambda h, k: F.struct(h["ttl"].alias("ttl"), h["node"].alias("node"), h["is_penultimate"].alias("is_penultimate"), h["gone"].alias("gone"), reach(k).alias("reach")))
+    return bare.select("i", "cycle", "monitor", "dest", hits.alias("hits"))
+
+
+def shares(path: DataFrame, steps: DataFrame) -> DataFrame:
+    """Outcome shares at ``steps(i, last, ...)``: after ``last`` visits of filter i, without a row for each step and trace.
+
+    A hop ends its trace while ``reach <= last < gone``. Where that begins and ends is added up by place, the places
+    are added up by step.
+    """
+    by = [c for c in steps.columns if c not in ("i", "last")]
+    total = path.where("i = 0").groupBy("cycle").agg(F.count("*").alias("traces"))
+    stop = path.select("i", "cycle", F.explode(F.filter("hits", lambda h: h["gone"] > h["reach"])).alias("h"))
+    ends = F.array(F.struct(F.col("h.reach").alias("at"), F.lit(1).alias("d")), F.struct(F.col("h.gone").alias("at"), F.lit(-1).alias("d")))
+    place = stop.select("i", "cycle", "h.is_penultimate", F.explode(ends).alias("x")).groupBy("i", "cycle", "x.at").agg(
+        F.sum(F.when(F.col("is_penultimate"), F.col("x.d")).otherwise(0)).alias("good"), F.sum(F.when(~F.col("is_penultimate"), F.col("x.d")).otherwise(0)).alias("early")
+    )
+    met = place.join(F.broadcast(steps), (place["i"] == steps["i"]) & (place["at"] <= steps["last"])).groupBy(*[steps[c] for c in by], "cycle").agg(F.sum("good").alias("good"), F.sum("early").alias("early"))
+    every = F.broadcast(steps.select(*by)).crossJoin(total)
+    out = every.join(met, [*by, "cycle"], "left").select(*by, "cycle", "traces", F.coalesce("good", F.lit(0)).alias("good"), F.coalesce("early", F.lit(0)).alias("early"))
+    share = lambda x: F.round(x / F.col("traces").cast("double"), 6)
+    return out.select(*by, "cycle", "traces", share(F.col("good")).alias("success"), share(F.col("early")).alias("short"), share(F.col("traces") - F.col("good") - F.col("early")).alias("collision"))
+
+
+def missed_shares(path: DataFrame, steps: DataFrame, links: bool) -> DataFrame:
+    """Share of the nodes (or links) that the list's replay (filter 0) reveals and a step's does not.
+
+    A node is revealed from the least ``reach`` of its hops on; one row for each node and filter answers for all steps.
+    """
+    by = [c for c in steps.columns if c not in ("i", "last")]
+    hits = F.col("hits")
+    if links:
+        pair = F.transform(hits, lambda h, k: F.struct(F.try_element_at(hits, F.when(k > 0, k).otherwise(F.lit(None)).cast("int"))["node"].alias("a"), h["node"].alias("b"), h["reach"].alias("reach")))
+        each = path.select("i", F.explode(pair).alias("h")).where("h.a is not null")
+        what = ["h.a", "h.b"]
+    else:
+        each, what = path.select("i", F.explode("hits").alias("h")), ["h.node"]
+    seen = each.groupBy("i", *what).agg(F.min("h.reach").alias("reach"))
+    names = [w.split(".")[1] for w in what]
+    ref = seen.where("i = 0 and reach <= 0").select(*names)
+    at = seen.where("i > 0").join(ref, names).groupBy("i", "reach").agg(F.count("*").alias("n"))
+    total = ref.agg(F.count("*").alias("total"))
+    met = F.broadcast(steps).join(at, (steps["i"] == at["i"]) & (at["reach"] <= steps["last"]), "left").groupBy(*by).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
+    return met.crossJoin(F.broadcast(total)).select(*by, F.round((F.col("total") - F.col("n")) / F.col("total").cast("double"), 6).alias("missed"))
+
+
 def replay(trace: DataFrame, positive: DataFrame, skip_first_hop: bool = False, by: list[str] | None = None) -> DataFrame:
     """Outcome of every trace: stops at its first positive hop; ``by`` are further columns of ``positive``."""
     by = by or []

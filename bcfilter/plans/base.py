@@ -119,11 +119,11 @@ def live_sql(rule: str, k: int = 3, scope: str = "all") -> str:
     """CTEs as ``VISIT_SQL`` with counters that follow the resets."""
     src = "fp" if scope == "all" else "b"
     score = {"min_fn": "coalesce(xa.c, 0)", "max_fp": "-coalesce(xb.c, 0)", "ratio": "CAST(coalesce(xa.c, 0) AS DOUBLE) / nullif(xb.c, 0)"}[rule]
-    alive = lambda t: f"(SELECT count(*) FROM (SELECT unnest(positions) AS p FROM {t} WHERE NOT list_has_any(positions, s.cleared)) WHERE p = q.pos)"
+    alive = lambda t: f"(SELECT count(*) FROM {t} WHERE p = q.pos AND NOT list_has_any(positions, s.cleared))"
     best = score.replace("coalesce(xa.c, 0)", alive("near_a")).replace("coalesce(xb.c, 0)", alive("near_b")).replace("nullif(xb.c, 0)", f"nullif({alive('near_b')}, 0)")
     return f"""pb AS (SELECT list(DISTINCT p) AS ps FROM (SELECT unnest(positions) AS p FROM b)),
-near_a AS (SELECT positions FROM a, pb WHERE list_has_any(positions, ps)),
-near_b AS (SELECT positions FROM {src}, pb WHERE list_has_any(positions, ps)),
+near_a AS (SELECT p, positions FROM (SELECT unnest(positions) AS p, positions FROM a), pb WHERE list_contains(ps, p)),
+near_b AS (SELECT p, positions FROM (SELECT unnest(positions) AS p, positions FROM {src}), pb WHERE list_contains(ps, p)),
 vis AS (SELECT 0::BIGINT AS step, []::BIGINT[] AS cleared, []::BIGINT[] AS acting
   UNION ALL SELECT s.step + 1, CASE WHEN list_has_any(s.cleared, b.positions) THEN s.cleared ELSE list_append(s.cleared,
     (SELECT arg_min(pos, (score, j)) FROM (SELECT q.pos, q.j, {best} AS score FROM (SELECT unnest(b.positions) AS pos, unnest(range(0, {k})) AS j) q) WHERE score IS NOT NULL)) END,

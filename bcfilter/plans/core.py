@@ -328,15 +328,17 @@ def clear_budget(spark, sf_dir):
     return clearing.budget(done.log, s.members, max_resets=60, max_fn=50)
 
 
-@query("engine_agreement", "SELECT r AS rule, l AS counters, CAST(0 AS BIGINT) AS differing FROM (VALUES ('random', 'frozen'), ('min_fn', 'frozen'), ('max_fp', 'frozen'), ('ratio', 'frozen'), ('min_fn', 'live'), ('ratio', 'live')) t(r, l)")
+@query("engine_agreement", "SELECT r AS rule, l AS counters, CAST(0 AS BIGINT) AS differing FROM (VALUES ('random', 'frozen'), ('min_fn', 'frozen'), ('max_fp', 'frozen'), ('ratio', 'frozen'), ('min_fn', 'live'), ('max_fp', 'live'), ('ratio', 'live'), ('ratio', 'blocked, frozen'), ('ratio', 'blocked, live')) t(r, l)")
 def engine_agreement(spark, sf_dir):
-    """Rows of the log that differ between the engines, for frozen and live counters."""
-    s = setting(spark, sf_dir)
+    """Rows of the log that differ between the engines, for frozen and live counters; ``blocked`` on a blocked filter."""
+    s, blocked = setting(spark, sf_dir), setting(spark, sf_dir, family="blocked", blocks=16)
+    cases = [(s, "random", False), (s, "min_fn", False), (s, "max_fp", False), (s, "ratio", False), (s, "min_fn", True), (s, "max_fp", True), (s, "ratio", True), (blocked, "ratio", False), (blocked, "ratio", True)]
     out = None
-    for rule, live in (("random", False), ("min_fn", False), ("max_fp", False), ("ratio", False), ("min_fn", True), ("ratio", True)):
-        logs = [run(s, rule, 0.05, live, engine=e)[1].log.where("acted").select("key", "ord", "pos", "j") for e in ("rounds", "single_task")]
+    for x, rule, live in cases:
+        second = "blocked" if x is blocked else "single_task"
+        logs = [run(x, rule, 0.05, live, engine=e)[1].log.where("acted").select("key", "ord", "pos", "j") for e in ("rounds", second)]
         n = logs[0].exceptAll(logs[1]).unionByName(logs[1].exceptAll(logs[0])).agg(F.count("*").alias("differing"))
-        row = n.select(F.lit(rule).alias("rule"), F.lit("live" if live else "frozen").alias("counters"), "differing")
+        row = n.select(F.lit(rule).alias("rule"), F.lit(("blocked, " if x is blocked else "") + ("live" if live else "frozen")).alias("counters"), "differing")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -404,17 +406,6 @@ def m_marginal(spark, sf_dir):
     return measures.marginal(done.log, s.members, s.fp)
 
 
-_CONF_RUNS = 5
-
-
-@query("m_confidence")
-def m_confidence(spark, sf_dir):
-    """Mean and interval of chi over runs that differ in the order of the troublesome keys."""
-    from .workloads import sim_rows
-
-    return measures.confidence(sim_rows(spark, sf_dir, ["ratio"], [0.1], runs=_CONF_RUNS), ["algorithm", "beta"], "chi")
-
-
 # --- baselines --------------------------------------------------------------------------------------------------
 
 query("baseline_bloom", _PROBE)(bf_probe_broadcast)

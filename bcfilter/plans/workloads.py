@@ -14,68 +14,137 @@ from ..sources.tables import table, written
 from .base import ORACLE_SQL, QUERIES, U_SQL, VISIT_SQL, Setting, b_sql, choice_sql, frozen_sql, live_sql, query, row_sql, run, setting, setting_sql, with_sql
 
 BETAS = (0.01, 0.02, 0.05, 0.10, 0.25, 0.50, 0.75, 1.0)
-LIVE_BETAS = (0.01, 0.05, 0.10)
+RUNS = 15
+SHIFT = 40
 c = F.col
 
 
 # --- simulation over the key universe ---------------------------------------------------------------------------
 
 
-def sim_rows(spark: SparkSession, sf_dir: str, rules, betas, live: bool = False, runs: int = 1, scope: str = "all") -> DataFrame:
-    """Results-table rows for rules, betas and runs (orders of the troublesome keys)."""
-    s = setting(spark, sf_dir)
-    out = []
-    for rule in rules:
-        for r in range(runs):
-            order = clearing.md5_order(run=r) if runs > 1 else None
-            for beta in betas:
-                b, done = run(s, rule, beta, live, scope, order=order, seed=r)
-                out.append(measures.table_row(s.members, s.fp, b, done, s.n_universe, s.spec, beta, rule, "live" if live else "frozen", scope, r))
-    return union_all(out)
-
-
-def sweep(s: Setting, rule: str, betas) -> DataFrame:
-    """All betas in one visit: with counters that do not depend on beta, a smaller beta is a prefix of the visit.
+def composite(keys: DataFrame, group: str) -> DataFrame:
+    """Keys and positions of several independent visits side by side: the group stands above bit ``SHIFT``."""
+    up = F.shiftleft(c(group).cast("long"), SHIFT)
+    return keys.withColumn("positions", F.transform("positions", lambda p: p + up)).withColumn("key", c("key") + up).drop(group)
 
-    A position is cleared from the order of its reset on; a key is lost from the least such order on.
-    """
-    ordered = written(clearing.troublesome(s.fp, 1.0, count=s.n_fp), "ordered")
-    done = written(clearing.clear(s.members, s.fp, ordered, s.spec, rule).log, "log")
-    gone = done.where("acted").select("pos", "ord")
 
-    def first(keys: DataFrame) -> DataFrame:
-        return keys.select("key", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("key").agg(F.min("ord").alias("at"))
+def group_of(x: str):
+    return F.shiftright(c(x), SHIFT).cast("int")
 
-    lost_fp = first(s.fp).join(ordered.select("key", c("ord").alias("own")), "key")
-    steps = s.fp.sparkSession.createDataFrame([(float(b), min(s.n_fp, max(1, clearing.round_half_up(b * s.n_fp)))) for b in betas], "beta double, last long")
 
-    def count(rows: DataFrame, cond, name: str) -> DataFrame:
-        return F.broadcast(steps).join(rows, cond, "left").groupBy("beta", "last").agg(F.count(rows[rows.columns[-1]]).alias(name))
+def low(x: str):
+    return c(x).bitwiseAND(F.lit((1 << SHIFT) - 1))
 
-    removed = count(lost_fp.select("key", "own", "at"), c("at") <= c("last"), "removed")
-    extra = count(lost_fp.select("key", "own", "at"), (c("at") <= c("last")) & (c("own") > c("last")), "b_extra")
-    fn = count(first(s.members).select("key", "at"), c("at") <= c("last"), "fn")
-    resets = count(gone.select("pos", "ord"), c("ord") <= c("last"), "s")
-    out = removed.join(extra, ["beta", "last"]).join(fn, ["beta", "last"]).join(resets, ["beta", "last"])
-    dfp, dfn = c("removed") / F.lit(s.n_fp), c("fn") / F.lit(s.n)
-    return out.select(F.lit(rule).alias("algorithm"), "beta", c("last").alias("b"), "b_extra", "removed", "fn", "s", r6(F.try_divide(dfp, dfn)).alias("chi"))
 
+def visits(s: Setting, rule: str, runs: int, live: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Visits of all false positives in ``runs`` orders: keys (run, key, ord) and resets (run, pos, ord).
 
-def _sweep_sql(rule: str, cols: str = "algorithm, beta, b, b_extra, removed, fn, s, chi") -> str:
-    return with_sql(
-        setting_sql(), b_sql(1.0), choice_sql(rule), VISIT_SQL,
-        "lf AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM fp) x JOIN c USING (pos) GROUP BY key)",
-        "la AS (SELECT key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM a) x JOIN c USING (pos) GROUP BY key)",
-        f"st AS (SELECT beta, least(nf, greatest(1, CAST(floor(beta * nf + 0.5) AS BIGINT))) AS b, nf FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in BETAS)}]) AS beta), (SELECT count(*) AS nf FROM fp))",
-        f"""rw AS (SELECT '{rule}' AS algorithm, beta, b, nf, (SELECT count(*) FROM lf JOIN bo USING (key) WHERE hit_at <= b AND bo.ord > b) AS b_extra,
- (SELECT count(*) FROM lf WHERE hit_at <= b) AS removed, (SELECT count(*) FROM la WHERE hit_at <= b) AS fn, (SELECT count(*) FROM c WHERE ord <= b) AS s FROM st)""",
-        f"rx AS (SELECT *, round((removed / nf) / nullif(fn / (SELECT CAST(n AS DOUBLE) FROM sp), 0), 6) AS chi FROM rw)",
-        select=f"SELECT {cols} FROM rx",
-    )
+    With frozen counters the choice of a key is the same in every order (but for the random rule), so it is made once
+    and the orders are visited side by side. Live counters take one order.
+    """
+    keys = s.fp.select("key", "positions")
+    if live:
+        ordered = written(clearing.troublesome(s.fp, 1.0, count=s.n_fp), "ordered")
+        done = written(clearing.clear(s.members, s.fp, ordered, s.spec, rule, True).log, "log")
+        return ordered.select(F.lit(0).alias("run"), "key", "ord"), done.where("acted").select(F.lit(0).alias("run"), "pos", "ord")
+    run = F.explode(F.sequence(F.lit(0), F.lit(runs - 1)))
+    text = c("key").cast("string") if runs == 1 else F.concat(c("run").cast("string"), F.lit(":"), c("key").cast("string"))
+    ordered = clearing.numbered(keys.withColumn("run", run), [c("run"), F.md5(text.cast("binary")), c("key")])
+    ordered = written(ordered.withColumn("ord", c("ord") - c("run") * s.n_fp), "ordered")
+    if rule == "random":
+        digest = F.md5(F.concat(c("run").cast("string"), F.lit(":"), c("key").cast("string")).cast("binary"))
+        j = F.pmod(F.conv(F.substring(digest, 1, 15), 16, 10).cast("long"), F.lit(s.spec.k)).cast("int")
+        chosen = ordered.withColumn("j", j).withColumn("pos", F.element_at("positions", c("j") + 1))
+    else:
+        once = clearing.choose(keys.withColumn("ord", F.lit(0).cast("long")), rule, s.members, s.fp, k=s.spec.k).select("key", "pos", "j")
+        chosen = ordered.join(once, "key")
+    chosen = composite(chosen.withColumn("pos", c("pos") + F.shiftleft(c("run").cast("long"), SHIFT)), "run").select("key", "ord", "positions", "pos", "j")
+    done = written(clearing.visit_frozen(chosen).log, "log")
+    return ordered.select("run", "key", "ord"), done.where("acted").select(group_of("pos").alias("run"), low("pos").alias("pos"), "ord")
+
+
+def sweep(s: Setting, rule: str, betas, runs: int = 1, live: bool = False) -> DataFrame:
+    """All betas in one visit: the counters do not depend on beta, so a smaller beta is a prefix of the visit.
 
+    A position is cleared from the order of its reset on; a key is lost from the least such order on.
+    """
+    ordered, gone = visits(s, rule, runs, live)
 
+    def first(keys: DataFrame) -> DataFrame:
+        return keys.select("key", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("run", "key").agg(F.min("ord").alias("at"))
+
+    lost_fp = first(s.fp).join(ordered.select("run", "key", c("ord").alias("own")), ["run", "key"])
+    last = [(r, float(b), min(s.n_fp, max(1, clearing.round_half_up(b * s.n_fp)))) for b in betas for r in range(runs)]
+    steps = s.fp.sparkSession.createDataFrame(last, "run int, beta double, last long")
+
+    def count(rows: DataFrame, name: str, *conds) -> DataFrame:
+        """Rows up to a step, added up from what each order adds: the steps never multiply the rows."""
+        per = rows.groupBy("run", "at").agg(F.count("*").alias("n"))
+        return F.broadcast(steps).join(per, (steps["run"] == per["run"]) & (per["at"] <= steps["last"]), "left").groupBy(steps["run"], "beta", "last").agg(F.coalesce(F.sum("n"), F.lit(0)).alias(name))
+
+    removed = count(lost_fp, "removed")
+    # Removed though not visited by then: lost at ``at``, visited only at ``own``.
+    before = count(lost_fp.select("run", F.greatest("at", "own").alias("at")), "visited")
+    fn = count(first(s.members), "fn")
+    resets = count(gone.select("run", c("ord").alias("at")), "s")
+    by = ["run", "beta", "last"]
+    out = removed.join(before, by).join(fn, by).join(resets, by).withColumn("b_extra", c("removed") - c("visited"))
+    dfp, dfn = c("removed") / F.lit(s.n_fp), c("fn") / F.lit(s.n)
+    return out.select("run", F.lit(rule).alias("algorithm"), "beta", c("last").alias("b"), "b_extra", "removed", "fn", "s", r6(F.try_divide(dfp, dfn)).alias("chi"))
+
+
+def averaged(rows: DataFrame) -> DataFrame:
+    """One row for each rule and beta: means over the runs, and chi with the half-width of its 95% interval."""
+    from functools import reduce
+
+    by = ["algorithm", "beta"]
+    means = rows.groupBy(*by, "b").agg(*[r6(F.avg(x)).alias(x) for x in ("b_extra", "removed", "fn", "s")])
+    chi = measures.confidence(rows, by, "chi").withColumnsRenamed({"mean": "chi"})
+    return reduce(lambda a, b: a.join(b, by), [means, chi])
+
+
+def _visits_sql(rule: str, runs: int) -> list[str]:
+    """CTEs bo(run, key, ord) and c(run, pos, ord): the visits of all runs with frozen counters."""
+    text = "CAST(key AS VARCHAR)" if runs == 1 else "CAST(run AS VARCHAR) || ':' || CAST(key AS VARCHAR)"
+    order = f"bo AS (SELECT run, key, positions, row_number() OVER (PARTITION BY run ORDER BY md5({text}), key) AS ord FROM fp, (SELECT unnest(range(0, {runs})) AS run))"
+    if rule == "random":
+        chosen = ["cr AS (SELECT run, ord, positions, positions[CAST('0x' || substr(md5(CAST(run AS VARCHAR) || ':' || CAST(key AS VARCHAR)), 1, 15) AS BIGINT) % 3 + 1] AS pos FROM bo)"]
+    else:
+        chosen = ["b AS (SELECT key, positions, 0 AS ord FROM fp)", choice_sql(rule), "cr AS (SELECT bo.run, bo.ord, bo.positions, ch.pos FROM bo JOIN ch USING (key))"]
+    return [
+        order, *chosen,
+        """vis AS (SELECT DISTINCT run, 0::BIGINT AS step, []::BIGINT[] AS cleared, []::BIGINT[] AS acting FROM cr
+  UNION ALL SELECT vis.run, vis.step + 1, CASE WHEN list_has_any(vis.cleared, cr.positions) THEN vis.cleared ELSE list_append(vis.cleared, cr.pos) END,
+  CASE WHEN list_has_any(vis.cleared, cr.positions) THEN vis.acting ELSE list_append(vis.acting, cr.ord) END FROM vis JOIN cr ON cr.run = vis.run AND cr.ord = vis.step + 1)""",
+        "c AS (SELECT run, unnest(cleared) AS pos, unnest(acting) AS ord FROM (SELECT run, arg_max(cleared, step) AS cleared, arg_max(acting, step) AS acting FROM vis GROUP BY run))",
+    ]
+
+
+def _sweep_sql(rule: str, cols: str = "algorithm, beta, b, b_extra, removed, fn, s, chi", runs: int = 1, live: bool = False, betas=BETAS, averaged: bool = False) -> str:
+    visit = _visits_sql(rule, runs)
+    if live:
+        visit = [b_sql(1.0), live_sql(rule).replace("c AS (SELECT unnest(cleared) AS pos", "c AS (SELECT 0 AS run, unnest(cleared) AS pos")]
+    order = "bx AS (SELECT 0 AS run, key, ord FROM bo)" if live else "bx AS (SELECT run, key, ord FROM bo)"
+    lost = "(SELECT run, key, min(ord) AS hit_at FROM (SELECT key, unnest(positions) AS pos FROM {}) x JOIN c USING (pos) GROUP BY run, key)"
+    upto = "(SELECT count(*) FROM {0} x WHERE x.run = st.run AND x.{1} <= st.b{2})"
+    parts = [
+        setting_sql(), *visit, order, f"lf AS (SELECT l.run, l.key, hit_at, bx.ord AS own FROM {lost.format('fp')} l JOIN bx ON bx.run = l.run AND bx.key = l.key)", f"la AS {lost.format('a')}",
+        f"st AS (SELECT run, beta, least(nf, greatest(1, CAST(floor(beta * nf + 0.5) AS BIGINT))) AS b, nf FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in betas)}]) AS beta), (SELECT unnest(range(0, {runs})) AS run), (SELECT count(*) AS nf FROM fp))",
+        f"rw AS (SELECT '{rule}' AS algorithm, run, beta, b, nf, {upto.format('lf', 'hit_at', ' AND x.own > st.b')} AS b_extra, {upto.format('lf', 'hit_at', '')} AS removed, {upto.format('la', 'hit_at', '')} AS fn, {upto.format('c', 'ord', '')} AS s FROM st)",
+        "rx AS (SELECT *, round((removed / nf) / nullif(fn / (SELECT CAST(n AS DOUBLE) FROM sp), 0), 6) AS chi FROM rw)",
+    ]
+    if averaged:
+        means = ", ".join(f"round(avg({x}), 6) AS {x}" for x in ("b_extra", "removed", "fn", "s"))
+        parts.append(f"ra AS (SELECT algorithm, beta, b, {means}, count(chi) AS runs, round(avg(chi), 6) AS chi, round(CASE WHEN count(chi) > 1 THEN {measures.T95[runs - 2]} * stddev_samp(chi) / sqrt(count(chi)) END, 6) AS half_width FROM rx GROUP BY algorithm, beta, b)")
+    return with_sql(*parts, select=f"SELECT {cols} FROM {'ra' if averaged else 'rx'}")
+
+
+_AVERAGED = "algorithm, beta, b, b_extra, removed, fn, s, runs, chi, half_width"
 for _rule in clearing.RULES:
-    query(f"w_sim_table_{_rule}", _sweep_sql(_rule))(lambda spark, sf_dir, r=_rule: sweep(setting(spark, sf_dir), r, BETAS))
+    query(f"w_sim_table_{_rule}", _sweep_sql(_rule, _AVERAGED, RUNS, averaged=True))(lambda spark, sf_dir, r=_rule: averaged(sweep(setting(spark, sf_dir), r, BETAS, RUNS)))
+query("m_confidence", _sweep_sql("ratio", "algorithm, beta, runs, chi AS mean, half_width", RUNS, betas=(0.1,), averaged=True))(
+    lambda spark, sf_dir: measures.confidence(sweep(setting(spark, sf_dir), "ratio", (0.1,), RUNS), ["algorithm", "beta"], "chi")
+)
 
 
 def _four(cols: list[str]):
@@ -90,17 +159,17 @@ query("w_sim_bits_reset", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(r, 'al
 query("w_sim_chi", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(r, 'algorithm, beta, chi')})" for r in clearing.RULES))(_four(["chi"]))
 
 
-def _pairs_sql(rule: str) -> str:
-    parts = []
-    for b in LIVE_BETAS:
-        parts += [frozen_sql(rule, b), with_sql(setting_sql(), b_sql(b), live_sql(rule), select=row_sql(rule, "live", beta=b))]
-    return " UNION ALL ".join(f"SELECT algorithm, counters, beta, removed, fn, s, chi FROM ({x})" for x in parts)
+_PAIR = "beta, b, b_extra, removed, fn, s, chi"
+
+
+def _pairs(spark, sf_dir, rule: str) -> DataFrame:
+    s = setting(spark, sf_dir)
+    return union_all([sweep(s, rule, BETAS, live=live).select("algorithm", F.lit("live" if live else "frozen").alias("counters"), *_PAIR.split(", ")) for live in (False, True)])
 
 
 for _rule in ("min_fn", "max_fp", "ratio"):
-    query(f"w_live_{_rule}", _pairs_sql(_rule))(
-        lambda spark, sf_dir, r=_rule: union_all([sim_rows(spark, sf_dir, [r], LIVE_BETAS, live) for live in (False, True)]).select("algorithm", "counters", "beta", "removed", "fn", "s", "chi")
-    )
+    _sql = " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(_rule, f'algorithm, {chr(39)}{n}{chr(39)} AS counters, {_PAIR}', live=n == 'live')})" for n in ("frozen", "live"))
+    query(f"w_live_{_rule}", _sql)(lambda spark, sf_dir, r=_rule: _pairs(spark, sf_dir, r))
 
 _LIST_BITS = tuple(range(1, 11))
 
@@ -264,25 +333,118 @@ class Routes:
         return tracing.replay(self.hops.where(c("cycle").isin(list(cycles))), self.positive(kind, factor, beta, live))
 
 
-KINDS = (("list", 2.5, 0.0), ("bloom", 2.5, 0.0), ("cleared", 2.5, 0.05), ("cleared", 2.5, 0.25), ("bloom", 5.0, 0.0), ("cleared", 5.0, 0.25))
+FACTORS = (1.25, 2.5, 3.75, 5.0, 6.25, 7.5, 8.75, 10.0, 11.25, 12.5)
+TRACE_BETAS = (0.01, 0.05, 0.10, 0.25)
 
 
-def _kinds_sql(cols: str) -> str:
-    return " UNION ALL ".join(f"SELECT '{k}' AS representation, CAST({f} AS DOUBLE) AS factor, CAST({b} AS DOUBLE) AS beta, {cols} FROM ({replay_sql(k, f, b)})" for k, f, b in KINDS)
+class Grid:
+    """Filters of several sizes over one stop set, built, probed and cleared side by side.
 
+    Keys and positions of size i carry i above bit ``SHIFT``, so one join, one numbering and one visit serve all sizes.
+    ``until(key, i, gone)`` tells for every node and size how many visits leave it positive; i = 0 is the list.
+    """
 
-def _kinds(cols: list[str]):
+    def __init__(self, r: Routes, factors=FACTORS, live: bool = False):
+        self.r, self.factors = r, factors
+        specs = [(i, r.spec(f)) for i, f in enumerate(factors, 1)]
+
+        def spread(df: DataFrame) -> DataFrame:
+            return union_all([composite(hashed(df, spec).withColumn("i", F.lit(i)), "i") for i, spec in specs])
+
+        members = written(spread(r.stop), "members")
+        pos = written(members.select(F.explode("positions").alias("pos")).distinct(), "pos")
+        nodes = spread(r.nodes)
+        lost = nodes.select("key", F.explode("positions").alias("pos")).join(pos, "pos", "left_anti").select("key").distinct()
+        positive = written(nodes.join(lost, "key", "left_anti"), "positive")
+        known = r.known.select(c("key").alias("node"), "weight")
+        fp = positive.withColumn("node", low("key")).join(known, "node").drop("node").join(members.select("key"), "key", "left_anti")
+        fp = written(fp, "fp")
+        ordered = written(clearing.numbered(fp, [group_of("key"), c("weight").desc(), c("key")]), "ordered")
+        self.count = {x[0]: x[1] for x in fp.groupBy(group_of("key").alias("i")).count().collect()}
+        self.before = {i: sum(self.count.get(j, 0) for j in range(1, i)) for i, _ in specs}
+        done = clearing.clear(members, fp, ordered, specs[0][1], "ratio", live)
+        done.log = written(done.log, "log")
+        gone = done.cleared.select("pos", "ord")
+        until = positive.select("key", F.explode("positions").alias("pos")).join(gone, "pos", "left").groupBy("key").agg(F.min(F.coalesce("ord", F.lit(tracing.NEVER))).alias("gone"))
+        listed = r.stop.select("key", F.lit(0).alias("i"), F.lit(tracing.NEVER).alias("gone"))
+        self.until = written(until.select(low("key").alias("key"), group_of("key").alias("i"), "gone").unionByName(listed), "until")
+
+    def paths(self, cycles=(1,)) -> DataFrame:
+        return written(tracing.paths(self.r.hops.where(c("cycle").isin(list(cycles))), self.until, len(self.factors) + 1), "paths")
+
+    def last(self, i: int, beta: float) -> int:
+        """Visits made at ``beta``, counted over all sizes up to i."""
+        n = self.count.get(i, 0)
+        return self.before[i] + (min(n, max(1, clearing.round_half_up(beta * n))) if beta > 0 else 0)
+
+    def steps(self, betas=TRACE_BETAS, plain: bool = True, listed: bool = True) -> DataFrame:
+        """(i, last, representation, factor, beta) of the list, the plain filters and the cleared ones."""
+        rows = [(0, 0, "list", 0.0, 0.0)] if listed else []
+        for i, f in enumerate(self.factors, 1):
+            rows += [(i, self.last(i, 0.0), "bloom", float(f), 0.0)] if plain else []
+            rows += [(i, self.last(i, b), "cleared", float(f), float(b)) for b in betas]
+        return self.r.hops.sparkSession.createDataFrame(rows, "i int, last long, representation string, factor double, beta double")
+
+
+def grid_sql(factors=FACTORS, cycles=(0, 1), shown=(1,), live: bool = False) -> str:
+    """CTEs of the same: sp by size, node visits nx(i, key, gone), hops ht(i, cycle, monitor, dest, ttl, gone)."""
+    one = 1 << SHIFT
+    sizes = ", ".join(f"({i}, {f})" for i, f in enumerate(factors, 1))
+    spread = lambda key: f"list_transform({sql_positions(key, 5, 'sp.m')}, lambda p: p + sp.i * {one})"
+    visit = """vis AS (SELECT DISTINCT key >> {shift} AS i, min(ord) OVER (PARTITION BY key >> {shift}) - 1 AS step, []::BIGINT[] AS cleared, []::BIGINT[] AS acting FROM ch
+  UNION ALL SELECT vis.i, vis.step + 1, CASE WHEN list_has_any(vis.cleared, ch.positions) THEN vis.cleared ELSE list_append(vis.cleared, ch.pos) END,
+  CASE WHEN list_has_any(vis.cleared, ch.positions) THEN vis.acting ELSE list_append(vis.acting, ch.ord) END
+  FROM vis JOIN ch ON ch.key >> {shift} = vis.i AND ch.ord = vis.step + 1)""".replace("{shift}", str(SHIFT))
+    if live:
+        visit = live_sql("ratio", 5)
+        visit = visit[: visit.index("fin AS")].rstrip().rstrip(",")
+        visit = visit.replace("SELECT 0::BIGINT AS step,", f"SELECT DISTINCT key >> {SHIFT} AS i, min(ord) OVER (PARTITION BY key >> {SHIFT}) - 1 AS step,").replace("AS acting\n  UNION ALL SELECT s.step + 1", "AS acting FROM b\n  UNION ALL SELECT s.i, s.step + 1").replace("JOIN b ON b.ord = s.step + 1", f"JOIN b ON b.key >> {SHIFT} = s.i AND b.ord = s.step + 1")
+    return ",\n".join([
+        hops_sql(cycles),
+        f"sp AS (SELECT i, f, CAST(ceil(f * n) AS BIGINT) AS m FROM (VALUES {sizes}) z(i, f), (SELECT count(*) AS n FROM ss))",
+        f"a AS (SELECT ss.key + sp.i * {one} AS key, {spread('ss.key')} AS positions FROM ss, sp)",
+        "v AS (SELECT DISTINCT unnest(positions) AS pos FROM a)",
+        f"nd AS (SELECT sp.i, d.key, {spread('d.key')} AS positions FROM (SELECT DISTINCT node AS key FROM hp) d, sp)",
+        "ok AS (SELECT i, key FROM (SELECT i, key, unnest(positions) AS pos FROM nd) x LEFT JOIN v USING (pos) GROUP BY i, key HAVING bool_and(v.pos IS NOT NULL))",
+        f"fp AS (SELECT nd.key + nd.i * {one} AS key, weight, positions FROM nd JOIN ok ON ok.i = nd.i AND ok.key = nd.key JOIN kn ON kn.key = nd.key WHERE nd.key NOT IN (SELECT key FROM ss))",
+        f"b AS (SELECT key, positions, row_number() OVER (ORDER BY key >> {SHIFT}, weight DESC, key) AS ord FROM fp)",
+        *([visit] if live else [choice_sql("ratio", 5), visit]),
+        "c AS (SELECT unnest(cleared) AS pos, unnest(acting) AS ord FROM (SELECT arg_max(cleared, step) AS cleared, arg_max(acting, step) AS acting FROM vis GROUP BY i))",
+        "nx AS (SELECT i, key, min(coalesce(ord, 9000000000000)) AS gone FROM (SELECT nd.i, nd.key, unnest(positions) AS pos FROM nd JOIN ok ON ok.i = nd.i AND ok.key = nd.key) x LEFT JOIN c USING (pos) GROUP BY i, key UNION ALL SELECT 0, key, 9000000000000 FROM ss)",
+        f"ht AS (SELECT i, cycle, monitor, dest, ttl, is_penultimate, gone FROM hp JOIN nx ON nx.key = hp.node WHERE cycle IN ({', '.join(map(str, shown))}))",
+        f"nf AS (SELECT sp.i, sp.f, (SELECT count(*) FROM fp WHERE key >> {SHIFT} = sp.i) AS n, (SELECT count(*) FROM fp WHERE key >> {SHIFT} < sp.i) AS before FROM sp)",
+    ])
+
+
+def steps_sql(betas=TRACE_BETAS, plain: bool = True, listed: bool = True) -> str:
+    """CTE st(i, last, representation, factor, beta)."""
+    rows = ["SELECT 0 AS i, 0::BIGINT AS last, 'list' AS representation, 0::DOUBLE AS factor, 0::DOUBLE AS beta"] if listed else []
+    if plain:
+        rows.append("SELECT i, before, 'bloom', CAST(f AS DOUBLE), 0::DOUBLE FROM nf")
+    rows.append(f"SELECT i, before + CASE WHEN beta = 0 THEN 0 ELSE least(n, greatest(1, CAST(floor(beta * n + 0.5) AS BIGINT))) END AS last, 'cleared' AS representation, CAST(f AS DOUBLE) AS factor, beta FROM nf, (SELECT unnest([{', '.join(f'CAST({b} AS DOUBLE)' for b in betas)}]) AS beta)")
+    return "st AS (" + " UNION ALL ".join(rows) + ")"
+
+
+#: First stop of every trace at every step, and the shares.
+_STOPS = """te AS (SELECT cycle, monitor, dest, max(ttl) AS hops FROM hp WHERE cycle IN (SELECT DISTINCT cycle FROM ht) GROUP BY ALL),
+ff AS (SELECT representation, factor, beta, cycle, monitor, dest, min((ttl, is_penultimate)) AS x FROM st JOIN ht ON ht.i = st.i AND gone > last GROUP BY ALL),
+sh AS (SELECT st.representation, st.factor, st.beta, te.cycle, count(*) AS traces, round(count(*) FILTER (x[2]) / CAST(count(*) AS DOUBLE), 6) AS success,
+  round(count(*) FILTER (NOT x[2]) / CAST(count(*) AS DOUBLE), 6) AS short, round(count(*) FILTER (x IS NULL) / CAST(count(*) AS DOUBLE), 6) AS collision
+  FROM st CROSS JOIN te LEFT JOIN ff ON ff.representation = st.representation AND ff.factor = st.factor AND ff.beta = st.beta AND ff.cycle = te.cycle AND ff.monitor = te.monitor AND ff.dest = te.dest
+  GROUP BY st.representation, st.factor, st.beta, te.cycle)"""
+
+
+def _shares(col: str):
     def f(spark, sf_dir):
-        r = Routes(spark, sf_dir)
-        rows = [tracing.outcomes(r.replayed(k, x, b)).select(F.lit(k).alias("representation"), F.lit(x).alias("factor"), F.lit(b).alias("beta"), *cols) for k, x, b in KINDS]
-        return union_all(rows)
+        g = Grid(Routes(spark, sf_dir))
+        return tracing.shares(g.paths(), g.steps()).select("representation", "factor", "beta", "traces", col)
 
     return f
 
 
-for _name, _col in (("success", "success"), ("short", "short"), ("collision", "collision")):
-    query(f"w_trace_{_name}", _kinds_sql(f"traces, {_col}"))(_kinds(["traces", _col]))
-    query(f"m_{_name}", replay_sql("cleared", select=f"SELECT cycle, {_col} FROM ou"))(lambda spark, sf_dir, x=_col: tracing.outcomes(Routes(spark, sf_dir).replayed("cleared")).select("cycle", x))
+for _name in ("success", "short", "collision"):
+    query(f"w_trace_{_name}", with_sql(grid_sql(), steps_sql(), _STOPS, select=f"SELECT representation, factor, beta, traces, {_name} FROM sh"))(_shares(_name))
+    query(f"m_{_name}", replay_sql("cleared", select=f"SELECT cycle, {_name} FROM ou"))(lambda spark, sf_dir, x=_name: tracing.outcomes(Routes(spark, sf_dir).replayed("cleared")).select("cycle", x))
 
 
 @query("w_trace_trouble", with_sql(hops_sql((0,)), route_filter_sql(2.5, None), select="SELECT weight AS degree, count(*) AS keys FROM fp GROUP BY 1", recursive=False))
@@ -322,70 +484,60 @@ def _missed(what: str):
     return f
 
 
+_SEEN_BY = {
+    "nodes": "sn AS (SELECT DISTINCT st.representation, st.factor, st.beta, node AS k FROM st JOIN hp ON cycle = 1 LEFT JOIN ff ON ff.representation = st.representation AND ff.factor = st.factor AND ff.beta = st.beta AND ff.monitor = hp.monitor AND ff.dest = hp.dest WHERE x IS NULL OR ttl <= x[1])",
+    "links": "lk AS (SELECT monitor, dest, ttl, (lag(node) OVER (PARTITION BY monitor, dest ORDER BY ttl), node) AS k FROM hp WHERE cycle = 1),\nsn AS (SELECT DISTINCT st.representation, st.factor, st.beta, k FROM st JOIN lk ON k[1] IS NOT NULL LEFT JOIN ff ON ff.representation = st.representation AND ff.factor = st.factor AND ff.beta = st.beta AND ff.monitor = lk.monitor AND ff.dest = lk.dest WHERE x IS NULL OR ttl <= x[1])",
+}
+_MISSED_BY = "SELECT st.representation, st.factor, st.beta, round(avg(CAST(sn.k IS NULL AS DOUBLE)), 6) AS missed FROM st CROSS JOIN (SELECT k FROM sn WHERE representation = 'list') r LEFT JOIN sn ON sn.representation = st.representation AND sn.factor = st.factor AND sn.beta = st.beta AND sn.k = r.k WHERE st.representation <> 'list' GROUP BY ALL"
+
+
+def _missed_by(what: str):
+    def f(spark, sf_dir):
+        g = Grid(Routes(spark, sf_dir))
+        return tracing.missed_shares(g.paths(), g.steps(listed=False), what == "links")
+
+    return f
+
+
 for _what in ("nodes", "links"):
-    _sql = " UNION ALL ".join(_missed_sql(_what, k) for k in ("bloom", "cleared"))
-    query(f"w_trace_{_what}_missed", _sql)(_missed(_what))
-    query(f"m_{_what}_missed", _sql)(_missed(_what))
+    query(f"w_trace_{_what}_missed", with_sql(grid_sql(), steps_sql(), _STOPS, _SEEN_BY[_what], select=_MISSED_BY))(_missed_by(_what))
+    query(f"m_{_what}_missed", " UNION ALL ".join(_missed_sql(_what, k) for k in ("bloom", "cleared")))(_missed(_what))
 
 _SWEEP = tuple(round(i / 100, 2) for i in range(101))
+_SWEEP_SIZES = (2.5, 7.5)
 
 
-@query(
-    "w_trace_beta_sweep",
-    with_sql(
-        hops_sql((0, 1)), route_filter_sql(2.5, 1.0), "nd AS (SELECT DISTINCT node AS key FROM hp WHERE cycle = 1)",
-        f"nh AS (SELECT key, unnest({sql_positions('key', 5, 'sp.m')}) AS pos FROM nd, sp)",
-        "nx AS (SELECT key, min(coalesce(c.ord, 9000000000)) AS gone FROM nh JOIN v USING (pos) LEFT JOIN c USING (pos) GROUP BY key HAVING count(*) = 5)",
-        "ok AS (SELECT key FROM nh LEFT JOIN v USING (pos) GROUP BY key HAVING bool_and(v.pos IS NOT NULL))",
-        "ht AS (SELECT monitor, dest, ttl, is_penultimate, gone FROM hp JOIN nx ON nx.key = hp.node JOIN ok ON ok.key = hp.node WHERE cycle = 1)",
-        f"st AS (SELECT beta, CASE WHEN beta = 0 THEN 0 ELSE least(nf, greatest(1, CAST(floor(beta * nf + 0.5) AS BIGINT))) END AS last FROM (SELECT unnest({[float(x) for x in _SWEEP]}) AS beta), (SELECT count(*) AS nf FROM fp))",
-        "ff AS (SELECT beta, monitor, dest, min((ttl, is_penultimate)) AS x FROM st JOIN ht ON gone > last GROUP BY ALL)",
-        "te AS (SELECT count(*) AS traces FROM (SELECT DISTINCT monitor, dest FROM hp WHERE cycle = 1))",
-        select="SELECT st.beta, any_value(traces) AS traces, round(count(*) FILTER (x[2]) / CAST(any_value(traces) AS DOUBLE), 6) AS success, round(count(*) FILTER (NOT x[2]) / CAST(any_value(traces) AS DOUBLE), 6) AS short FROM st LEFT JOIN ff ON ff.beta = st.beta, te GROUP BY st.beta",
-    ),
-)
+@query("w_trace_beta_sweep", with_sql(grid_sql(_SWEEP_SIZES), steps_sql(_SWEEP, False, False), _STOPS, select="SELECT factor, beta, traces, success, short, collision FROM sh"))
 def w_trace_beta_sweep(spark, sf_dir):
-    """All betas from one visit: a node is positive up to the order of the first reset among its positions."""
-    r = Routes(spark, sf_dir)
-    spec = r.spec(2.5)
-    pos = written(filters.build_positions(r.stop, spec), "pos")
-    fp, done = r.cleared(spec, 1.0)
-    n_fp = fp.count()
-    positive = filters.positives(r.nodes, pos, spec)
-    gone = done.cleared.select("pos", "ord")
-    when = hashed(positive, spec).select("key", F.explode("positions").alias("pos")).join(gone, "pos", "left").groupBy("key").agg(F.min(F.coalesce("ord", F.lit(1 << 62))).alias("gone"))
-    trace = r.hops.where("cycle = 1")
-    first = trace.join(when, c("node") == c("key"))
-    # Per trace, a hop matters only while no earlier hop outlasts it: the stops form a staircase that all betas share.
-    stairs = first.groupBy("monitor", "dest").agg(F.array_sort(F.collect_list(F.struct("ttl", "is_penultimate", "gone"))).alias("hits"))
-    last = [(float(x), 0 if x == 0 else min(n_fp, max(1, clearing.round_half_up(x * n_fp)))) for x in _SWEEP]
-    steps = F.broadcast(spark.createDataFrame(last, "beta double, last long"))
-    stop = F.try_element_at(F.filter("hits", lambda h: h["gone"] > c("last")), F.lit(1))
-    each = stairs.crossJoin(steps).withColumn("stop", stop)
-    traces = trace.select("monitor", "dest").distinct().agg(F.count("*").alias("traces"))
-    sums = each.groupBy("beta").agg(F.count_if(c("stop.is_penultimate")).alias("s"), F.count_if(~c("stop.is_penultimate")).alias("f"))
-    return sums.crossJoin(F.broadcast(traces)).select("beta", "traces", r6(c("s") / c("traces").cast("double")).alias("success"), r6(c("f") / c("traces").cast("double")).alias("short"))
+    """All betas of two sizes from one visit; the places where outcomes change are added up, not the traces of each beta."""
+    g = Grid(Routes(spark, sf_dir), _SWEEP_SIZES)
+    return tracing.shares(g.paths(), g.steps(_SWEEP, False, False)).select("factor", "beta", "traces", "success", "short", "collision")
 
 
 _CYCLES = tuple(range(11))
 
 
-@query("w_trace_cycles", " UNION ALL ".join(f"SELECT '{k}' AS representation, * FROM ({replay_sql(k, 2.5, 0.25, _CYCLES, _CYCLES[1:])})" for k in ("list", "cleared")))
+@query("w_trace_cycles", with_sql(grid_sql(_SWEEP_SIZES, _CYCLES, _CYCLES[1:]), steps_sql((0.25,), False), _STOPS, select="SELECT representation, factor, cycle, traces, success, short, collision FROM sh"))
 def w_trace_cycles(spark, sf_dir):
-    r = Routes(spark, sf_dir, _CYCLES)
-    return union_all([tracing.outcomes(r.replayed(k, cycles=_CYCLES[1:])).withColumn("representation", F.lit(k)) for k in ("list", "cleared")])
+    """Ten probing cycles after one learning cycle: the list and cleared filters of two sizes at beta 25%."""
+    g = Grid(Routes(spark, sf_dir, _CYCLES), _SWEEP_SIZES)
+    return tracing.shares(g.paths(_CYCLES[1:]), g.steps((0.25,), False)).select("representation", "factor", "cycle", "traces", "success", "short", "collision")
 
 
 def _live_trace(col: str):
     def f(spark, sf_dir):
         r = Routes(spark, sf_dir)
-        return union_all([tracing.outcomes(r.replayed("cleared", 2.5, b, live=live)).select(F.lit(b).alias("beta"), F.lit("live" if live else "frozen").alias("counters"), col) for b in (0.01, 0.25) for live in (False, True)])
+        rows = []
+        for live in (False, True):
+            g = Grid(r, live=live)
+            rows.append(tracing.shares(g.paths(), g.steps((0.01, 0.25), False, False)).select("factor", "beta", F.lit("live" if live else "frozen").alias("counters"), col))
+        return union_all(rows)
 
     return f
 
 
 for _col in ("success", "short", "collision"):
-    _sql = " UNION ALL ".join(f"SELECT CAST({b} AS DOUBLE) AS beta, '{'live' if live else 'frozen'}' AS counters, {_col} FROM ({replay_sql('cleared', 2.5, b, live=live)})" for b in (0.01, 0.25) for live in (False, True))
+    _sql = " UNION ALL ".join("SELECT * FROM (" + with_sql(grid_sql(live=live), steps_sql((0.01, 0.25), False, False), _STOPS, select=f"SELECT factor, beta, '{'live' if live else 'frozen'}' AS counters, {_col} FROM sh") + ")" for live in (False, True))
     query(f"w_trace_live_{_col}", _sql)(_live_trace(_col))
 
 
@@ -427,14 +579,34 @@ def m_comm_cost(spark, sf_dir):
     return kinds.crossJoin(stop).select("representation", (10 * bits).cast("long").alias("bits"))
 
 
-_ASPECTS = ("success", "short", "collision")
+_ASPECTS = ("success", "topology_found", "compression", "no_collision", "topology_missed", "load", "collision")
+
 
+def _aspects_sql() -> str:
+    found = f"fd AS (SELECT representation, count(*) AS found FROM sn GROUP BY 1),\nmi AS ({_MISSED_BY}),\nal AS (SELECT count(DISTINCT node) AS every FROM hp WHERE cycle = 1)"
+    size = "CASE representation WHEN 'list' THEN 32 * (SELECT count(*) FROM ss) ELSE (SELECT m FROM sp) END"
+    value = f"""CASE a WHEN 'success' THEN success WHEN 'collision' THEN collision WHEN 'no_collision' THEN round(1 - collision, 6) WHEN 'topology_missed' THEN coalesce(missed, 0)
+ WHEN 'topology_found' THEN round(found / CAST(every AS DOUBLE), 6) WHEN 'compression' THEN round(32 * (SELECT count(*) FROM ss) / CAST({size} AS DOUBLE), 6) ELSE CAST(10 * {size} AS DOUBLE) END"""
+    rows = f"va AS (SELECT a AS aspect, representation, {value} AS value FROM sh JOIN fd USING (representation) LEFT JOIN mi USING (representation), al, (SELECT unnest({list(_ASPECTS)}) AS a))"
+    return with_sql(grid_sql((2.5,)), steps_sql((0.25,)), _STOPS, _SEEN_BY["nodes"], found, rows, select="SELECT aspect, max(value) FILTER (representation = 'list') AS list, max(value) FILTER (representation = 'bloom') AS bloom, max(value) FILTER (representation = 'cleared') AS cleared FROM va GROUP BY aspect")
 
-@query("m_aspect_matrix", " UNION ALL ".join(f"SELECT '{a}' AS aspect, {', '.join(f'(SELECT {a} FROM ({replay_sql(k)})) AS {k}' for k in ('list', 'bloom', 'cleared'))}" for a in _ASPECTS))
+
+@query("m_aspect_matrix", _aspects_sql())
 def m_aspect_matrix(spark, sf_dir):
-    """Aspects by representation, recomputed from the replay and pivoted."""
+    """The seven aspects by representation, recomputed from one replay and pivoted; load is what all monitors are sent, in bits."""
     r = Routes(spark, sf_dir)
-    rows = union_all([tracing.outcomes(r.replayed(k)).withColumn("representation", F.lit(k)) for k in ("list", "bloom", "cleared")])
+    g = Grid(r, (2.5,))
+    path, steps = g.paths(), g.steps((0.25,))
+    outcome = tracing.shares(path, steps).select("representation", "success", "collision")
+    missed = tracing.missed_shares(path, steps.where("i > 0"), False).select("representation", "missed")
+    seen = path.select("i", F.explode("hits").alias("h")).groupBy("i", "h.node").agg(F.min("h.reach").alias("reach"))
+    found = seen.join(F.broadcast(steps), (seen["i"] == steps["i"]) & (c("reach") <= c("last"))).groupBy("representation").agg(F.count("*").alias("found"))
+    every = seen.where("i = 0").agg(F.count("*").alias("every"))
+    size = F.when(c("representation") == "list", F.lit(32 * r.n)).otherwise(F.lit(r.spec(2.5).m)).cast("double")
+    rows = outcome.join(found, "representation").join(missed, "representation", "left").crossJoin(F.broadcast(every)).select(
+        "representation", "success", r6(c("found") / c("every").cast("double")).alias("topology_found"), r6(F.lit(32.0 * r.n) / size).alias("compression"), r6(1 - c("collision")).alias("no_collision"),
+        F.coalesce("missed", F.lit(0.0)).alias("topology_missed"), (10 * size).alias("load"), "collision",
+    )
     long = rows.unpivot(["representation"], list(_ASPECTS), "aspect", "value")
     return long.groupBy("aspect").pivot("representation", ["list", "bloom", "cleared"]).agg(F.first("value"))
 

@@ -6,8 +6,6 @@ drives a stream over the files at hand to its end and returns the result as a ta
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -25,17 +23,16 @@ def events(spark: SparkSession, sf_dir: str, per_trigger: int = 1) -> DataFrame:
 
 
 def run_available(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All files at hand, then stop; the sink is Parquet for append, memory for the other modes."""
+    """All files at hand, then stop; results go to Parquet, in complete mode the last batch's over those before."""
     spark = stream.sparkSession
     at = new_path(spark, "stream")
+    out = stream.writeStream.option("checkpointLocation", f"{at}/log").outputMode(mode).trigger(availableNow=True)
     if mode == "append":
-        q = stream.writeStream.format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/log").outputMode("append").trigger(availableNow=True).start()
-        q.awaitTermination()
-        return spark.read.schema(stream.schema).parquet(f"{at}/out")
-    name = f"s{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", f"{at}/log").outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+        out = out.format("parquet").option("path", f"{at}/out")
+    else:
+        out = out.foreachBatch(lambda batch, number: batch.write.mode("overwrite").parquet(f"{at}/out"))
+    out.start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{at}/out")
 
 
 def probe(stream: DataFrame, pos: DataFrame, spec: FilterSpec, key: str) -> DataFrame:
@@ -53,6 +50,31 @@ def windowed(stream: DataFrame, length: str, slide: str | None = None, late: str
     return out.select(F.col("w.start").alias("start"), *(keys or []), "n", "hits")
 
 
+def daily(stream: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Rows by day, given out once the watermark has passed the day; rows of a day that has been passed are dropped."""
+    out = stream.withWatermark("ts", late).groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    return out.select(F.date_format("w.start", "yyyy-MM-dd").alias("day"), "n")
+
+
+class OnlineTop:
+    """Degrees of the keys as a stream's state; each batch writes the troublesome share of them, by degree, anew."""
+
+    def __init__(self, spark: SparkSession, beta: float):
+        self.path, self.spark, self.beta = new_path(spark, "top"), spark, beta
+
+    def run(self, stream: DataFrame, key: str) -> DataFrame:
+        from ..operators import clearing
+
+        def each(batch: DataFrame, number: int) -> None:
+            keys = batch.select(F.col(key).alias("key"), "degree")
+            top = clearing.troublesome(keys, self.beta, [F.col("degree").desc(), F.col("key")])
+            top.select("key", "degree", "ord").write.mode("overwrite").parquet(f"{self.path}/now")
+
+        counted = degree(stream, key).writeStream.outputMode("complete").foreachBatch(each)
+        counted.option("checkpointLocation", f"{self.path}/log").trigger(availableNow=True).start().awaitTermination()
+        return self.spark.read.schema("key long, degree long, ord long").parquet(f"{self.path}/now")
+
+
 def sessions(stream: DataFrame, gap: str, key: str, late: str = "1 hour") -> DataFrame:
     out = stream.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), key).agg(F.count("*").alias("n"))
     return out.select(key, F.col("w.start").alias("start"), "n")
