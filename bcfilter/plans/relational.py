@@ -399,7 +399,7 @@ def _view_sql(name: str, sql: str, duck: str | None = None):
     query(name, duck or sql)(f)
 
 
-_view_sql("sub_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) * 2 FROM orders)")
+_view_sql("sub_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) * 1.5 FROM orders)")
 _view_sql("sub_exists", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)")
 _view_sql("cte_chain", "WITH RECURSIVE r(step, v) AS (SELECT 1, CAST(1 AS BIGINT) UNION ALL SELECT step + 1, v * 3 FROM r WHERE step < 12), o AS (SELECT o_orderkey AS k FROM orders) SELECT step, v, count(k) AS n FROM r LEFT JOIN o ON k % v = 0 GROUP BY step, v")
 

@@ -647,21 +647,100 @@ def _grams_sql(src: str, key: str) -> str:
     return f"SELECT {key}, unnest(list_transform(range(1, greatest(len(w) - 3, 1)), lambda i: array_to_string(w[i:i + 4], ' '))) AS g FROM (SELECT {key}, {_GRAM} AS w FROM {src})"
 
 
-@query("w_contamination", f"WITH bg AS (SELECT DISTINCT g FROM ({_grams_sql('benchmark', 'item_id')})), dg AS (SELECT g, count(DISTINCT doc_id) AS degree FROM ({_grams_sql('documents', 'doc_id')}) GROUP BY g) SELECT count(*) AS grams, count(*) FILTER (bg.g IS NOT NULL) AS in_benchmark, CAST(0 AS BIGINT) AS missed, max(degree) FILTER (bg.g IS NOT NULL) AS top_degree FROM dg LEFT JOIN bg USING (g)")
+@query("w_contamination", f"WITH bg AS (SELECT DISTINCT g FROM ({_grams_sql('benchmark', 'item_id')})), dg AS (SELECT doc_id, g FROM ({_grams_sql('documents', 'doc_id')})), ht AS (SELECT g, count(*) AS uses, count(DISTINCT doc_id) AS degree FROM dg WHERE g IN (SELECT g FROM bg) GROUP BY g) SELECT (SELECT count(*) FROM dg) AS grams, count(*) AS in_benchmark, CAST(sum(uses) AS BIGINT) AS hits, max(degree) AS top_degree FROM ht")
 def w_contamination(spark, sf_dir):
-    """Benchmark 5-grams as members, document 5-grams as probes; exact check behind the filter, degree by document."""
+    """Benchmark 5-grams as members, document 5-grams as probes. Grams stay 64-bit hashes until the filter has rejected
+    nearly all of them; only what passes is written out, checked exactly and counted by document."""
 
-    def grams(df, key):
+    def grams(df: DataFrame) -> DataFrame:
         words = F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "")
-        idx = F.when(F.size("w") >= 5, F.sequence(F.lit(1), F.size("w") - 4)).otherwise(F.array().cast("array<int>"))
-        return df.select(key, words.alias("w")).select(key, F.explode(F.transform(idx, lambda i: F.array_join(F.slice("w", i, 5), " "))).alias("key"))
+        starts = F.when(F.size("w") >= 5, F.sequence(F.lit(1), F.size("w") - 4)).otherwise(F.array().cast("array<int>"))
+        each = df.withColumn("w", words).select(df.columns[0], F.explode(F.transform(starts, lambda i: F.array_join(F.slice("w", i, 5), " "))).alias("gram"))
+        return each.withColumn("key", F.xxhash64("gram"))
 
-    a = grams(table(spark, sf_dir, "benchmark", ["item_id", "text"]), "item_id").select("key").distinct()
-    u = written(grams(table(spark, sf_dir, "documents", ["doc_id", "text"]), "doc_id").distinct().groupBy("key").agg(F.count("*").alias("degree")), "grams")
+    a = written(grams(table(spark, sf_dir, "benchmark", ["item_id", "text"])).select("gram", "key").distinct(), "members")
     spec = FilterSpec(10 * max(1, a.count()), 7, "xxhash")
-    maybe = filters.probe_broadcast(u, filters.build_positions(a, spec), spec)
-    hit = maybe.join(a.withColumn("hit", F.lit(True)), "key", "left")
-    return hit.agg(F.count("*").alias("grams"), F.count_if(c("hit")).alias("in_benchmark"), F.count_if(c("hit") & ~c("maybe")).alias("missed"), F.max(F.when(c("hit"), c("degree"))).alias("top_degree"))
+    text = table(spark, sf_dir, "documents", ["doc_id", "text"])
+    passed = filters.probe(grams(text), filters.build_positions(a, spec), spec).where("maybe").select("doc_id", "gram")
+    hit = passed.join(a.select("gram"), "gram", "left_semi").groupBy("gram", "doc_id").agg(F.count("*").alias("n")).groupBy("gram").agg(F.sum("n").alias("uses"), F.count("*").alias("degree"))
+    n = F.size(F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != ""))
+    every = text.agg(F.sum(F.greatest(n - 4, F.lit(0))).alias("grams"))
+    return hit.agg(F.count("*").alias("in_benchmark"), F.sum("uses").alias("hits"), F.max("degree").alias("top_degree")).crossJoin(every).select("grams", "in_benchmark", "hits", "top_degree")
+
+
+_HOT_BETAS = (0.01, 0.1, 0.25, 1.0)
+
+
+def hot_traffic(u: DataFrame, bits: int = 5, k: int = 3, betas=_HOT_BETAS) -> DataFrame:
+    """What clearing the most frequent false positives saves: u(key, weight, is_member) are keys and their traffic.
+
+    By share of false positives cleared, most frequent first, ratio rule with counters weighted by traffic: false
+    traffic let through before and after, members lost and theirs.
+    """
+    u = written(u, "traffic")
+    spec = FilterSpec(max(1, bits * u.where("is_member").count()), k)
+    a = hashed(u.where("is_member"), spec)
+    fp = written(hashed(filters.positives(u.where(~c("is_member")), filters.build_positions(a, spec), spec).join(u, "key"), spec), "fp")
+    n_fp, before = fp.agg(F.count("*"), F.coalesce(F.sum("weight"), F.lit(0))).first()
+    b = clearing.troublesome(fp, 1.0, [c("weight").desc(), c("key")], n_fp)
+    done = clearing.clear(a, fp, b, spec, "ratio", weight="weight")
+    gone = written(done.log, "log").where("acted").select("pos", "ord")
+
+    def lost(keys: DataFrame, names: tuple) -> DataFrame:
+        at = keys.select("key", "weight", F.explode("positions").alias("pos")).join(gone, "pos").groupBy("key", "weight").agg(F.min("ord").alias("at"))
+        each = at.groupBy("at").agg(F.count("*").alias("n"), F.sum("weight").alias("w"))
+        met = F.broadcast(steps).join(each, c("at") <= c("last"), "left").groupBy("beta", "last")
+        return met.agg(F.coalesce(F.sum("n"), F.lit(0)).alias(names[0]), F.coalesce(F.sum("w"), F.lit(0)).alias(names[1]))
+
+    steps = u.sparkSession.createDataFrame([(float(x), min(n_fp, max(1, clearing.round_half_up(x * n_fp)))) for x in betas], "beta double, last long")
+    out = lost(fp, ("removed", "saved")).join(lost(a, ("members_lost", "traffic_lost")), ["beta", "last"])
+    return out.select("beta", c("last").alias("b"), "removed", F.lit(before).cast("long").alias("false_before"), (F.lit(before) - c("saved")).cast("long").alias("false_after"), "members_lost", "traffic_lost")
+
+
+def _hot_sql(u: str, bits: int = 5, k: int = 3) -> str:
+    lost = "(SELECT key, weight, min(ord) AS hit_at FROM (SELECT key, weight, unnest(positions) AS pos FROM {}) x JOIN c USING (pos) GROUP BY key, weight)"
+    return with_sql(
+        f"u AS ({u})", f"sp AS (SELECT greatest(1, {bits} * count(*)) AS m FROM u WHERE is_member)", f"h AS (SELECT key, weight, is_member, {sql_positions('key', k, 'sp.m')} AS positions FROM u, sp)",
+        "a AS (SELECT key, weight, positions FROM h WHERE is_member)", "v AS (SELECT DISTINCT unnest(positions) AS pos FROM a)",
+        "ok AS (SELECT key FROM (SELECT key, unnest(positions) AS pos FROM h WHERE NOT is_member) x LEFT JOIN v USING (pos) GROUP BY key HAVING bool_and(v.pos IS NOT NULL))",
+        "fp AS (SELECT key, weight, positions FROM h JOIN ok USING (key))", "b AS (SELECT key, positions, row_number() OVER (ORDER BY weight DESC, key) AS ord FROM fp)",
+        choice_sql("ratio", k, weight="weight"), VISIT_SQL, f"lf AS {lost.format('fp')}", f"la AS {lost.format('a')}",
+        f"st AS (SELECT beta, least(n, greatest(1, CAST(floor(beta * n + 0.5) AS BIGINT))) AS b FROM (SELECT unnest([{', '.join(f'CAST({x} AS DOUBLE)' for x in _HOT_BETAS)}]) AS beta), (SELECT count(*) AS n FROM fp))",
+        select="SELECT beta, b, (SELECT count(*) FROM lf WHERE hit_at <= b) AS removed, (SELECT CAST(coalesce(sum(weight), 0) AS BIGINT) FROM fp) AS false_before, (SELECT CAST(coalesce(sum(weight), 0) AS BIGINT) FROM fp) - (SELECT CAST(coalesce(sum(weight), 0) AS BIGINT) FROM lf WHERE hit_at <= b) AS false_after, (SELECT count(*) FROM la WHERE hit_at <= b) AS members_lost, (SELECT CAST(coalesce(sum(weight), 0) AS BIGINT) FROM la WHERE hit_at <= b) AS traffic_lost FROM st",
+    )
+
+
+def text_key_of(x):
+    """A string as a key of 60 bits."""
+    return F.conv(F.substring(F.md5(x.cast("binary")), 1, 15), 16, 10).cast("long")
+
+
+_TEXT_KEY_SQL = "CAST('0x' || substr(md5({}), 1, 15) AS BIGINT)"
+
+
+@query("w_hot_urls", _hot_sql(f"SELECT {_TEXT_KEY_SQL.format('url')} AS key, CAST(sum(length(html)) AS BIGINT) AS weight, bool_or(page_id % 4 = 0) AS is_member FROM pages GROUP BY url"))
+def w_hot_urls(spark, sf_dir):
+    """Seen addresses as members; a false positive costs the page that is skipped, so its size is its traffic."""
+    p = table(spark, sf_dir, "pages", ["page_id", "url", "html"])
+    return hot_traffic(p.groupBy("url").agg(F.sum(F.length("html")).alias("weight"), F.bool_or(c("page_id") % 4 == 0).alias("is_member")).select(text_key_of(c("url")).alias("key"), "weight", "is_member"))
+
+
+@query("w_hot_users", _hot_sql("SELECT user_id AS key, count(*) AS weight, user_id % 5 = 0 AS is_member FROM events WHERE user_id IS NOT NULL GROUP BY user_id", 3))
+def w_hot_users(spark, sf_dir):
+    """Allowed users as members, their events as traffic."""
+    e = table(spark, sf_dir, "events", ["user_id"]).where("user_id is not null")
+    return hot_traffic(e.groupBy(c("user_id").alias("key")).agg(F.count("*").alias("weight")).withColumn("is_member", c("key") % 5 == 0), 3)
+
+
+_WORDS_SQL = "SELECT w, count(*) AS weight FROM (SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents) GROUP BY w"
+
+
+@query("w_blocked_words", _hot_sql(f"SELECT {_TEXT_KEY_SQL.format('w')} AS key, weight, substr(md5(w), 32, 1) = '0' AS is_member FROM ({_WORDS_SQL})"))
+def w_blocked_words(spark, sf_dir):
+    """A list of blocked words (those whose digest ends in 0) against all words of the documents, by their uses."""
+    text = table(spark, sf_dir, "documents", ["text"])
+    words = text.select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("w")).groupBy("w").agg(F.count("*").alias("weight"))
+    return hot_traffic(words.select(text_key_of(c("w")).alias("key"), "weight", (F.substring(F.md5(c("w").cast("binary")), 32, 1) == "0").alias("is_member")))
 
 
 @query("w_url_seen", f"WITH sp AS (SELECT 8 * count(*) AS m FROM pages WHERE page_id % 2 = 0), h AS (SELECT page_id, url, {sql_positions('url', 3, 'm', 'md5')} AS positions FROM pages, sp), v AS (SELECT list(DISTINCT p) AS ps FROM (SELECT unnest(positions) AS p FROM h WHERE page_id % 2 = 0)) SELECT page_id, list_has_all(ps, positions) AS seen FROM h, v")
@@ -677,5 +756,5 @@ def w_event_allowlist(spark, sf_dir):
     e = table(spark, sf_dir, "events", ["user_id", "event_type"]).withColumnRenamed("user_id", "key")
     a = e.where("key % 5 = 0").select("key").distinct()
     spec = FilterSpec(6 * a.count(), 3)
-    hit = filters.probe_broadcast(e, filters.build_positions(a, spec), spec)
+    hit = filters.probe(e, filters.build_positions(a, spec), spec)
     return hit.groupBy("event_type").agg(F.count("*").alias("events"), F.count_if(c("maybe")).alias("let_through"), F.count_if(c("key") % 5 == 0).alias("allowed"))

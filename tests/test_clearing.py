@@ -143,3 +143,39 @@ def test_live_counters_do_better_at_high_beta(replica):
             done.log = written(done.log, "log")
             row[live] = measures.table_row(replica.members, replica.fp, b, done, 400_000, replica.spec, 1.0, rule).first().chi
         assert row[True] > 1.2 * row[False]
+
+
+def test_engine_is_chosen_by_the_rows_a_task_would_hold(spark, monkeypatch):
+    """A large scope of false positives that touch the troublesome key makes a live visit run by rounds."""
+    spec = FilterSpec(50, 2)
+    a = hashed(spark.range(20).withColumnRenamed("id", "key"), spec)
+    fp = hashed(spark.range(100, 2100).withColumnRenamed("id", "key"), spec)
+    b = fp.where("key < 102").withColumn("ord", F.col("key") - 99)
+    assert clearing.engine_for(b, clearing.elements_of(a, fp, "ratio"), 2) == "single_task"
+    monkeypatch.setattr(clearing, "SINGLE_TASK_ROWS", 200)
+    assert clearing.engine_for(b, clearing.elements_of(a, b, "ratio"), 2) == "single_task"
+    assert clearing.engine_for(b, clearing.elements_of(a, fp, "ratio"), 2) == "rounds"
+    rounds = clearing.clear(a, fp, b, spec, "ratio", live=True)
+    monkeypatch.undo()
+    one = clearing.clear(a, fp, b, spec, "ratio", live=True)
+    assert rounds.rounds >= 1 and sorted(map(tuple, rounds.cleared.collect())) == sorted(map(tuple, one.cleared.collect()))
+
+
+def test_sweep_equals_a_visit_for_each_beta(replica):
+    """Prefixes of one visit against visits of their own, for frozen and live counters."""
+    for live in (False, True):
+        got = {r.beta: (r.b, r.b_extra, r.removed, r.fn, r.s) for r in workloads.sweep(replica, "ratio", (0.02, 0.3), live=live).collect()}
+        for beta in (0.02, 0.3):
+            b = written(clearing.troublesome(replica.fp, beta, count=replica.n_fp), "b")
+            done = clearing.clear(replica.members, replica.fp, b, replica.spec, "ratio", live)
+            done.log = written(done.log, "log")
+            row = measures.table_row(replica.members, replica.fp, b, done, 400_000, replica.spec, beta, "ratio").first()
+            assert got[beta] == (row.b, row.b_extra, row.removed, row.fn, row.s)
+
+
+def test_dleft_and_sliced_builds(spark):
+    from bcfilter.operators import baselines
+
+    u = spark.range(3000).select(F.col("id").alias("key"), (F.col("id") % 5 == 0).alias("is_member"))
+    row = baselines.dleft(u, u.where("is_member").select("key")).first()
+    assert row.fn == 0 and row.fp < 60 and row.deepest <= 9
