@@ -8,7 +8,7 @@ each host, smoothed towards its domain, which is smoothed towards the corpus, fr
 posteriors over all rows. The posterior is the product of the four.
 
 A row is rejected if it has no letters, or if no language explains its letters: its best mean log-likelihood a
-trigram is below that of the uniform distribution, ln(1 / 2 ** BITS). The floor is fixed: it depends neither on the
+trigram is below that of the uniform distribution over the buckets. The floor is fixed: it depends neither on the
 text's length nor on the training rows. Defined results: null and empty texts are
 rejected with a null language; null markup, address or host are no evidence; repeated rows count each; without
 labelled rows every language is null and nothing but empty text is rejected.
@@ -24,7 +24,9 @@ from pyspark.sql import functions as F
 from .common import materialize
 from .textbytes import slices
 
-BITS, PER_LANGUAGE, MOST_LANGUAGES = 16, 4000, 256
+BITS, PER_LANGUAGE = 16, 4000
+#: Cells of the table of languages by buckets; beyond 256 languages it has fewer buckets for each.
+ROOM = 1 << 24
 TEMPER, HOST_PRIOR, DOMAIN_PRIOR = 0.25, 10.0, 10.0
 DECLARED_RIGHT, SUFFIX_RIGHT = 0.9, 0.8
 # Country suffixes that name a language.
@@ -34,26 +36,25 @@ _LOWER[65:91] += 32
 _LETTER = np.array([b >= 128 or chr(b).isalpha() for b in range(256)])
 
 
-def trigrams(texts: list) -> tuple[np.ndarray, np.ndarray]:
+def trigrams(texts: list, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
     """Bucket of every trigram with a letter in its middle, and ``first[i]:first[i+1]`` of text i."""
     raw = [b"" if t is None else t.encode("utf-8", "surrogatepass") for t in texts]
     data = np.frombuffer(b"  " + b"  ".join(raw) + b"  ", dtype=np.uint8)
     low = np.where(_LETTER[data], _LOWER[data], 32).astype(np.uint32)
-    code = (low[:-2] * np.uint32(0x9E3779B1) ^ low[1:-1] * np.uint32(0x85EBCA77) ^ low[2:] * np.uint32(0xC2B2AE3D)) * np.uint32(0x27D4EB2F) >> np.uint32(32 - BITS)
+    code = (low[:-2] * np.uint32(0x9E3779B1) ^ low[1:-1] * np.uint32(0x85EBCA77) ^ low[2:] * np.uint32(0xC2B2AE3D)) * np.uint32(0x27D4EB2F) >> np.uint32(32 - bits)
     keep = np.flatnonzero(_LETTER[data[1:-1]])
     edges = np.concatenate([[1], 2 + np.cumsum([len(r) + 2 for r in raw]) - 1])
     return code[keep].astype(np.int64), np.searchsorted(keep, edges)
 
 
-def fit(rows: DataFrame) -> tuple[list[str], np.ndarray]:
+def fit(rows: DataFrame, room: int = ROOM) -> tuple[list[str], np.ndarray]:
     """Languages and log-probabilities (languages x buckets) from ``rows(id, text, lang)``."""
     rows = rows.where("lang is not null and text is not null")
-    sizes = {r[0]: r[1] for r in rows.groupBy("lang").count().limit(MOST_LANGUAGES + 1).collect()}
-    if len(sizes) > MOST_LANGUAGES:
-        raise ValueError(f"more than {MOST_LANGUAGES} labelled languages")
+    sizes = {r[0]: r[1] for r in rows.groupBy("lang").count().collect()}
     langs = sorted(sizes)
     if not langs:
         return [], np.zeros((0, 1 << BITS), np.float32)
+    bits = max(1, min(BITS, (room // len(langs)).bit_length() - 1))
     share = F.lit(0.0)
     for k in langs:
         share = F.when(F.col("lang") == k, F.lit(min(1.0, PER_LANGUAGE / sizes[k]))).otherwise(share)
@@ -65,14 +66,14 @@ def fit(rows: DataFrame) -> tuple[list[str], np.ndarray]:
             for lang, own in part.groupby("lang"):
                 texts = own["text"].tolist()
                 for a, b in slices(texts):
-                    n = np.bincount(trigrams(texts[a:b])[0], minlength=1 << BITS)
+                    n = np.bincount(trigrams(texts[a:b], bits)[0], minlength=1 << bits)
                     total[lang] = total[lang] + n if lang in total else n
         for lang, n in total.items():
             at = np.flatnonzero(n)
             yield pd.DataFrame({"lang": lang, "bucket": at, "n": n[at]})
 
     counts = sample.select("lang", "text").mapInPandas(run, "lang string, bucket long, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
-    table = np.full((len(langs), 1 << BITS), 0.1)
+    table = np.full((len(langs), 1 << bits), 0.1)
     table[[langs.index(x) for x in counts["lang"]], counts["bucket"]] += counts["n"]
     return langs, np.log(table / table.sum(axis=1, keepdims=True)).astype(np.float32)
 
@@ -84,10 +85,11 @@ def likelihoods(rows: DataFrame, langs: list[str], table: np.ndarray, keep: list
 
     def run(batches):
         table = shared.value
+        bits = table.shape[1].bit_length() - 1
         for part in batches:
             texts = part["text"].tolist()
             for a, b in slices(texts):
-                code, first = trigrams(texts[a:b])
+                code, first = trigrams(texts[a:b], bits)
                 n = np.diff(first)
                 ll = np.zeros((b - a, len(table)))
                 some = np.flatnonzero(n)
@@ -175,7 +177,7 @@ def identify(rows: DataFrame, labelled: DataFrame, id_col: str, least: float | N
     fused = fused.withColumn("post", _normal(logs))
     best = F.array_max("post")
     name = F.element_at(F.array(*[F.lit(x) for x in langs]), F.array_position("post", best).cast("int"))
-    floor = F.lit(np.log(1.0 / (1 << BITS)) * TEMPER if least is None else least * TEMPER)
+    floor = F.lit(np.log(1.0 / table.shape[1]) * TEMPER if least is None else least * TEMPER)
     explained = F.array_max("ll") >= floor * F.col("n")
     return fused.select(
         id_col, F.when(F.col("n") > 0, name).alias("lang"), F.when(F.col("n") > 0, best).otherwise(F.lit(0.0)).alias("confidence"), ((F.col("n") > 0) & explained).alias("kept")

@@ -103,7 +103,7 @@ def profile(docs: DataFrame, size: int, percent: int) -> DataFrame:
 
 def candidates(profiles: DataFrame) -> DataFrame:
     """(a, b) for every set and the least set of each band key it shares."""
-    exploded = profiles.where("n > 0").select("rid", F.explode("keys").alias("key"))
+    exploded = profiles.where("n > 0").select("rid", F.explode("keys").alias("key")).distinct()
     keys = exploded.groupBy("key").agg(F.min("rid").alias("a"), F.max("rid").alias("most")).where("a < most")
     keys = materialize(keys.select("key", "a"), "near_keys")
     return exploded.join(keys, "key").where("rid <> a").select("a", F.col("rid").alias("b")).distinct()

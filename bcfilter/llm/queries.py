@@ -18,7 +18,8 @@ from .warc import archive_pages
 
 
 def op1_line_dedup(spark, sf_dir):
-    return dedup_substrings(table(spark, sf_dir, "documents"))
+    """Lines of one to three words stay: in a corpus of any size they repeat by chance in clean texts."""
+    return dedup_substrings(table(spark, sf_dir, "documents"), least_line=4)
 
 
 def op2_latent_leaks(spark, sf_dir):

@@ -384,18 +384,115 @@ def test_secrets_equal_brute_force(spark, odd, none, sf):
     assert secret_scan.digest_columns(secret_scan.scan(none)).count() == 0
 
 
-def test_random_strings_are_told_from_names(spark):
+def test_random_strings_are_told_from_names(spark, sf):
     import base64
     import random
 
     rng = random.Random(9)
     secret = [base64.b64encode(rng.randbytes(30)).decode() for _ in range(30)]
     plain = [f"this_is_the_long_name_of_a_setting_number_{i}" for i in range(30)] + ["1111111111aaaaaaaaaa1111111111aaaaaaaaaa"]
-    rows = spark.createDataFrame([(i, f"use {t} here") for i, t in enumerate(secret + plain)], "doc_id long, text string")
-    found = {r.doc_id for r in secret_scan.digest_columns(secret_scan.scan(rows)).where("n_random > 0").collect()}
+    rows = spark.createDataFrame([(-i - 1, f"use {t} here") for i, t in enumerate(secret + plain)], "doc_id long, text string").unionByName(docs_of(spark, sf).select("doc_id", "text"))
+    found = {-r.doc_id - 1 for r in secret_scan.digest_columns(secret_scan.scan(rows)).where("n_random > 0 and doc_id < 0").collect()}
     assert len([i for i in found if i < 30]) >= 27 and not [i for i in found if i >= 30]
 
 
+def test_bounds_keep_the_share_of_false_reports():
+    targets = {(0, b): 10 for b in range(20)} | {(0, b): 50 for b in range(900, 1000)}
+    nulls = {(0, b): 1 for b in range(10, 20)} | {(0, b): 100 for b in range(900, 1000)}
+    cut = secret_scan.bounds(targets, nulls, 0.05)
+    total, size = sum(targets.values()), sum(nulls.values())
+    share = lambda b: total * (sum(n for (_, x), n in nulls.items() if x <= b) + 1) / (size + 1) / sum(n for (_, x), n in targets.items() if x <= b)
+    assert share(cut[0]) <= 0.05 < share(cut[0] + 1) and cut[1] == cut[2] == -1
+
+
+def test_many_matches_in_one_text_take_proportional_time(spark):
+    import time
+
+    took = {}
+    for n in (1000, 16000, 64000):
+        text = "token=abcdefgh1 " * n
+        at = time.time()
+        row = secret_scan.digest_columns(secret_scan.scan(spark.createDataFrame([(1, text)], "doc_id long, text string"))).first()
+        took[n] = time.time() - at
+        want = [f"assign:{16 * i}:{16 * i + 15}" for i in range(n)]
+        assert row.n_assign == n and row.base_sha256 == hashlib.sha256(",".join(want).encode()).hexdigest()
+    assert took[64000] < 8 * max(1.0, took[16000]), took
+
+
+def brute_language(rows, labelled, langs):
+    """The fusion in plain Python: smoothed trigram likelihoods, declared markup, address, host prior by domain and corpus."""
+    import math
+
+    grams = {i: language.trigrams([t])[0].tolist() for i, t, *_ in rows}
+    counts = {k: collections.Counter() for k in langs}
+    for t, k in labelled:
+        counts[k].update(language.trigrams([t])[0].tolist())
+    size = 1 << language.BITS
+    total = {k: sum(c.values()) + 0.1 * size for k, c in counts.items()}
+    ll = {i: [language.TEMPER * sum(math.log((counts[k][g] + 0.1) / total[k]) for g in own) for k in langs] for i, own in grams.items()}
+
+    def normal(x):
+        top = max(x)
+        e = [math.exp(v - top) for v in x]
+        return [v / sum(e) for v in e]
+
+    own = {i: normal(v) if grams[i] else None for i, v in ll.items()}
+    host, domain = collections.defaultdict(lambda: [0.0] * len(langs)), collections.defaultdict(lambda: [0.0] * len(langs))
+    for i, _, _, _, h in rows:
+        if h is not None and own[i]:
+            for x in (host[h], domain[".".join(h.split(".")[-2:])]):
+                for k, v in enumerate(own[i]):
+                    x[k] += v
+    every = [sum(h[k] for h in host.values()) for k in range(len(langs))]
+    base = [(v + 1) / (sum(every) + len(langs)) for v in every]
+
+    def prior(h):
+        if h is None:
+            return base
+        d = domain[".".join(h.split(".")[-2:])]
+        d = [(v + language.DOMAIN_PRIOR * b) / (sum(d) + language.DOMAIN_PRIOR) for v, b in zip(d, base)]
+        return [(v + language.HOST_PRIOR * b) / (sum(host[h]) + language.HOST_PRIOR) for v, b in zip(host[h], d)]
+
+    def named(name, right):
+        return [0.0] * len(langs) if name not in langs else [math.log(right) if k == name else math.log((1 - right) / (len(langs) - 1)) for k in langs]
+
+    out = {}
+    for i, _, declared, address, h in rows:
+        if grams[i]:
+            post = normal([a + math.log(p) + d + u for a, p, d, u in zip(ll[i], prior(h), named(declared, language.DECLARED_RIGHT), named(address, language.SUFFIX_RIGHT))])
+            out[i] = (langs[post.index(max(post))], max(post))
+        else:
+            out[i] = (None, 0.0)
+    return out
+
+
+def test_language_fusion_equals_brute_force(spark):
+    text = {"en": "the cat and the dog went over the hill", "de": "der Hund und die Katze gingen über den Hügel", "fr": "le chat et le chien sont allés sur la colline"}
+    labelled = [(i, t, k) for i, (k, t) in enumerate(text.items())]
+    rows = [(1, "the dog", None, None, "a.x.org"), (2, "die katze und", "de", None, "a.x.org"), (3, "x", "fr", "fr", "b.x.org"), (4, "le le", None, "de", None), (5, "", "en", None, "b.x.org"), (6, None, None, None, None), (7, "over und sur", "en", "de", "c.y.net"), (8, "q", "xx", None, "b.x.org")]
+    df = spark.createDataFrame(rows, "id long, text string, declared string, address string, host string")
+    got = {r.id: (r.lang, r.confidence) for r in language.identify(df, spark.createDataFrame(labelled, "id long, text string, lang string"), "id").collect()}
+    want = brute_language(rows, [(t, k) for _, t, k in labelled], sorted(text))
+    assert {i: v[0] for i, v in got.items()} == {i: v[0] for i, v in want.items()}
+    assert all(abs(got[i][1] - want[i][1]) < 1e-4 for i in want)
+
+
+def test_more_languages_than_the_table_has_room_for(spark):
+    rows = spark.createDataFrame([(i, f"word{chr(97 + i % 26)}{chr(97 + i // 26)} " * 5, f"l{i}") for i in range(300)], "id long, text string, lang string")
+    langs, table = language.fit(rows, room=1 << 22)
+    assert len(langs) == 300 and table.size <= 1 << 22
+
+
+def test_pages_odd_rows(spark):
+    cols = "page_id long, url string, html string, own string, declared string"
+    rows = [(1, "http://a.de/x", "<html lang=de>der Hund</html>", "x", "y"), (1, "http://a.de/x", "<html lang=de>der Hund</html>", "x", "y"), (2, None, None, None, None), (None, "no address", "", "x", "y"), (3, "http://b.fr", "<p>" + "mot " * 50000, "x", "y")]
+    labelled = spark.createDataFrame([(1, "der Hund und", "de"), (2, "le mot et", "fr"), (3, None, "fr"), (4, "x", None)], "id long, text string, lang string")
+    pages = spark.createDataFrame(rows, cols)
+    got = sorted((str(r.page_id), str(r.lang), r.kept) for r in language.identify_pages(pages, labelled).collect())
+    assert got == [("1", "de", True), ("1", "de", True), ("2", "None", False), ("3", "fr", True), ("None", "None", False)]
+    assert language.identify_pages(pages.limit(0), labelled).count() == 0
+
+
 # --- language, mixing, sharding ---------------------------------------------------------------------------------
 
 
