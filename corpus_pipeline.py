@@ -9,6 +9,7 @@ and reads them back.
 
 from __future__ import annotations
 
+import threading
 from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
@@ -24,17 +25,27 @@ from bcfilter.llm.sharding import shard_documents
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
-_SCRATCH: list = []
+class _Scratch(threading.local):
+    """Tables in the shared folder that the last stage of this thread's run left; each thread runs its own pipeline."""
+
+    def __init__(self):
+        self.tables: list = []
+
+    def clear(self) -> list:
+        while self.tables:
+            drop_table(self.tables.pop())
+        return self.tables
+
+
+_SCRATCH = _Scratch()
 
 
 def _stage(f):
-    """Drops what earlier stages left in the shared folder, for their results are written by then, and notes its own."""
+    """Drops what the stage before left in the shared folder, for its result is written by then, and notes its own."""
 
     @wraps(f)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-        while _SCRATCH:
-            drop_table(_SCRATCH.pop())
-        with recorded(_SCRATCH):
+        with recorded(_SCRATCH.clear()):
             return f(spark, docs, sf_dir)
 
     return run_stage
@@ -101,8 +112,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def deal_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every row with its shard and slot."""
-    while _SCRATCH:
-        drop_table(_SCRATCH.pop())
+    _SCRATCH.clear()
     return shard_documents(docs)
 
 
@@ -119,7 +129,8 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+        before, docs = docs, stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
             docs = materialize(docs, f"stage_{k}")
+            drop_table(before)
     return docs
