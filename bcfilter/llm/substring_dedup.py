@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import drop_table, materialize
 from .textbytes import Words, mix64, slices
 
 LAST = (1 << 63) - 1
@@ -127,7 +127,10 @@ def repeated_digests(rows: DataFrame, unit: str = "piece") -> DataFrame:
     again = met.where("later").select("row", "unit")
     if not tied.isEmpty():
         again = again.unionByName(met.where("not later").join(tied, "unit").where("row > keeps").select("row", "unit"))
-    return again.groupBy("row").agg(F.collect_list("unit").alias("units"))
+    again = materialize(again.groupBy("row").agg(F.collect_list("unit").alias("units")), "dedup_again")
+    for done in (found, firsts, met, tied):
+        drop_table(done)
+    return again
 
 
 def dedup_substrings(docs: DataFrame, least: int = 8, least_line: int = 1, unit: str = "piece") -> DataFrame:
@@ -137,18 +140,28 @@ def dedup_substrings(docs: DataFrame, least: int = 8, least_line: int = 1, unit:
 
     def run(batches):
         for rows in batches:
-            texts = rows["text"].tolist()
+            texts, ids, units = rows["text"].tolist(), rows["doc_id"].tolist(), rows["units"].tolist()
             for a, b in slices(texts):
                 u = Units(texts[a:b], unit)
                 w = u.words
-                chars = w.chars_before()
+                sizes = u.end - u.start
+                # Only texts with a repeated unit, their own or another's, are looked at one by one.
+                text_of = np.repeat(np.arange(b - a), np.diff(u.first))
+                order = np.lexsort((u.hash, text_of))
+                twice = text_of[order][1:][(np.diff(u.hash[order]) == 0) & (np.diff(text_of[order]) == 0)]
+                seen = [x is not None for x in units[a:b]]
+                for i in twice.tolist():
+                    seen[i] = True
+                chars = w.chars_before() if any(seen) else None
                 out = []
                 for i in range(b - a):
-                    text, row = texts[a + i], rows.iloc[a + i]
+                    text = texts[a + i]
+                    if not seen[i]:
+                        out.append((ids[a + i], text, "", 0, 0))
+                        continue
                     p, q = u.first[i], u.first[i + 1]
-                    units = row["units"]
-                    sizes = (u.end - u.start)[p:q]
-                    gone = removed_units(u.hash[p:q], sizes, u.line[p:q], np.array([] if units is None else units, dtype=np.int64), least if unit == "piece" else LAST, least_line) if q > p else np.zeros(0, bool)
+                    elsewhere = np.array([] if units[a + i] is None else units[a + i], dtype=np.int64)
+                    gone = removed_units(u.hash[p:q], sizes[p:q], u.line[p:q], elsewhere, least if unit == "piece" else LAST, least_line)
                     edge = np.flatnonzero(np.diff(np.concatenate([[0], gone.astype(np.int8), [0]]))) + p
                     base = chars[w.offset[i]]
                     spans = []
@@ -159,11 +172,11 @@ def dedup_substrings(docs: DataFrame, least: int = 8, least_line: int = 1, unit:
                     for s, e in spans:
                         left.append(text[at:s])
                         at = e
-                    out.append((row["doc_id"], text if not spans else "".join(left) + text[at:], ",".join(f"{s}:{e}" for s, e in spans), sum(e - s for s, e in spans), int(sizes[gone].sum())))
+                    out.append((ids[a + i], text if not spans else "".join(left) + text[at:], ",".join(f"{s}:{e}" for s, e in spans), sum(e - s for s, e in spans), int(sizes[p:q][gone].sum())))
                 yield pd.DataFrame(out, columns=["doc_id", "text", "spans", "removed_chars", "removed_words"])
 
     rows = _rows(docs)
-    again = materialize(repeated_digests(rows, unit), "dedup_again")
+    again = repeated_digests(rows, unit)
     texts = rows.select("row", F.col("doc_id").cast("string").alias("doc_id"), "text")
     out = texts.join(again, "row", "left").select("doc_id", "text", "units").mapInPandas(run, "doc_id string, text string, spans string, removed_chars long, removed_words long")
     return out.withColumn("doc_id", F.col("doc_id").cast("long"))
