@@ -10,8 +10,8 @@ the benchmark.
 Every text is searched in windows of widths that double from ``NARROWEST`` on, stepping by half a width; an item is
 searched in the least width that holds it. A window's vector is the weighted sum of its words' rows of the space, so
 windows of all widths are sums of the narrowest half windows. Candidates are pairs whose cosine, normalised in the
-space, is at least ``COSINE``: what a window of twice an item's length has that shares ``LOOSE`` of the item's words.
-Beside them a window that holds ``RUN`` words of an item in a row (a whole shorter item) is a candidate whatever its
+space, is at least that of a window which shares ``LOOSE`` of the item's words, ``LOOSE * sqrt(length / width)``, and
+never below ``COSINE``, where the window is twice as long as the item. Beside them a window that holds ``RUN`` words of an item in a row (a whole shorter item) is a candidate whatever its
 cosine, so a verbatim copy is compared at any size of the corpus. A candidate counts as a leak when the longest common
 subsequence of the item and the window with half a width on either side covers ``ORDER`` of the item's words, or, for
 paraphrases, ``LOOSE`` of them and most of its answer (its last sentence). Candidates with fewer words of the item than
@@ -37,7 +37,7 @@ from .textbytes import _BASE, PUNCTUATION, Words, mix64, slices
 NARROWEST = 32
 ORDER, LOOSE, ANSWER = 0.6, 0.45, 0.8
 COSINE = LOOSE / 2**0.5
-RANK, SPARE = 32, 8
+RANK, SPARE = 28, 4
 ITEMS, RUN, SHORTEST = 1024, 5, 3
 FEATURE_BITS, DF_BITS, GATE_BITS = 16, 18, 22
 #: Words a task sums before its part of the Gram product is shuffled.
@@ -83,6 +83,11 @@ class Items:
             self.answer.append(max(1, int((sentence == sentence[-1]).sum())))
         self.where = [places(w.tolist()) for w in self.words]
         self.where_answer = [places(w[-n:].tolist()) for w, n in zip(self.words, self.answer)]
+        # Places of each hashed word in an item of up to 64 words, as bits of one number.
+        self.masks = np.zeros((len(self.ids), BELONGS + 1), dtype=np.uint64)
+        for q, w in enumerate(self.words):
+            if len(w) <= 64:
+                np.bitwise_or.at(self.masks[q], w % BELONGS, np.uint64(1) << np.arange(len(w), dtype=np.uint64))
         self._index()
 
     def _index(self) -> None:
@@ -161,6 +166,16 @@ def lcs(size: int, where: dict, b: list) -> int:
     return size - v.bit_count()
 
 
+def lcs_bound(items: Items, which: np.ndarray, near: np.ndarray) -> np.ndarray:
+    """Common subsequence of items of up to 64 words and rows of hashed words; words that share a hash count as equal."""
+    full = ~np.uint64(0) >> (64 - items.size[which]).astype(np.uint64)
+    v = full.copy()
+    for j in range(near.shape[1]):
+        u = v & items.masks[which, near[:, j]]
+        v = ((v + u) | (v - u)) & full
+    return items.size[which] - np.bitwise_count(v)
+
+
 def tokens(docs: DataFrame) -> DataFrame:
     """doc_id, n words and their codes; and for each task a row of n = -1 - its documents, with ``counts`` of documents
     by bucket in ``terms``, so that the document frequencies need no pass of their own."""
@@ -311,6 +326,7 @@ class Search:
         start = np.concatenate([[0], np.cumsum(items.size)[:-1]])
         self.latent = unit(sums(space, feature(code), idf[place(code)], start)) if space.shape[1] else np.zeros((len(start), 0), np.float32)
         self.latent[items.size < RUN] = 0
+        self.least = np.maximum(COSINE, LOOSE * np.sqrt(items.size / items.width)).astype(np.float32)
 
     def found(self, code: np.ndarray, first: np.ndarray) -> list[tuple]:
         """(text, item, cosine, order share, answer share) of leaks in a slice of texts."""
@@ -319,33 +335,38 @@ class Search:
             return out
         items = self.items
         term = items.lookup(code)
-        mark = np.append(np.where(term >= 0, term % BELONGS, BELONGS), BELONGS)
         held = items.held(term, first)
         half = NARROWEST // 2
         start, bounds = cuts(first, half)
         block = sums(self.space, feature(code), self.idf[place(code)], start)
+        # The words of the items that a half window holds, as bits.
+        known = np.flatnonzero(term >= 0)
+        of = np.repeat(np.arange(len(start)), np.diff(np.append(start, len(term))))[known]
+        bits = np.zeros(len(start) * (BELONGS // 64), dtype=np.uint64)
+        np.bitwise_or.at(bits, of * (BELONGS // 64) + (term[known] % BELONGS >> 6), np.uint64(1) << (term[known] & 63).astype(np.uint64))
+        bits = bits.reshape(len(start), -1)
         while True:
             if (items.width == 2 * half).any():
-                self._level(out, term, mark, first, held, start, bounds, block, half)
+                self._level(out, term, bits, first, held, start, bounds, block, half)
             if 2 * half >= items.width.max():
                 return out
             half *= 2
             pair, bounds = cuts(bounds, 2)
-            start, block = start[pair], np.add.reduceat(block, pair, axis=0)
+            start, block, bits = start[pair], np.add.reduceat(block, pair, axis=0), np.bitwise_or.reduceat(bits, pair, axis=0)
 
-    def _level(self, out, term, mark, first, held, start, bounds, block, half) -> None:
+    def _level(self, out, term, bits, first, held, start, bounds, block, half) -> None:
         """Windows of two half windows that follow each other (one, in a text that has no more)."""
         items = self.items
         own = np.flatnonzero(items.width == 2 * half)
-        marks = np.full((len(own), items.size[own].max()), BELONGS)
-        bits = np.zeros((len(own), BELONGS // FOLD), dtype=bool)
+        mine = np.zeros((len(own), BELONGS // 64), dtype=np.uint64)
         for i, q in enumerate(own):
-            marks[i, : items.size[q]] = items.words[q] % BELONGS
-            bits[i, items.words[q] % BELONGS % bits.shape[1]] = True
-        # Words of an item beyond its distinct folded ones may all be met, so they are taken as met.
-        least = LOOSE * items.size[own] - 1e-9
-        need = np.ceil(least) - (items.size[own] - bits.sum(axis=1))
-        bits = np.packbits(bits, axis=1).view(np.uint64)
+            np.bitwise_or.at(mine[i], items.words[q] % BELONGS >> 6, np.uint64(1) << (items.words[q] & 63).astype(np.uint64))
+        fold = lambda x: np.bitwise_or.reduce(x.reshape(len(x), FOLD, -1), axis=1)
+        # Words of an item beyond its distinct hashed ones may all be met, so they are taken as met.
+        sieves = []
+        for theirs in (fold(mine), mine):
+            spare = items.size[own] - np.bitwise_count(theirs).sum(axis=1, dtype=np.int64)
+            sieves.append((theirs, np.ceil(LOOSE * items.size[own] - 1e-9) - spare))
         local = np.full(len(items.ids), -1)
         local[own] = np.arange(len(own))
         n = np.diff(bounds)
@@ -368,27 +389,34 @@ class Search:
             b = min(a + chunk, len(at))
             z = block[at[a:b]] + np.where((n[text[a:b]] > 1)[:, None], block[np.minimum(at[a:b] + 1, len(block) - 1)], 0)
             cosine = unit(z) @ self.latent[own].T
-            close = cosine >= COSINE
+            close = cosine >= self.least[own]
             for p in ran[np.searchsorted(ran, a) : np.searchsorted(ran, b)]:
                 for q in runs_of[int(p)]:
                     close[p - a, q] = True
             p, q = np.nonzero(close)
-            left, right = np.maximum(first[text[a:b]], lo[a:b] - half), np.minimum(first[text[a:b] + 1], hi[a:b] + half)
-            spot = left[:, None] + np.arange(4 * half)
-            there = np.zeros((b - a, BELONGS + 1), dtype=bool)
-            there[np.arange(b - a)[:, None], mark[np.where(spot < right[:, None], spot, len(term))]] = True
-            there[:, BELONGS] = False
-            folded = np.packbits(there[:, :BELONGS].reshape(b - a, FOLD, -1).any(axis=1), axis=1).view(np.uint64)
-            enough = np.zeros(len(p), dtype=bool)
-            for i in range(0, len(p), PAIRS):
-                some = q[i : i + PAIRS]
-                enough[i : i + PAIRS] = np.bitwise_count(folded[p[i : i + PAIRS]] & bits[some]).sum(axis=1, dtype=np.int16) >= need[some]
-            some = np.flatnonzero(enough)
-            for i in range(0, len(some), PAIRS):
-                k = some[i : i + PAIRS]
-                enough[k] = np.count_nonzero(there[p[k][:, None], marks[q[k]]], axis=1) >= least[q[k]]
-            left, right = left[p], right[p]
-            for k in np.flatnonzero(enough):
+            near = bits[at[a:b]]
+            for step in (-1, 1, 2):
+                x = at[a:b] + step
+                inside = (x >= bounds[text[a:b]]) & (x < bounds[text[a:b] + 1])
+                near[inside] |= bits[x[inside]]
+            some = np.arange(len(p))
+            for (theirs, need), there in zip(sieves, (fold(near), near)):
+                enough = np.zeros(len(some), dtype=bool)
+                for i in range(0, len(some), PAIRS):
+                    k = some[i : i + PAIRS]
+                    enough[i : i + PAIRS] = np.bitwise_count(there[p[k]] & theirs[q[k]]).sum(axis=1, dtype=np.int16) >= need[q[k]]
+                some = some[enough]
+            left, right = np.maximum(first[text[a:b]], lo[a:b] - half)[p], np.minimum(first[text[a:b] + 1], hi[a:b] + half)[p]
+            if 2 * half <= 64:
+                fits = [np.zeros(0, np.int64)]
+                for i in range(0, len(some), PAIRS):
+                    k = some[i : i + PAIRS]
+                    spot = left[k][:, None] + np.arange(4 * half)
+                    word = term[np.minimum(spot, len(term) - 1)]
+                    word = np.where((spot < right[k][:, None]) & (word >= 0), word % BELONGS, BELONGS)
+                    fits.append(k[lcs_bound(items, own[q[k]], word) >= LOOSE * items.size[own[q[k]]] - 1e-9])
+                some = np.concatenate(fits)
+            for k in some:
                 i = own[q[k]]
                 near, size = term[left[k] : right[k]].tolist(), int(items.size[i])
                 order = lcs(size, items.where[i], near) / size
