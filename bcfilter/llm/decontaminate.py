@@ -183,10 +183,10 @@ def tokens(docs: DataFrame) -> DataFrame:
     def run(batches):
         total, seen = np.zeros(1 << DF_BITS, dtype=np.int32), 0
         for rows in batches:
-            texts = [None if t is None else t.lower() for t in rows["text"]]
+            texts = rows["text"].tolist()
             seen += len(texts)
             for a, b in slices(texts):
-                w = Words(texts[a:b], PUNCTUATION)
+                w = Words([None if t is None else t.lower() for t in texts[a:b]], PUNCTUATION)
                 code, n = codes(w), np.diff(w.first)
                 once = np.unique(np.repeat(np.arange(b - a, dtype=np.int64), n) << DF_BITS | place(code).astype(np.int64))
                 total += np.bincount(once & ((1 << DF_BITS) - 1), minlength=1 << DF_BITS).astype(np.int32)
