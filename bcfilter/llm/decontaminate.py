@@ -83,14 +83,22 @@ class Items:
             self.answer.append(max(1, int((sentence == sentence[-1]).sum())))
         self.where = [places(w.tolist()) for w in self.words]
         self.where_answer = [places(w[-n:].tolist()) for w, n in zip(self.words, self.answer)]
+        self._index()
+
+    def __getstate__(self) -> dict:
+        """Without the tables, which are many times larger than what they are made from."""
+        return {k: v for k, v in vars(self).items() if k not in ("masks", "table", "crowded", "runs")}
+
+    def __setstate__(self, state: dict) -> None:
+        vars(self).update(state)
+        self._index()
+
+    def _index(self) -> None:
         # Places of each hashed word in an item of up to 64 words, as bits of one number.
         self.masks = np.zeros((len(self.ids), BELONGS + 1), dtype=np.uint64)
         for q, w in enumerate(self.words):
             if len(w) <= 64:
                 np.bitwise_or.at(self.masks[q], w % BELONGS, np.uint64(1) << np.arange(len(w), dtype=np.uint64))
-        self._index()
-
-    def _index(self) -> None:
         at = (self.vocabulary >> np.uint32(32 - GATE_BITS)).astype(np.int64)
         self.table = np.full(1 << GATE_BITS, -1, dtype=np.int32)
         self.table[at[::-1]] = np.arange(len(at), dtype=np.int32)[::-1]
