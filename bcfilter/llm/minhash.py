@@ -6,14 +6,16 @@ texts with more than some hundred shingles and never more than 2T. Coordinates a
 probability and concentrate as well as independent ones.
 
 Banding: as many coordinates to a key as keep the chance that a pair at the threshold shares no key below 1e-4 (8 at
-0.85, 6 at 0.8). Documents that share a key, directly or through others, form a cluster. Clusters are cut into blocks of about ``BLOCK``
-documents and every pair of blocks is a task of bounded size, whatever the size of the cluster. There sketches are
+0.85, 6 at 0.8). Documents that share a key, directly or through others, form a cluster. Clusters are cut into blocks
+of about ``BLOCK`` documents and every pair of blocks is a task of bounded size, whatever the size of the cluster. In
+clusters beyond ``WIDE`` blocks the documents of each key are compared instead, where that takes fewer copies of sets:
+a long chain of texts of which each resembles the next costs in proportion to its length. In a task sketches are
 compared first: a pair agreeing in five standard deviations less of the 256 coordinates than one at the threshold is
 passed over (chance of error below 1e-5). The others are verified on their full sets, most similar first, unless already connected in the task. What leaves a task
 is a spanning forest of verified links, not all pairs.
 
-Sets hold 64-bit hashes of shingles; equal sets are one representative from the start, so exact copies cost nothing
-here. Defined results: null or empty texts (or without words) have an empty set and are linked with nothing; fewer
+Sets hold 64-bit hashes of shingles. Sets that agree in two independent 64-bit identities are equal and have one
+representative from the start, so exact copies are profiled but not compared. Defined results: null or empty texts (or without words) have an empty set and are linked with nothing; fewer
 words than the shingle size make one shingle; a document of null doc_id takes part, ids in results are minima over
 the ids that are not null; repeated rows share a component; an empty table gives an empty result.
 """
@@ -29,9 +31,10 @@ from .common import drop_table, materialize
 from .components import components
 from .textbytes import Words, mix64, shingles, slices
 
-T, BLOCK = 256, 128
+T, BLOCK, WIDE = 256, 128, 32
 _SEEDS = mix64(np.arange(1, 2 * T + 1, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95))
 _LOW = np.uint64((1 << 55) - 1)
+SECOND = 0xE7037ED1A0B428DB
 
 
 def plan(percent: int) -> tuple[int, int, int]:
@@ -72,15 +75,15 @@ def band_keys(s: np.ndarray, rows: int, bands: int) -> np.ndarray:
     return key.view(np.int64)
 
 
-def set_ids(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+def set_ids(values: np.ndarray, bounds: np.ndarray, seed: int = 0xA0761D6478BD642F) -> np.ndarray:
     """One 64-bit identity for each set."""
-    total = np.concatenate([[np.uint64(0)], np.cumsum(mix64(values ^ np.uint64(0xA0761D6478BD642F)), dtype=np.uint64)])
+    total = np.concatenate([[np.uint64(0)], np.cumsum(mix64(values ^ np.uint64(seed)), dtype=np.uint64)])
     sums = total[bounds[1:]] - total[bounds[:-1]]
     return mix64(sums + np.diff(bounds).astype(np.uint64)).view(np.int64)
 
 
 def profile(docs: DataFrame, size: int, percent: int) -> DataFrame:
-    """doc_id, tkey, n, rid (null for empty sets) and band keys of every document."""
+    """doc_id, tkey, n, rid (null for empty sets), a second identity and band keys of every document."""
     per_key, bands, _ = plan(percent)
 
     def run(batches):
@@ -93,14 +96,32 @@ def profile(docs: DataFrame, size: int, percent: int) -> DataFrame:
                 ids = set_ids(values, bounds)
                 part = rows.iloc[a:b]
                 yield pd.DataFrame({"doc_id": part["doc_id"].to_numpy(), "tkey": part["tkey"].to_numpy(), "n": n,
-                                    "rid": pd.Series(ids).astype("Int64").where(pd.Series(n > 0)),
+                                    "rid": pd.Series(ids).astype("Int64").where(pd.Series(n > 0)), "second": set_ids(values, bounds, SECOND),
                                     "keys": [k if m else None for k, m in zip(keys, n)]})
 
     rows = docs.select(docs["doc_id"].cast("string").alias("doc_id"), F.xxhash64(docs["text"]).alias("tkey"), docs["text"])
-    out = rows.mapInPandas(run, "doc_id string, tkey long, n long, rid long, keys array<long>")
+    out = rows.mapInPandas(run, "doc_id string, tkey long, n long, rid long, second long, keys array<long>")
     return out.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
+def representatives(seen: DataFrame) -> DataFrame:
+    """rid, the least document that stands for it, its second identity and the greatest second identity met."""
+    least = F.min(F.struct("second", "doc_id", "tkey"))
+    return materialize(seen.where("n > 0").groupBy("rid").agg(least.alias("x"), F.max("second").alias("most")), "near_first")
+
+
+def told_apart(seen: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Profiles in which sets of one identity but different second ones have identities of their own, and representatives."""
+    first = representatives(seen)
+    clash = first.where("x.second < most").select("rid", F.col("x.second").alias("stays"))
+    if clash.isEmpty():
+        return seen, first
+    rid = F.when(F.col("second") > F.col("stays"), F.xxhash64("rid", "second")).otherwise(F.col("rid"))
+    apart = seen.join(clash, "rid", "left").withColumn("rid", rid).select(*seen.columns)
+    apart = materialize(apart, "near_profile")
+    return apart, representatives(apart)
+
+
 def candidates(profiles: DataFrame) -> DataFrame:
     """(a, b) for every set and the least set of each band key it shares."""
     exploded = profiles.where("n > 0").select("rid", F.explode("keys").alias("key")).distinct()
@@ -118,15 +139,15 @@ def sets_of(docs: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
             for a, b in slices(texts):
                 values, bounds = shingles(Words(texts[a:b]), size)
                 part = rows.iloc[a:b].copy()
-                ok = set_ids(values, bounds) == part["rid"].to_numpy()
+                ok = set_ids(values, bounds, SECOND) == part["second"].to_numpy()
                 part["coords"] = [x.tobytes() for x in mix64(sketch(values, bounds)).astype(np.uint8)]
                 part["members"] = [values[bounds[i] : bounds[i + 1]].tobytes() for i in range(b - a)]
-                yield part.loc[ok, ["rid", "cluster", "blocks", "coords", "members"]]
+                yield part.loc[ok, ["rid", "clusters", "blocks", "coords", "members"]]
 
     texts = docs.select(docs["doc_id"], F.xxhash64(docs["text"]).alias("tkey"), docs["text"])
     hit = (texts["tkey"] == wanted["tkey"]) & texts["doc_id"].eqNullSafe(wanted["doc_id"])
-    joined = texts.join(wanted.hint("merge"), hit).select("text", "rid", "cluster", "blocks")
-    return joined.mapInPandas(run, "rid long, cluster long, blocks int, coords binary, members binary")
+    joined = texts.join(wanted.hint("merge"), hit).select("text", "rid", "second", "clusters", "blocks")
+    return joined.mapInPandas(run, "rid long, clusters array<long>, blocks array<int>, coords binary, members binary")
 
 
 def _verify(ids: np.ndarray, side: np.ndarray, coords: np.ndarray, members: list, percent: int, cut: int, cross: bool) -> list[tuple[int, int]]:
@@ -192,6 +213,7 @@ def verified_links(sets: DataFrame, percent: int) -> DataFrame:
         if held:
             yield close()
 
+    sets = sets.withColumn("g", F.explode(F.arrays_zip("clusters", "blocks"))).select("rid", "coords", "members", F.col("g.clusters").alias("cluster"), F.col("g.blocks").alias("blocks"))
     own = F.pmod(F.xxhash64(F.lit(3), "rid"), F.col("blocks")).cast("int")
     dealt = sets.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rid", "coords", "members")
@@ -199,17 +221,38 @@ def verified_links(sets: DataFrame, percent: int) -> DataFrame:
     return dealt.mapInPandas(run, "a long, b long")
 
 
+def groups(seen: DataFrame, clusters: DataFrame) -> DataFrame:
+    """rid with the groups (``clusters``, each in so many ``blocks``) in which its set is compared.
+
+    The group is the cluster; in clusters beyond ``WIDE`` blocks it is each band key, where that deals out fewer sets.
+    """
+    dealt = lambda n: F.ceil(n / F.lit(BLOCK)).cast("int")
+    sizes = materialize(clusters.groupBy("root").agg(F.count("*").alias("size"), dealt(F.count("*")).alias("blocks")), "near_blocks")
+    whole = clusters.join(sizes.select("root", "blocks"), "root").select(F.col("v").alias("rid"), F.array("root").alias("clusters"), F.array("blocks").alias("blocks"), "root")
+    wide = sizes.where(F.col("blocks") > WIDE)
+    if wide.isEmpty():
+        return whole.drop("root")
+    members = clusters.join(wide, "root").select(F.col("v").alias("rid"), "root")
+    keyed = seen.where("n > 0").join(members, "rid").select("rid", "root", F.explode("keys").alias("key")).distinct()
+    keyed = materialize(keyed, "near_wide")
+    by_key = keyed.groupBy("root", "key").agg(F.count("*").alias("n")).where("n > 1").withColumn("blocks", dealt(F.col("n")))
+    by_key = materialize(by_key, "near_wide_keys")
+    cost = by_key.groupBy("root").agg(F.sum(F.col("n") * F.col("blocks")).alias("cost"))
+    narrow = wide.join(cost, "root").where(F.col("cost") < F.col("size") * F.col("blocks")).select("root")
+    narrow = materialize(narrow, "near_narrow")
+    each = keyed.join(by_key.join(narrow, "root").select("key", "blocks"), "key")
+    each = each.groupBy("rid").agg(F.collect_list(F.struct("key", "blocks")).alias("g")).select("rid", F.col("g.key").alias("clusters"), F.col("g.blocks").alias("blocks"))
+    return whole.join(narrow, "root", "left_anti").drop("root").unionByName(each)
+
+
 def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every document; links at 100 * both >= percent * either."""
-    seen = materialize(profile(docs, size, percent), "near_profile")
+    seen, first = told_apart(materialize(profile(docs, size, percent), "near_profile"))
     clusters = components(candidates(seen))
-    blocks = clusters.groupBy("root").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks"))
-    blocks = materialize(blocks, "near_blocks")
-    first = seen.where("n > 0").groupBy("rid").agg(F.min(F.struct("doc_id", "tkey")).alias("x"))
-    wanted = clusters.join(blocks, "root").join(first, F.col("v") == F.col("rid"))
-    wanted = materialize(wanted.select("x.doc_id", "x.tkey", "rid", F.col("root").alias("cluster"), "blocks"), "near_wanted")
+    wanted = groups(seen, clusters).join(first, "rid")
+    wanted = materialize(wanted.select("x.doc_id", "x.tkey", "x.second", "rid", "clusters", "blocks"), "near_wanted")
     links = materialize(verified_links(sets_of(docs, wanted, size), percent), "near_links")
-    for done in (wanted, blocks, clusters):
+    for done in (wanted, first, clusters):
         drop_table(done)
     return label(seen, components(links))
 

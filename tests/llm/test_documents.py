@@ -81,6 +81,32 @@ def test_a_group_of_near_copies_over_many_blocks(spark):
     assert collections.Counter((i, got[i]) for i in got) == collections.Counter((i, c) for i, _, c in brute_components(rows))
 
 
+def test_a_long_chain_is_compared_by_key(spark, monkeypatch):
+    """Each text resembles the next few: keys deal out fewer sets than blocks of the cluster, with the same result."""
+    monkeypatch.setattr(minhash, "BLOCK", 16)
+    monkeypatch.setattr(minhash, "WIDE", 4)
+    rows = [(i, " ".join(f"w{k}" for k in range(8 * i, 8 * i + 200))) for i in range(600)]
+    rows += [(1000 + i, rows[0][1] + f" near{i}") for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    seen, _ = minhash.told_apart(minhash.profile(docs, 3, 85))
+    clusters = minhash.components(minhash.candidates(seen))
+    dealt = minhash.groups(seen, clusters).selectExpr("size(clusters) AS n", "aggregate(blocks, 0, (a, b) -> a + b) AS copies").toPandas()
+    size = clusters.count()
+    assert dealt["n"].max() > 1
+    assert dealt["copies"].sum() < size * -(-size // 16)
+    got = collections.Counter((r.doc_id, r.n_shingles, r.component_id) for r in minhash.near_duplicates(docs).collect())
+    assert got == brute_components(rows)
+
+
+def test_sets_of_one_identity_are_told_apart(spark):
+    rows = [(1, 11, 5, 7, 100), (2, 12, 5, 7, 200), (3, 13, 5, 7, 200), (4, 14, 5, 8, 300), (5, 15, 0, None, 0)]
+    seen = spark.createDataFrame(rows, "doc_id long, tkey long, n long, rid long, second long").withColumn("keys", F.array(F.lit(1).cast("long")))
+    apart, first = minhash.told_apart(seen)
+    rid = {r.doc_id: r.rid for r in apart.collect()}
+    assert rid[1] == 7 and rid[2] == rid[3] not in (7, 8) and rid[4] == 8 and rid[5] is None
+    assert {r.rid: (r.x.doc_id, r.x.second) for r in first.collect()} == {7: (1, 100), rid[2]: (2, 200), 8: (4, 300)}
+
+
 def test_sketch_estimates_similarity():
     import numpy as np
 
