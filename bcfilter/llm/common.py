@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
 from contextlib import contextmanager
 
@@ -14,6 +15,10 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 _LOCAL: list[str] = []
 _RECORDS: list[list] = []
+#: Rows that a Python worker gets at once inside ``small_batches``; it holds a batch of whole texts twice over.
+BATCH_ROWS = 1000
+_BATCHES: dict[int, tuple[int, str]] = {}
+_BATCHES_LOCK = threading.Lock()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -56,6 +61,29 @@ def recorded(tables: list):
         _RECORDS.pop()
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = BATCH_ROWS):
+    """What runs inside hands Python workers at most ``rows`` rows at once; then the session's own setting returns.
+
+    Threads that share a session share the setting; the last of them to leave restores it.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    with _BATCHES_LOCK:
+        inside, own = _BATCHES.get(id(spark), (0, spark.conf.get(key)))
+        if not inside and not 0 < int(own) <= rows:
+            spark.conf.set(key, rows)
+        _BATCHES[id(spark)] = inside + 1, own
+    try:
+        yield
+    finally:
+        with _BATCHES_LOCK:
+            inside, own = _BATCHES.pop(id(spark))
+            if inside > 1:
+                _BATCHES[id(spark)] = inside - 1, own
+            else:
+                spark.conf.set(key, own)
+
+
 def drop_table(df: DataFrame) -> None:
     """Remove the files of a table written by ``materialize`` once nothing reads it any more."""
     path = getattr(df, "bcf_path", None)

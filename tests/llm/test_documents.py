@@ -9,6 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from bcfilter.llm import decontaminate, language, minhash, mixing, queries, secret_scan, sharding, substring_dedup, toxicity
+from bcfilter.llm.common import small_batches
 from bcfilter.llm.textbytes import PUNCTUATION, Words
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -618,3 +619,16 @@ def test_shards_odd_rows(odd, none):
     rows = sharding.shard_documents(odd).collect()
     assert len(rows) == 11 and {(r.size, r.text_crc32) for r in rows if r.doc_id in (3, 4)} == {(1, 0)}
     assert sharding.shard_documents(none).count() == 0
+
+
+def test_small_batches_nest_and_return_the_setting(spark):
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    own = spark.conf.get(key)
+    with small_batches(spark, 7):
+        assert spark.conf.get(key) == "7"
+        with small_batches(spark, 9):
+            assert spark.conf.get(key) == "7"
+        assert spark.conf.get(key) == "7"
+        seen = spark.range(50, numPartitions=1).mapInPandas(lambda parts: (p.head(1).assign(id=len(p)) for p in parts), "id long")
+        assert max(r[0] for r in seen.collect()) <= 7
+    assert spark.conf.get(key) == own
