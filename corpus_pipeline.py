@@ -15,7 +15,7 @@ from functools import wraps
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from bcfilter.llm.common import drop_table, materialize, recorded, table
+from bcfilter.llm.common import drop_table, materialize, recorded, small_batches, table
 from bcfilter.llm.decontaminate import leaks
 from bcfilter.llm.language import identify_documents
 from bcfilter.llm.minhash import near_duplicates
@@ -41,11 +41,14 @@ _SCRATCH = _Scratch()
 
 
 def _stage(f):
-    """Drops what the stage before left in the shared folder, for its result is written by then, and notes its own."""
+    """Drops what the stage before left in the shared folder, for its result is written by then, and notes its own.
+
+    The stages' Python workers are reused, so one stage's largest batch stays in memory through the next: batches are small.
+    """
 
     @wraps(f)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-        with recorded(_SCRATCH.clear()):
+        with recorded(_SCRATCH.clear()), small_batches(spark):
             return f(spark, docs, sf_dir)
 
     return run_stage
