@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from bcfilter.functions.hashing import FilterSpec, hashed
-from bcfilter.operators import clearing, filters, measures
+from bcfilter.operators import clearing, filters, measures, tracing
 from bcfilter.plans import workloads
 from bcfilter.plans.base import Setting
 from bcfilter.sources.tables import written
@@ -179,3 +179,40 @@ def test_dleft_and_sliced_builds(spark):
     u = spark.range(3000).select(F.col("id").alias("key"), (F.col("id") % 5 == 0).alias("is_member"))
     row = baselines.dleft(u, u.where("is_member").select("key")).first()
     assert row.fn == 0 and row.fp < 60 and row.deepest <= 9
+
+
+def test_live_visits_side_by_side_take_a_task_each(spark, monkeypatch):
+    """Groups that are small each but not together stay out of the rounds, with the same resets."""
+    keyed_by = lambda df, spec: workloads.composite(hashed(df.select(F.col("id").alias("key"), (F.col("id") % 4).cast("int").alias("i")), spec), "i")
+    spec = FilterSpec(60, 3)
+    a, fp = keyed_by(spark.range(120), spec), keyed_by(spark.range(1000, 1200), spec)
+    b = written(clearing.numbered(fp, [workloads.group_of("key"), F.col("key")]).where("key % 3 > 0"), "b")
+    whole = 3 * clearing.touching(clearing.elements_of(a, fp, "ratio"), b.select(F.explode("positions").alias("pos"))).count()
+    monkeypatch.setattr(clearing, "SINGLE_TASK_ROWS", whole // 2)
+    for rule in ("min_fn", "max_fp", "ratio"):
+        assert clearing.engine_for(b, clearing.elements_of(a, fp, rule), 3) == "rounds" or rule != "ratio"
+        got = clearing.clear(a, fp, b, spec, rule, live=True, group=workloads.group_of)
+        assert got.rounds == 1
+        one = clearing.clear(a, fp, b, spec, rule, live=True, engine="single_task")
+        assert sorted(map(tuple, got.cleared.collect())) == sorted(map(tuple, one.cleared.collect()))
+        assert got.log.count() == b.count()
+    monkeypatch.setattr(clearing, "SINGLE_TASK_ROWS", 10)
+    assert clearing.resolve_live_groups(b, clearing.elements_of(a, fp, "ratio"), "ratio", 3, workloads.group_of) is None
+
+
+def test_legs_stand_for_all_traces(spark):
+    """Nodes, ends and outcomes from the two legs against the traces themselves; a tail without hops included."""
+    approach = spark.createDataFrame([(m, n, [m, 10 + n]) for m in (1, 2) for n in (0, 1)], "monitor int, nation int, path array<long>")
+    tail = spark.createDataFrame([(0, d, d % 3, [100 + d % 4, 200 + d % 7] if d % 5 else []) for d in range(40)], "cycle int, dest long, nation int, path array<long>")
+    t = tail.join(approach.withColumnRenamed("path", "before"), "nation").withColumn("path", F.concat("before", "path"))
+    hops = t.select("cycle", "monitor", "dest", F.size("path").alias("n"), F.posexplode("path").alias("at", "node")).select("cycle", "monitor", "dest", (F.col("at") + 1).alias("ttl"), "node", (F.col("at") + 1 == F.col("n")).alias("is_penultimate"))
+    same = lambda x, y: sorted(map(tuple, x.collect())) == sorted(map(tuple, y.collect()))
+    assert same(tracing.ends(approach, tail), tracing.stop_set(hops)) and same(tracing.known_nodes(approach, tail), tracing.degrees(hops))
+    sets = [{200, 203, 11}, {101, 205, 2}, {10}, set(), {1, 2, 10, 200}]
+    masks = spark.createDataFrame([(k, sum(1 << b for b, s in enumerate(sets) if k in s)) for k in set().union(*sets)], "key long, mask long")
+    steps = spark.createDataFrame([(b, f"s{b}") for b in range(len(sets))], "bit int, name string")
+    got = {r.name: (r.traces, r.success, r.short, r.collision) for r in tracing.mask_shares(approach, tail, masks, steps).collect()}
+    for b, s in enumerate(sets):
+        positive = spark.createDataFrame([(k,) for k in s], "key long")
+        row = tracing.outcomes(tracing.replay(hops, positive)).first()
+        assert got[f"s{b}"] == (row.traces, row.success, row.short, row.collision)
