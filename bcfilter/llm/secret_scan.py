@@ -8,8 +8,8 @@ correlation of neighbours. Fisher's method joins the three into the p-value of b
 
 What is controlled is the share of false reports. The null hypothesis is an ordinary token; its distribution is that
 of decoys, strings with no secret in them that every text gives: its letters without the characters between words,
-cut into pieces of ``DECOY`` letters, each followed by a number, one piece in ``THIN`` (by hash, over the whole
-corpus). Decoys go through the same inference and tests. For each class of length the candidates reported are those
+cut from front to back into pieces of ``DECOY`` letters in turn, each followed by a number. Every letter of every text
+stands in one decoy, but for a rest below the least size. Decoys go through the same inference and tests. For each class of length the candidates reported are those
 at least as random as the lowest bound where the share of decoys beyond it, times the number of candidates, is at most
 ``alpha`` of the candidates beyond it (a step-up over a grid of bounds); longer strings of words look less random, so
 their bound is lower. Only bounded histograms leave the executors.
@@ -48,8 +48,8 @@ ALPHABETS = (
 BINS = 3000
 #: Matches whose offsets are added up one by one; longer lists go in blocks of as many.
 BLOCK = 64
-#: Letters of a decoy by class of length, the least length of each class, and how many pieces there are to a decoy.
-DECOY, LENGTHS, THIN = (20, 36, 68), (0, 32, 64), 64
+#: Letters of a decoy by class of length, and the least length of each class.
+DECOY, LENGTHS = (20, 36, 68), (0, 32, 64)
 
 
 def spans_of(text: Column, pattern: str, group: int = 0, least: int = 0) -> Column:
@@ -87,83 +87,118 @@ def spans_of(text: Column, pattern: str, group: int = 0, least: int = 0) -> Colu
     return F.when(text.rlike(pattern), kept).otherwise(none)
 
 
-def normal_tail(z: Column) -> Column:
-    """P(Z > z) for z >= 0, by the five-term polynomial in 1 / (1 + 0.2316419 z)."""
-    t = F.lit(1.0) / (F.lit(1.0) + F.lit(0.2316419) * z)
+def tail_scale(z: Column) -> Column:
+    """1 / (1 + 0.2316419 z), in whose powers ``normal_tail`` is a polynomial."""
+    return F.lit(1.0) / (F.lit(1.0) + F.lit(0.2316419) * z)
+
+
+def normal_tail(z: Column, t: Column) -> Column:
+    """P(Z > z) for z >= 0, by the five-term polynomial in ``t``, the scale of z."""
     poly = F.lit(0.0)
     for c in (1.330274429, -1.821255978, 1.781477937, -0.356563782, 0.319381530):
         poly = (poly + F.lit(c)) * t
     return F.greatest(F.lit(1e-300), F.exp(-z * z / 2) * F.lit(0.3989422804014327) * poly)
 
 
-def upper(z: Column) -> Column:
-    return F.when(z >= 0, normal_tail(z)).otherwise(F.lit(1.0) - normal_tail(-z))
-
-
 def tested(spans: Column) -> Column:
     """``array<struct<s, e, code, p, n>>``: each candidate's encoding and joint p-value of being random."""
 
+    keep = lambda x, *names: [x[c].alias(c) for c in names]
+
     def code_of(core: Column) -> Column:
         pick = None
         for name, letters in ALPHABETS:
-            fits = F.length(F.translate(core, letters, "")) == 0
+            fits = core.rlike("^[" + letters.replace("-", "\\-") + "]*$")
             pick = F.when(fits, F.lit(name)) if pick is None else pick.when(fits, F.lit(name))
         return F.coalesce(pick, F.lit("base64"))
 
-    def letters_of(code: Column) -> Column:
+    def by_code(code: Column, value) -> Column:
         pick = None
         for name, letters in ALPHABETS:
-            pick = F.when(code == name, F.lit(letters)) if pick is None else pick.when(code == name, F.lit(letters))
+            pick = F.when(code == name, value(letters)) if pick is None else pick.when(code == name, value(letters))
         return pick
 
+    def values(letters: str) -> Column:
+        """The value of every ASCII character in an alphabet, -1 outside it."""
+        return F.lit([float(letters.find(chr(c))) for c in range(128)])
+
+    def with_core(x: Column) -> Column:
+        return F.struct(x["s"].alias("s"), x["e"].alias("e"), F.when(x["m"].endswith("="), F.regexp_replace(x["m"], "=+$", "")).otherwise(x["m"]).alias("core"))
+
     def with_code(x: Column) -> Column:
-        core = F.regexp_replace(x["m"], "=+$", "")
-        return F.struct(x["s"].alias("s"), x["e"].alias("e"), core.alias("core"), code_of(core).alias("code"))
+        return F.struct(x["s"].alias("s"), x["e"].alias("e"), x["core"].alias("core"), code_of(x["core"]).alias("code"))
 
+    # A stage for each value that is read often: nothing is kept between two readings within one.
     def with_letters(x: Column) -> Column:
-        letters = letters_of(x["code"])
-        chars = F.filter(F.split(x["core"], ""), lambda c: c != "")
-        counts = F.transform(F.array_distinct(chars), lambda c: F.length(x["core"]) - F.length(F.replace(x["core"], c, F.lit(""))))
-        squares = F.aggregate(counts, F.lit(0.0), lambda a, c: a + (c * c).cast("double"))
-        return F.struct(x["s"].alias("s"), x["e"].alias("e"), x["code"].alias("code"), F.length(letters).cast("double").alias("k"),
-                        F.length(x["core"]).cast("double").alias("n"), squares.alias("squares"),
-                        F.transform(chars, lambda c: (F.instr(letters, c) - 1).cast("double")).alias("v"))
+        chars = F.slice(F.split(x["core"], ""), F.lit(1), F.length(x["core"]))
+        return F.struct(*keep(x, "s", "e", "core", "code"), F.length(x["core"]).alias("n"), by_code(x["code"], lambda a: F.lit(float(len(a)))).alias("k"), by_code(x["code"], values).alias("values"), chars.alias("chars"))
 
-    def with_sums(x: Column) -> Column:
-        zero = F.struct(F.lit(-1.0).alias("last"), F.lit(0.0).alias("sx"), F.lit(0.0).alias("sxx"), F.lit(0.0).alias("sxy"), F.lit(0.0).alias("runs"), F.lit(0.0).alias("high"))
-        mid = x["k"] / 2
+    def with_values(x: Column) -> Column:
+        at = lambda c: F.get(x["values"], F.ascii(c))
+        count = lambda c: (x["n"] - F.length(F.replace(x["core"], c, F.lit("")))).cast("double")
+        return F.struct(*keep(x, "s", "e", "code", "k"), x["n"].cast("double").alias("n"), (x["k"] / 2).alias("mid"),
+                        F.transform(F.array_distinct(x["chars"]), lambda c: F.struct(at(c).alias("v"), count(c).alias("n"))).alias("each"),
+                        F.transform(x["chars"], at).alias("v"))
 
-        def step(a: Column, v: Column) -> Column:
-            first = a["last"] < 0
-            new_run = first | ((a["last"] >= mid) != (v >= mid))
-            return F.struct(v.alias("last"), (a["sx"] + v).alias("sx"), (a["sxx"] + v * v).alias("sxx"),
-                            F.when(first, a["sxy"]).otherwise(a["sxy"] + a["last"] * v).alias("sxy"),
-                            (a["runs"] + F.when(new_run, 1.0).otherwise(0.0)).alias("runs"), (a["high"] + F.when(v >= mid, 1.0).otherwise(0.0)).alias("high"))
+    def with_pairs(x: Column) -> Column:
+        size = x["n"].cast("int") - 1
+        return F.struct(*keep(x, "s", "e", "code", "k", "n", "mid", "each", "v"), F.slice(x["v"], F.lit(1), size).alias("left"), F.slice(x["v"], F.lit(2), size).alias("right"))
 
-        return F.struct(x["s"].alias("s"), x["e"].alias("e"), x["code"].alias("code"), x["k"].alias("k"), x["n"].alias("n"), x["squares"].alias("squares"),
-                        F.element_at(x["v"], 1).alias("first"), F.aggregate(x["v"], zero, step).alias("a"))
+    def with_sums(x: Column) -> Column:
+        zero, mid = F.lit(0.0), x["mid"]
+        none = F.struct(zero.alias("squares"), zero.alias("sx"), zero.alias("sxx"), zero.alias("high"))
+        # Plain numbers are added up: a struct for each character would take most of the time.
+        total = lambda values: F.aggregate(values, zero, lambda a, b: a + b)
+        products = F.zip_with(x["left"], x["right"], lambda a, b: F.when(a >= 0, a * b).otherwise(zero))
+        breaks = F.size(F.filter(F.zip_with(x["left"], x["right"], lambda a, b: (a < 0) | ((a >= mid) != (b >= mid))), lambda new: new))
+
+        def add(a: Column, c: Column) -> Column:
+            one = c["n"] * c["v"]
+            return F.struct((a["squares"] + c["n"] * c["n"]).alias("squares"), (a["sx"] + one).alias("sx"), (a["sxx"] + one * c["v"]).alias("sxx"), F.when(c["v"] >= mid, a["high"] + c["n"]).otherwise(a["high"]).alias("high"))
+
+        return F.struct(*keep(x, "s", "e", "code", "k", "n"), F.element_at(x["v"], 1).alias("first"), F.element_at(x["v"], -1).alias("last"), total(products).alias("sxy"),
+                        (breaks + 1).cast("double").alias("runs"), F.aggregate(x["each"], none, add).alias("t"))
+
+    def with_moments(x: Column) -> Column:
+        k, n, t = x["k"], x["n"], x["t"]
+        free = k - 1
+        chi = F.greatest(F.lit(0.0), t["squares"] * k / n - n)
+        avg = t["sx"] / n
+        below = t["sxx"] - n * avg * avg
+        above = x["sxy"] + x["last"] * x["first"] - n * avg * avg
+        return F.struct(*keep(x, "s", "e", "code", "n"), chi.alias("chi"), free.alias("free"), (F.lit(2.0) / (free * 9)).alias("spread"), x["runs"].alias("runs"),
+                        (t["high"] * 2 * (n - t["high"]) / n + 1).alias("mean"), below.alias("below"), above.alias("above"))
+
+    def with_z(x: Column) -> Column:
+        n = x["n"]
+        var = (x["mean"] - 1) * (x["mean"] - 2) / F.greatest(n - 1, F.lit(1.0))
+        chi = (F.pow(x["chi"] / x["free"], F.lit(1.0 / 3)) - (F.lit(1.0) - x["spread"])) / F.sqrt(x["spread"])
+        runs = F.when(var > 0, F.abs(x["runs"] - x["mean"]) / F.sqrt(var))
+        serial = F.when(x["below"] > 0, F.abs(x["above"] / x["below"] + F.lit(1.0) / (n - 1)) * F.sqrt(n))
+        return F.struct(*keep(x, "s", "e", "code", "n"), chi.alias("z"), F.abs(chi).alias("chi"), runs.alias("runs"), serial.alias("serial"))
+
+    def with_scales(x: Column) -> Column:
+        names = ("chi", "runs", "serial")
+        return F.struct(*keep(x, "s", "e", "code", "n", "z", *names), *[tail_scale(x[c]).alias("t_" + c) for c in names])
+
+    def with_tails(x: Column) -> Column:
+        return F.struct(*keep(x, "s", "e", "code", "n", "z"), *[F.when(x[c].isNotNull(), normal_tail(x[c], x["t_" + c])).alias(c) for c in ("chi", "runs", "serial")])
+
+    def with_log(x: Column) -> Column:
+        # Without spread (a single letter, one half of the alphabet only) a test counts as failed; a null tail means that.
+        p_chi = F.when(x["z"] >= 0, x["chi"]).otherwise(F.lit(1.0) - x["chi"])
+        both = [F.coalesce(x[c] * 2, F.lit(1e-6)) for c in ("runs", "serial")]
+        ln = lambda p: F.ln(F.least(F.lit(1.0), p))
+        return F.struct(*keep(x, "s", "e", "code", "n"), (-(ln(p_chi) + ln(both[0]) + ln(both[1]))).alias("log"))
 
     def with_p(x: Column) -> Column:
-        k, n, a = x["k"], x["n"], x["a"]
-        free = k - 1
-        chi = F.greatest(F.lit(0.0), x["squares"] * k / n - n)
-        spread = F.lit(2.0) / (free * 9)
-        p_chi = upper((F.pow(chi / free, F.lit(1.0 / 3)) - (F.lit(1.0) - spread)) / F.sqrt(spread))
-        low = n - a["high"]
-        mean = a["high"] * 2 * low / n + 1
-        var = (mean - 1) * (mean - 2) / F.greatest(n - 1, F.lit(1.0))
-        p_runs = F.when(var > 0, normal_tail(F.abs(a["runs"] - mean) / F.sqrt(var)) * 2).otherwise(F.lit(1e-6))
-        avg = a["sx"] / n
-        below = a["sxx"] - n * avg * avg
-        above = a["sxy"] + a["last"] * x["first"] - n * avg * avg
-        p_serial = F.when(below > 0, normal_tail(F.abs(above / below + F.lit(1.0) / (n - 1)) * F.sqrt(n)) * 2).otherwise(F.lit(1e-6))
-        log = -(F.ln(F.least(F.lit(1.0), p_chi)) + F.ln(F.least(F.lit(1.0), p_runs)) + F.ln(F.least(F.lit(1.0), p_serial)))
+        log = x["log"]
         joint = F.exp(-log) * (F.lit(1.0) + log + log * log / 2)
-        return F.struct(x["s"].alias("s"), x["e"].alias("e"), x["code"].alias("code"), F.greatest(F.lit(1e-300), joint).alias("p"), n.alias("n"))
+        return F.struct(*keep(x, "s", "e", "code"), F.greatest(F.lit(1e-300), joint).alias("p"), x["n"].alias("n"))
 
     mixed = F.filter(spans, lambda x: x["m"].rlike("[0-9]") & x["m"].rlike("[A-Za-z]"))
     out = mixed
-    for f in (with_code, with_letters, with_sums, with_p):
+    for f in (with_core, with_code, with_letters, with_values, with_pairs, with_sums, with_moments, with_z, with_scales, with_tails, with_log, with_p):
         out = F.transform(out, f)
     return out
 
@@ -182,14 +217,11 @@ def class_of(n: Column) -> Column:
 
 def decoys(text: Column) -> Column:
     """``array<struct<s, e, m>>``: strings of a text's own words, without their gaps, with a number behind."""
+    first, *more = (f"([A-Za-z]{{{n}}})" for n in DECOY)
     letters = F.regexp_replace(text, "[^A-Za-z]+", "")
-
-    def pieces(size: int) -> Column:
-        cut = F.regexp_extract_all(letters, F.lit(f"[A-Za-z]{{{size}}}"), F.lit(0))
-        some = F.filter(cut, lambda m: F.pmod(F.xxhash64(m, F.lit(size)), F.lit(THIN * size // DECOY[0])) == 0)
-        return F.transform(some, lambda m: F.struct(F.lit(0).alias("s"), F.lit(0).alias("e"), F.concat(m, F.pmod(F.xxhash64(m), F.lit(10000)).cast("string")).alias("m")))
-
-    return F.concat(*[pieces(n) for n in DECOY])
+    cut = [F.regexp_extract_all(letters, F.lit(first + "".join(f"{p}?" for p in more)), F.lit(i + 1)) for i in range(len(DECOY))]
+    numbered = lambda m: F.struct(F.lit(0).alias("s"), F.lit(0).alias("e"), F.concat(m, F.pmod(F.xxhash64(m), F.lit(10000)).cast("string")).alias("m"))
+    return F.transform(F.filter(F.concat(*cut), lambda m: m != ""), numbered)
 
 
 def bounds(targets: dict, nulls: dict, alpha: float) -> dict[int, int]:
@@ -214,12 +246,13 @@ def scan(docs: DataFrame, least: int = 20, alpha: float = 0.05) -> DataFrame:
     base = [spans_of(text, p, g, n).alias(k) for k, p, g, n in KINDS]
     found = docs.select("doc_id", *base, spans_of(text, CANDIDATE % least).alias("more"), decoys(text).alias("null"))
     plain = [F.transform(k, lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"))).alias(k) for k, *_ in KINDS]
-    null = F.transform(tested(F.col("null")), lambda x: F.struct(x["p"].alias("p"), x["n"].alias("n"))).alias("null")
+    place = lambda x: F.struct(class_of(x["n"]).alias("k"), bin_of(x["p"]).alias("bin"))
+    null = F.transform(tested(F.col("null")), place).alias("null")
     found = materialize(found.select("doc_id", *plain, tested(F.col("more")).alias("more"), null), "secret_spans")
 
     def counts(name: str) -> dict:
-        each = found.select(F.explode(name).alias("c"))
-        return {(r[0], r[1]): r[2] for r in each.groupBy(class_of(F.col("c.n")).alias("k"), bin_of(F.col("c.p")).alias("bin")).count().collect()}
+        each = found.select(F.explode(F.col(name) if name == "null" else F.transform(name, place)).alias("c"))
+        return {(r[0], r[1]): r[2] for r in each.groupBy("c.k", "c.bin").count().collect()}
 
     cut = bounds(counts("more"), counts("null"), alpha)
     last = lambda c: F.element_at(F.array(*[F.lit(cut[k]) for k in range(len(LENGTHS))]), class_of(c["n"]) + 1)

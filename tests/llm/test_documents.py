@@ -427,6 +427,16 @@ def test_random_strings_are_told_from_names(spark, sf):
     assert len([i for i in found if i < 30]) >= 27 and not [i for i in found if i >= 30]
 
 
+def test_decoys_take_all_letters_of_all_texts(spark):
+    """The null counts come from every text whole, but for less than a least piece at its end."""
+    texts = ["Some ordinary words, " * n + "ä 12 end" for n in range(1, 40)] + ["", "short"]
+    rows = spark.createDataFrame([(t,) for t in texts], "text string").select("text", secret_scan.decoys(F.col("text")).alias("d")).collect()
+    for r in rows:
+        letters = re.sub("[^A-Za-z]", "", r.text)
+        pieces = [re.sub("[0-9]+$", "", x["m"]) for x in r.d]
+        assert 0 <= len(letters) - sum(map(len, pieces)) < 20 and all(p in letters and len(p) in secret_scan.DECOY for p in pieces)
+
+
 def test_bounds_keep_the_share_of_false_reports():
     targets = {(0, b): 10 for b in range(20)} | {(0, b): 50 for b in range(900, 1000)}
     nulls = {(0, b): 1 for b in range(10, 20)} | {(0, b): 100 for b in range(900, 1000)}
