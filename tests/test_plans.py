@@ -48,3 +48,16 @@ def test_choice_is_native_and_counts_only_touched_positions(spark):
 def test_numbering_has_no_task_for_all_rows(spark):
     df = clearing.numbered(spark.range(1000).withColumnRenamed("id", "key"), [F.col("key").desc()])
     assert "SinglePartition" not in plan(df)
+
+
+@pytest.mark.parametrize("name", ["fig_fp_curves", "fn_interval", "size_best_k", "size_for_target", "size_fp_count", "size_fp_rate"])
+def test_sizes_and_intervals_come_from_a_given_table(spark, sf, name):
+    assert any(f.endswith("orders.parquet") for f in registry.QUERIES[name](spark, sf).inputFiles())
+
+
+def test_cost_model_is_that_of_the_filter_over_the_given_keys(spark, sf, duck):
+    got = sorted(map(tuple, registry.QUERIES["m_cost_model"](spark, sf).collect()))
+    assert got == sorted(duck.execute(registry.ORACLE_SQL["m_cost_model"]).fetchall())
+    n = spark.read.parquet(f"{sf}/orders.parquet").where("o_orderpriority = '1-URGENT'").count()
+    b, m = next(r[2] for r in got if r[:2] == ("random", "frozen")) // 3, 5 * n
+    assert ("min_fn", "frozen", 3 * (n + b), 4 * m + b) in got
