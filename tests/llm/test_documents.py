@@ -339,6 +339,46 @@ def test_the_whole_last_sentence_is_the_answer():
     assert items.answer == [40]
 
 
+def test_the_space_lies_by_rows_and_codes_are_bytes(spark):
+    """Rows of the space are taken for every word, and codes cross to Python as they are stored."""
+    found = decontaminate.tokens(spark.createDataFrame([(i, f"k{i % 8} Wörter, again k{i % 5}") for i in range(60)] + [(60, None), (61, "")], "doc_id long, text string"))
+    rows = {r.doc_id: r for r in found.where("n >= 0").collect()}
+    want = decontaminate.codes(Words(["k1 wörter, again k4"], PUNCTUATION))
+    assert bytes(rows["9"].terms) == want.tobytes() and rows["9"].n == 4 and rows["60"].n == rows["61"].n == 0
+    assert decontaminate.latent_space(found, decontaminate.inverse_frequencies(found)).flags.c_contiguous
+
+
+def test_sums_against_a_loop():
+    rng = np.random.default_rng(5)
+    matrix, row, weight = rng.random((50, 7)).astype(np.float32), rng.integers(50, size=3000).astype(np.uint32), rng.random(3000).astype(np.float32)
+    start, _ = decontaminate.cuts(np.array([0, 0, 1, 17, 17, 1200, 2999, 3000]), 16)
+    got = decontaminate.sums(np.asfortranarray(matrix), row, weight, start, 16)
+    want = [weight[a:b] @ matrix[row[a:b]] for a, b in zip(start, [*start[1:], 3000])]
+    assert np.allclose(got, want, rtol=1e-5)
+
+
+def test_bits_in_common_where_all_are():
+    for words in (4, 16, 64):
+        assert decontaminate.common(np.full((2, words), ~np.uint64(0)), np.full((2, words), ~np.uint64(0))).tolist() == [64 * words] * 2
+
+
+def test_the_sieves_drop_no_leak(monkeypatch):
+    """Items of all widths with words left out, doubled and put elsewhere: the same leaks as with no sieve at all."""
+    rng = np.random.default_rng(6)
+    word = lambda: f"w{int(rng.zipf(1.3)) % 3000}"
+    items = decontaminate.Items([(i, " ".join(word() for _ in range(n))) for i, n in enumerate((3, 5, 9, 20, 31, 32, 33, 50, 64, 65, 200, 700))])
+    texts = []
+    for codes in items.codes * 6:
+        kept = [codes[rng.random(len(codes)) < rng.uniform(0.35, 0.8)]]
+        texts.append(np.concatenate([np.array([rng.choice(items.vocabulary) for _ in range(rng.integers(90))], np.uint32), *kept, rng.integers(1 << 32, size=rng.integers(90), dtype=np.uint32)]))
+    code, first = np.concatenate(texts), np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    search = decontaminate.Search(items, np.ones(1 << decontaminate.DF_BITS, np.float32), rng.standard_normal((1 << decontaminate.FEATURE_BITS, 28)).astype(np.float32))
+    got = search.found(code, first)
+    monkeypatch.setattr(decontaminate, "FOLDS", ())
+    want = search.found(code, first)
+    assert sorted(got) == sorted(want) and len({item for _, item, *_ in got}) >= 8
+
+
 def test_lcs_against_the_table_method():
     import random
 
