@@ -477,6 +477,22 @@ def test_decoys_take_all_letters_of_all_texts(spark):
         assert 0 <= len(letters) - sum(map(len, pieces)) < 20 and all(p in letters and len(p) in secret_scan.DECOY for p in pieces)
 
 
+def test_decoys_take_the_same_tests_compiled(spark, sf):
+    """Decoys get the p-values that candidates would, to the last bit, without a lambda over their characters."""
+    import random
+
+    rng = random.Random(6)
+    odd_letters = ["".join(rng.choices(a, k=124)) for a in ("abcdef", "ABCDEF", "ABCDEFG", "xyz", "XYZ", "abXY", "a", "A") for _ in range(20)]
+    texts = spark.createDataFrame([(t,) for t in [*odd_letters, "", "short", None]], "text string").unionByName(docs_of(spark, sf).select("text")).select(F.coalesce("text", F.lit("")).alias("text"))
+    each = texts.select(F.explode(secret_scan.decoys(F.col("text"))).alias("x"))
+    want = texts.select(F.explode(secret_scan.tested(secret_scan.decoys(F.col("text")))).alias("x"))
+    got = secret_scan.tested_rows(each)
+    rows = lambda df: collections.Counter((r.x["code"], r.x["n"], r.x["p"]) for r in df.collect())
+    assert rows(got) == rows(want) and {c for c, *_ in rows(got)} == {"hex", "HEX", "base32", "base36", "base62"}
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "aggregate(" not in plan and "zip_with(" not in plan
+
+
 def test_bounds_keep_the_share_of_false_reports():
     targets = {(0, b): 10 for b in range(20)} | {(0, b): 50 for b in range(900, 1000)}
     nulls = {(0, b): 1 for b in range(10, 20)} | {(0, b): 100 for b in range(900, 1000)}
